@@ -2,9 +2,15 @@
 
 from __future__ import annotations
 
+from vecengine.llm.fingerprints import op9_closed_syncmers
+from vecengine.llm.mixing import MIX_SQL, op5_mix_sources
 from vecengine.llm.near_dedup import op6_minhash_near_dedup
 
 QUERIES = {
+    "op5_mix_sources": op5_mix_sources,
     "op6_minhash_near_dedup": op6_minhash_near_dedup,
+    "op9_closed_syncmers": op9_closed_syncmers,
+}
+ORACLES: dict[str, str] = {
+    "op5_mix_sources": MIX_SQL,
 }
-ORACLES: dict[str, str] = {}
