@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from vecengine.llm.embedding_dedup import op10_embedding_near_dedup
 from vecengine.llm.fingerprints import op9_closed_syncmers
 from vecengine.llm.html_extract import op1_extract_html
 from vecengine.llm.mixing import MIX_SQL, op5_mix_sources
@@ -14,6 +15,7 @@ QUERIES = {
     "op6_minhash_near_dedup": op6_minhash_near_dedup,
     "op7_warc": op7_warc,
     "op9_closed_syncmers": op9_closed_syncmers,
+    "op10_embedding_near_dedup": op10_embedding_near_dedup,
 }
 ORACLES: dict[str, str] = {
     "op5_mix_sources": MIX_SQL,
