@@ -149,25 +149,52 @@ def row_slices(offsets: np.ndarray, most: int = 1 << 20):
 # ------------------------------------------------------------------- components
 
 
-def components(edges: DataFrame, most_rounds: int = 40) -> DataFrame:
+def _forest(batches):
+    """Links u -> least id of the component, of all links that one task holds."""
+    us, vs = [], []
+    for batch in batches:
+        us.append(batch.column(0).to_numpy())
+        vs.append(batch.column(1).to_numpy())
+    if not us:
+        return
+    ids, flat = np.unique(np.concatenate([*us, *vs]), return_inverse=True)
+    u, v = np.split(flat, 2)
+    label = np.arange(len(ids))
+    while True:
+        new = label.copy()
+        low = np.minimum(label[u], label[v])
+        np.minimum.at(new, label[u], low)
+        np.minimum.at(new, label[v], low)
+        while (new != new[new]).any():
+            new = new[new]
+        new = new[label]
+        if (new == label).all():
+            break
+        label = new
+    yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(ids[label])], names=["id", "component_id"])
+
+
+def components(edges: DataFrame, most_rounds: int = 40, one_task: int = 500_000) -> DataFrame:
     """Connected components of (a, b) links of long ids: (id, component_id), the least id reachable.
 
-    Alternating star contraction: each round links the larger neighbours of a node, then the
+    Up to one_task links fit one executor task, which contracts them in arrays. Beyond that comes
+    alternating star contraction: each round links the larger neighbours of a node, then the
     smaller ones, to the least of them. Only (node, minimum) aggregates and equi-joins are used, so
     a hub's neighbours are never gathered in one place. Rounds grow with the logarithm of the
-    longest chain. Nodes that stand in no link are not returned.
+    longest chain. Both give the same rows. Nodes that stand in no link are not returned.
     """
-    e = edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct()
-    e, seen = cut(e), None
+    e = cut(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v"))
+    if e.count() <= one_task:
+        return cut(e.coalesce(1).mapInArrow(_forest, "id long, component_id long"))
+    e, seen = e.distinct(), None
     for _ in range(most_rounds):
         both = e.union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v")
-        new = cut(small.union(least.select("u", F.col("m").alias("v"))).distinct())
-        state = new.agg(F.count(F.lit(1)), F.expr("bit_xor(xxhash64(u, v))")).first()
-        e = new
+        e = cut(small.union(least.select("u", F.col("m").alias("v"))).distinct())
+        state = e.agg(F.count(F.lit(1)), F.expr("bit_xor(xxhash64(u, v))")).first()
         if tuple(state) == seen:
             break
         seen = tuple(state)

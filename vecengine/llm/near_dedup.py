@@ -10,10 +10,10 @@ Plan, for documents of any number of copies and groups of any size:
    bucket of n makes n - 1 pairs. XOR population counts of the sketches reject far pairs; those
    left are confirmed on full sets. Links become components.
 4. Buckets whose members lie in several components go on: all are paired with the smallest member
-   outside the first component, a few times. What then still straddles components is joined
-   across components only, with sketch and size bounds in the join condition, and
-   confirmed. Thus no pair that shares a band is left unexamined, and none is made within what is
-   already known to be one component.
+   outside the first component. What then still straddles components is joined across components
+   only, with sketch and size bounds in the join condition, each pair in the first bucket that it
+   shares, and confirmed. Thus no pair that shares a band is left unexamined, and none is made
+   within what is already known to be one component.
 
 A pair with similarity s shares no band with probability (1 - s ** rows) ** bands; with 32 bands
 of 5 rows that is 3e-6 at s = 0.8 and less above it.
@@ -43,7 +43,7 @@ class NearDup:
     rows: int = 5
     sketch_words: int = 4  # of 64 bits
     slack: float = 0.25  # candidates whose estimate is below the threshold by more are rejected
-    pivot_rounds: int = 2
+    pivot_rounds: int = 1
     seed: int = 20240229
 
     @property
@@ -157,13 +157,8 @@ def most_flips(p: NearDup) -> int:
     return int(np.ceil(n / 2 * (1 - (1 - 2 / n) ** (2 * p.samples * (1 - s)))))
 
 
-def confirm(pairs: DataFrame, docs: DataFrame, p: NearDup) -> DataFrame:
-    """(a, b, shared, united) of distinct pairs of ids, on full sets made again from the text.
-
-    Each text that some pair names is turned into its set once; the sets travel as sorted 64-bit
-    hashes. Both joins are plain equi-joins, so an id that stands in many pairs is split by AQE.
-    """
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+def full_sets(docs: DataFrame, wanted: DataFrame, p: NearDup) -> DataFrame:
+    """(id, items) of the wanted ids: sorted 64-bit hashes of the whole set, made again from the text."""
     texts = docs.select(F.col("doc_id").alias("id"), "text").join(wanted, "id", "left_semi").dropDuplicates(["id"])
 
     def sets(batches):
@@ -174,7 +169,14 @@ def confirm(pairs: DataFrame, docs: DataFrame, p: NearDup) -> DataFrame:
                 data = value.tobytes()
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), pa.array([data[8 * x : 8 * y] for x, y in zip(bounds[:-1], bounds[1:], strict=True)], pa.binary())], names=["id", "items"])
 
-    full = C.cut(texts.mapInArrow(sets, "id long, items binary"))
+    return texts.mapInArrow(sets, "id long, items binary")
+
+
+def confirm(pairs: DataFrame, full: DataFrame) -> DataFrame:
+    """(a, b, shared, united) of distinct pairs of ids, on full sets.
+
+    Both joins are plain equi-joins, so an id that stands in many pairs is split by AQE.
+    """
     both = pairs.select("a", "b").join(full.select(F.col("id").alias("a"), F.col("items").alias("x")), "a").join(full.select(F.col("id").alias("b"), F.col("items").alias("y")), "b")
 
     def compare(batches):
@@ -192,9 +194,12 @@ def confirm(pairs: DataFrame, docs: DataFrame, p: NearDup) -> DataFrame:
     return both.select("a", "b", "x", "y").mapInArrow(compare, "a long, b long, shared long, united long")
 
 
-def _size_fits(p: NearDup):
-    """A set of x and one of y items cannot reach the threshold unless min >= percent of max."""
-    return 100 * F.least("n1", "n2") >= p.percent * F.greatest("n1", "n2")
+def _possible(p: NearDup):
+    """Sizes and sketches of two rows (n1, s1 and n2, s2) that leave a link possible.
+
+    A set of x and one of y items cannot reach the threshold unless min >= percent of max.
+    """
+    return (100 * F.least("n1", "n2") >= p.percent * F.greatest("n1", "n2")) & (flips("s1", "s2", p) <= most_flips(p))
 
 
 def links(docs: DataFrame, p: NearDup) -> tuple[DataFrame, DataFrame]:
@@ -205,44 +210,48 @@ def links(docs: DataFrame, p: NearDup) -> tuple[DataFrame, DataFrame]:
     signed = C.cut(sign(docs, p))
     classes = signed.where("n > 0 and id is not null").groupBy("n", "d1", "d2").agg(F.min("id").alias("rep"))
     members = signed.select("id", "n", "d1", "d2").join(classes, ["n", "d1", "d2"], "left").select(F.col("id").alias("doc_id"), "n", F.coalesce("rep", "id").alias("rep"))
-    reps = C.cut(signed.where("n > 0").join(classes.select(F.col("rep").alias("id")), "id", "left_semi").dropDuplicates(["id"]).select("id", "n", "bands", "sketch"))
-    spread = reps.select("id", F.posexplode("bands").alias("band", "value"))
-    crowded = spread.groupBy("band", "value").agg(F.count(F.lit(1)).alias("size"), F.min("id").alias("pivot")).where("size > 1").drop("size")
-    bucket = C.cut(spread.join(crowded, ["band", "value"]).select(F.xxhash64("band", "value").alias("bucket"), "id", "pivot"))
-    bits = reps.select("id", "n", "sketch")
-    near = most_flips(p)
-
-    def screened(pairs: DataFrame) -> DataFrame:
-        """Pairs that sketch and sizes allow."""
-        out = pairs.join(bits.toDF("a", "n1", "s1"), "a").join(bits.toDF("b", "n2", "s2"), "b")
-        return out.where(_size_fits(p) & (flips("s1", "s2", p) <= near)).select("a", "b")
+    reps = signed.where("n > 0").join(classes.select(F.col("rep").alias("id")), "id", "left_semi").dropDuplicates(["id"]).select("id", "n", "bands", "sketch")
+    spread = reps.select("id", F.explode("bands").alias("bucket"))  # a band's number is part of its hash
+    crowded = spread.groupBy("bucket").agg(F.count(F.lit(1)).alias("size"), F.min("id").alias("pivot")).where("size > 1").drop("size")
+    bucket = C.cut(spread.join(crowded, "bucket").select("bucket", "id", "pivot"))
+    ids = bucket.select("id").distinct()
+    bits = C.cut(reps.join(ids, "id", "left_semi"))
+    full = C.cut(full_sets(docs, ids, p))
 
     def measured(pairs: DataFrame) -> DataFrame:
-        return confirm(C.cut(pairs), docs, p).where(100 * F.col("shared") >= p.percent * F.col("united")).select("a", "b")
-
-    empty = docs.sparkSession.createDataFrame([], "a long, b long")
-    found, pivots, component = empty, bucket.select("bucket", "pivot").distinct(), None
-    for turn in range(1 + p.pivot_rounds):
-        pairs = bucket.drop("pivot").join(pivots, "bucket").where("id <> pivot").select(F.least("id", "pivot").alias("a"), F.greatest("id", "pivot").alias("b")).distinct()
-        if component is not None:
-            known = component.toDF("a", "ca")
-            pairs = pairs.join(known, "a", "left").join(component.toDF("b", "cb"), "b", "left").where("coalesce(ca, a) <> coalesce(cb, b)").select("a", "b")
-        new = C.cut(measured(screened(pairs)))
-        found = C.cut(found.union(new))
-        component = C.cut(C.components(found))
-        placed = bucket.drop("pivot").join(component, "id", "left").select("bucket", "id", F.coalesce("component_id", "id").alias("c"))
-        heads = placed.groupBy("bucket").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high")
-        bucket = C.cut(placed.join(heads, "bucket").select("bucket", "id", "c", F.col("low").alias("pivot")))
-        pivots = bucket.where("c <> pivot").groupBy("bucket").agg(F.min("id").alias("pivot"))
-        if bucket.isEmpty():
-            return members, component
-        bucket_c, bucket = bucket, bucket.select("bucket", "id", "pivot")
-    sides = bucket_c.select("bucket", "id", "c").join(bits, "id")
-    left, right = sides.toDF("a", "bucket", "ca", "n1", "s1"), sides.toDF("b", "bucket", "cb", "n2", "s2")
-    rest = left.join(right, "bucket").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & _size_fits(p) & (flips("s1", "s2", p) <= near)).select("a", "b").distinct()
-    rest = C.cut(rest)
-    if not rest.isEmpty():
-        component = C.cut(C.components(found.union(measured(rest))))
+        return confirm(pairs, full).where(100 * F.col("shared") >= p.percent * F.col("united")).select("a", "b")
+
+    # Every member against the bucket's least id.
+    pairs = bucket.where("id <> pivot").select(F.col("pivot").alias("a"), F.col("id").alias("b")).distinct()
+    sides = bits.select(F.col("id").alias("a"), F.col("n").alias("n1"), F.col("sketch").alias("s1")), bits.select(F.col("id").alias("b"), F.col("n").alias("n2"), F.col("sketch").alias("s2"))
+    found = C.cut(measured(pairs.join(sides[0], "a").join(sides[1], "b").where(_possible(p)).select("a", "b")))
+    component = C.components(found)
+    for last in [False] * p.pivot_rounds + [True]:
+        # Members of buckets that lie in several components. `asked`: it was a pivot there, so all its links there are known.
+        placed = bucket.withColumn("asked", F.col("id") == F.col("pivot")).join(component, "id", "left").select("bucket", "id", "asked", F.coalesce("component_id", "id").alias("c"))
+        straddling = placed.groupBy("bucket").agg(F.min("c").alias("low"), F.max("c").alias("high"), F.sum((~F.col("asked")).cast("int")).alias("open")).where("low <> high and open > 0")
+        placed = C.cut(placed.join(straddling.select("bucket", "low"), "bucket"))
+        if placed.isEmpty():
+            break
+        rows = placed.where("not asked").join(bits, "id")
+        left = rows.select("bucket", F.col("id").alias("a"), F.col("c").alias("ca"), F.col("n").alias("n1"), F.col("sketch").alias("s1"), F.col("bands").alias("ba"), "low")
+        right = rows.select("bucket", F.col("id").alias("b"), F.col("c").alias("cb"), F.col("n").alias("n2"), F.col("sketch").alias("s2"), F.col("bands").alias("bb"))
+        if last:
+            order = F.col("a") < F.col("b")
+        else:  # one more pivot for each bucket, outside its first component
+            pivot = placed.where("not asked and c <> low").groupBy("bucket").agg(F.min("id").alias("next"))
+            left = left.join(pivot, "bucket").where("a = next").drop("next")
+            order = F.col("a") != F.col("b")
+        # A pair is made in the first bucket that it shares, so once.
+        first = F.array_position(F.zip_with("ba", "bb", lambda x, y: x == y), F.lit(True))
+        here = F.array_position("ba", F.col("bucket"))
+        new = left.join(right, "bucket").where((F.col("ca") != F.col("cb")) & order & _possible(p) & (F.lit(not last) | (first == here)))
+        new = new.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+        found = C.cut(found.union(measured(new if last else new.distinct())))
+        component = C.components(found)
+        if not last:
+            was = placed.where("not asked and c <> low").groupBy("bucket").agg(F.min("id").alias("next"))
+            bucket = placed.join(was, "bucket", "left").select("bucket", "id", F.when(F.col("asked") | F.col("id").eqNullSafe(F.col("next")), F.col("id")).alias("pivot"))
     return members, component
 
 
