@@ -228,27 +228,31 @@ def design(doc, kind, level, own, patterns, singles: int, n: int) -> np.ndarray:
     return np.hstack([out, shape, own_x])
 
 
-def fit(features: list[np.ndarray], patterns: np.ndarray, y: np.ndarray, fold: np.ndarray, keys: np.ndarray, kind: np.ndarray, p: Toxicity) -> Scorer:
-    """Learn from a sample: features[i] holds the indices into keys that row i has."""
-    n, m = len(y), len(keys)
-    row = np.repeat(np.arange(n), [len(f) for f in features])
-    col = np.concatenate(features).astype(np.int64) if n else np.zeros(0, np.int64)
-
-    def levels(use: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        picked = use[row]
-        n1 = np.bincount(col[picked & y[row]], minlength=m).astype(float)
-        n0 = np.bincount(col[picked & ~y[row]], minlength=m).astype(float)
-        g, odds = g_and_odds(n1, n0, float((use & y).sum()), float((use & ~y).sum()))
-        level = np.zeros(m, np.int64)
+@dataclass
+class Mined:
+    """Counts of the sample by fold: rows of either class, and rows of either class with each feature."""
+
+    rows1: np.ndarray  # folds
+    rows0: np.ndarray
+    n1: np.ndarray  # features x folds
+    n0: np.ndarray
+
+    def levels(self, without: int | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """Level (2 strict, 1 loose, 0 neither) and G statistic of each feature on all folds but one."""
+        use = np.arange(len(self.rows1)) != (-1 if without is None else without)
+        g, odds = g_and_odds(self.n1[:, use].sum(axis=1), self.n0[:, use].sum(axis=1), float(self.rows1[use].sum()), float(self.rows0[use].sum()))
+        level = np.zeros(len(g), np.int64)
         for at, (least_g, least_odds) in enumerate(LEVELS):
             level = np.maximum(level, np.where((g >= least_g) & (odds >= least_odds), 2 - at, 0))
         return level, g
 
-    level_at = np.zeros(len(row), np.int64)
-    for k in range(p.folds):
-        inside = fold[row] == k
-        level_at[inside] = levels(fold != k)[0][col[inside]]
-    level, g = levels(np.ones(n, bool))
+
+def fit(row: np.ndarray, col: np.ndarray, patterns: np.ndarray, y: np.ndarray, fold: np.ndarray, keys: np.ndarray, kind: np.ndarray, mined: Mined, p: Toxicity) -> Scorer:
+    """Learn from a sample: (row, col) pairs say which row has which key."""
+    n, m = len(y), len(keys)
+    by_fold = np.stack([mined.levels(k)[0] for k in range(p.folds)], axis=1)
+    level_at = by_fold[col, fold[row]]
+    level, g = mined.levels()
     single = np.argsort(-np.where(level == 2, g, -1), kind="stable")[: p.single]
     single = single[level[single] == 2]
     own = np.full(m, -1, np.int64)
@@ -262,8 +266,9 @@ def fit(features: list[np.ndarray], patterns: np.ndarray, y: np.ndarray, fold: n
     votes += [np.where(patterns[:, j] > 0, 1, 0) for j in range(3)]
     votes += [np.where(patterns[:, 3] > 0.5, 1, 0), np.where(patterns[:, 4] > 0.02, 1, 0)]
     votes.append(np.where(y, 1, -1))  # the label as one voter among them
-    model = fit_label_model(np.stack(votes, axis=1).astype(np.int64), float(np.clip(y.mean(), 0.01, 0.99)))
-    weights = fit_logistic(x, model.posterior(np.stack(votes, axis=1).astype(np.int64)), p.ridge)
+    votes = np.stack(votes, axis=1).astype(np.int8)
+    model = fit_label_model(votes, float(np.clip(y.mean(), 0.01, 0.99)))
+    weights = fit_logistic(x, model.posterior(votes), p.ridge)
     keep = level > 0
     return Scorer(keys[keep], level[keep], kind[keep], own[keep], len(single), weights)
 
@@ -299,33 +304,62 @@ def learn(docs: DataFrame, labels: DataFrame, p: Toxicity = Toxicity()) -> Score
                 yield pa.RecordBatch.from_arrays([pa.array(found.view(np.int64)), pa.array(kind[first].astype(np.int32)), pa.array(n.astype(np.int64))], names=["feature", "kind", "n"])
 
     counts = texts.where("y").select("text").mapInArrow(count, "feature long, kind int, n long").groupBy("feature").agg(F.min("kind").alias("kind"), F.sum("n").alias("n")).where(F.col("n") >= p.least_docs)
-    found = counts.select("feature", "kind").toPandas()
+    found = counts.select("feature", "kind").toPandas()  # at most what the sample's toxic rows share
     order = np.argsort(found["feature"].to_numpy().view(np.uint64))
     keys, kind = found["feature"].to_numpy().view(np.uint64)[order], found["kind"].to_numpy().astype(np.int64)[order]
-    spark = docs.sparkSession
-    shared = spark.sparkContext.broadcast(keys)
+    sizes = texts.groupBy("fold").agg(F.sum(F.col("y").cast("long")).alias("n1"), F.count(F.lit(1)).alias("n")).toPandas()
+    mined = Mined(np.zeros(p.folds), np.zeros(p.folds), np.zeros((len(keys), p.folds)), np.zeros((len(keys), p.folds)))
+    mined.rows1[sizes["fold"]], mined.rows0[sizes["fold"]] = sizes["n1"], sizes["n"] - sizes["n1"]
+    if not mined.rows1.sum() or not mined.rows0.sum():
+        return seed_scorer()
+    sc = docs.sparkSession.sparkContext
+    shared = sc.broadcast(keys)
+
+    def hits(keys: np.ndarray, doc: np.ndarray, feature: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        at = np.minimum(np.searchsorted(keys, feature), max(len(keys) - 1, 0))
+        hit = keys[at] == feature if len(keys) else np.zeros(len(feature), bool)
+        return distinct(doc[hit], at[hit])
+
+    def tally(batches):
+        n = np.zeros((len(shared.value), p.folds, 2), np.int32)
+        for batch in batches:
+            column = lowered(batch.column(0))
+            side, fold = batch.column(1).to_numpy(zero_copy_only=False).astype(int), batch.column(2).to_numpy()
+            for i, _, raw, offsets in slices(column):
+                doc, _, feature, _ = text_features(raw, offsets)
+                doc, col = hits(shared.value, doc, feature)
+                np.add.at(n, (col, fold[i + doc], side[i + doc]), 1)
+        col, fold, side = np.nonzero(n)
+        yield pa.RecordBatch.from_arrays([pa.array(col, pa.int32()), pa.array(fold, pa.int32()), pa.array(side, pa.int32()), pa.array(n[col, fold, side].astype(np.int64))], names=["col", "fold", "side", "n"])
+
+    table = texts.select("text", "y", "fold").mapInArrow(tally, "col int, fold int, side int, n long").groupBy("col", "fold", "side").agg(F.sum("n").alias("n")).toPandas()
+    for side, into in ((1, mined.n1), (0, mined.n0)):
+        own = table[table["side"] == side]
+        into[own["col"], own["fold"]] = own["n"]
+    keep = np.flatnonzero(np.max([mined.levels(k)[0] for k in (None, *range(p.folds))], axis=0) > 0) if len(keys) else np.zeros(0, int)
+    keys, kind = keys[keep], kind[keep]
+    mined = Mined(mined.rows1, mined.rows0, mined.n1[keep], mined.n0[keep])
+    kept = sc.broadcast(keys)
 
     def probe(batches):
-        keys = shared.value
         for batch in batches:
             column = lowered(batch.column(0))
             for i, j, raw, offsets in slices(column):
                 doc, _, feature, patterns = text_features(raw, offsets)
-                at = np.minimum(np.searchsorted(keys, feature), max(len(keys) - 1, 0))
-                hit = keys[at] == feature if len(keys) else np.zeros(len(feature), bool)
-                doc, col = distinct(doc[hit], at[hit])
-                bounds = np.concatenate([[0], np.cumsum(np.bincount(doc, minlength=j - i))]).astype(np.int32)
+                doc, col = hits(kept.value, doc, feature)
+                cut = np.searchsorted(doc, np.arange(j - i + 1))
+                data = col.astype(np.int32).tobytes()
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(1).slice(i, j - i), batch.column(2).slice(i, j - i), batch.column(3).slice(i, j - i), pa.ListArray.from_arrays(pa.array(bounds), pa.array(col.astype(np.int32))), pa.ListArray.from_arrays(pa.array(np.arange(0, patterns.size + 1, len(PATTERNS), dtype=np.int32)), pa.array(patterns.reshape(-1)))],
+                    [batch.column(1).slice(i, j - i), batch.column(2).slice(i, j - i), batch.column(3).slice(i, j - i), pa.array([data[4 * a : 4 * b] for a, b in zip(cut[:-1], cut[1:], strict=True)], pa.binary()), pa.array([x.tobytes() for x in patterns], pa.binary())],
                     names=["y", "fold", "key", "cols", "patterns"],
                 )
 
-    rows = texts.select("text", "y", "fold", "key").mapInArrow(probe, "y boolean, fold int, key long, cols array<int>, patterns array<float>").toPandas()
-    rows = rows.sort_values("key", kind="stable")
+    rows = texts.select("text", "y", "fold", "key").mapInArrow(probe, "y boolean, fold int, key long, cols binary, patterns binary").toPandas().sort_values("key", kind="stable")
     y = rows["y"].to_numpy().astype(bool)
-    if not y.any() or y.all():
-        return seed_scorer()
-    return fit([np.asarray(c, np.int64) for c in rows["cols"]], np.stack(rows["patterns"].to_list()).astype(np.float32), y, rows["fold"].to_numpy(), keys, kind, p)
+    cols = [np.frombuffer(c, np.int32) for c in rows["cols"]]
+    patterns = np.frombuffer(b"".join(rows["patterns"]), np.float32).reshape(-1, len(PATTERNS))
+    row = np.repeat(np.arange(len(y)), [len(c) for c in cols])
+    return fit(row, np.concatenate(cols).astype(np.int64), patterns, y, rows["fold"].to_numpy(), keys, kind, mined, p)
 
 
 def score(docs: DataFrame, scorer: Scorer, columns: tuple[str, ...] = ("doc_id",), text_col: str = "text") -> DataFrame:
