@@ -125,14 +125,17 @@ def conversations(messages: DataFrame) -> DataFrame:
     parent = F.coalesce("quoted_turn", "before")
     by = F.when(F.col("quoted_turn").isNotNull(), "quote").when(F.col("before").isNotNull(), "order").otherwise("root")
     placed = C.cut(placed.select("conv_id", "turn", parent.alias("parent_turn"), by.alias("linked_by"), F.coalesce("n_quotes", F.lit(0)).alias("n_quotes"), F.coalesce("n_linked", F.lit(0)).alias("n_linked")))
-    # Depth and root by pointer doubling: parents are earlier turns, so there is no cycle.
-    hop = placed.select("conv_id", "turn", F.coalesce("parent_turn", "turn").alias("up"), F.col("parent_turn").isNotNull().cast("long").alias("depth"))
+    # Depth and root by pointer doubling: parents are earlier turns, so there is no cycle. Only rows that
+    # have not come to their root (`open`) are joined again.
+    hop = placed.select("conv_id", "turn", F.coalesce("parent_turn", "turn").alias("up"), F.col("parent_turn").isNotNull().cast("long").alias("depth"), F.col("parent_turn").isNotNull().alias("open"))
     while True:
-        above = hop.select("conv_id", F.col("turn").alias("up"), F.col("up").alias("higher"), F.col("depth").alias("more"))
-        new = C.cut(hop.join(above, ["conv_id", "up"]).select("conv_id", "turn", F.col("higher").alias("up"), (F.col("depth") + F.col("more")).alias("depth"), (F.col("more") > 0).alias("moved")))
-        hop = new.drop("moved")
-        if new.where("moved").isEmpty():
+        pending = hop.where("open")
+        if pending.isEmpty():
             break
+        above = hop.select("conv_id", F.col("turn").alias("up"), F.col("up").alias("higher"), F.col("depth").alias("more"), F.col("open").alias("on"))
+        moved = pending.join(above, ["conv_id", "up"]).select("conv_id", "turn", F.col("higher").alias("up"), (F.col("depth") + F.col("more")).alias("depth"), F.col("on").alias("open"))
+        hop = C.cut(hop.where("not open").union(moved))
+    hop = hop.drop("open")
     out = rows.select("conv_id", "turn", "role", "text").join(placed, ["conv_id", "turn"]).join(hop.withColumnRenamed("up", "root"), ["conv_id", "turn"])
     thread = Window.partitionBy("conv_id").orderBy("root", "turn")
     null = lambda c: F.nullif(c, F.lit(-(1 << 63)))
