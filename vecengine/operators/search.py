@@ -62,11 +62,14 @@ class Scorer:
         """One row of scores for each query in turn, over codes as columns of bytes (bytes x codes)."""
         luts = self.merged() if self.k <= 16 else self.tables
         byte = self.tables.dtype == np.uint8
-        kind = np.uint16 if byte and 255 * self.m < 1 << 16 else np.int32 if byte else np.float64
+        luts = luts.astype(np.uint16 if byte and 255 * self.m < 1 << 16 else np.int32 if byte else np.float64, copy=False)
+        at = [column.astype(np.intp) for column in data]  # once for all queries: gathers take no other index
+        part = np.empty(data.shape[1], luts.dtype)
         for lut in luts:
-            total = lut[0].astype(kind)[data[0]]
-            for b in range(1, len(data)):
-                total += lut[b].astype(kind)[data[b]]
+            total = lut[0].take(at[0], mode="clip")
+            for b in range(1, len(at)):
+                np.take(lut[b], at[b], mode="clip", out=part)
+                total += part
             yield total
 
 
@@ -98,6 +101,9 @@ def tables(qdf: DataFrame, books: Codebooks, metric: metrics.Metric) -> DataFram
 def _best(scores: np.ndarray, ids: np.ndarray, k: int, ascending: bool) -> tuple[np.ndarray, np.ndarray]:
     """The k best by score, then least id."""
     key = scores if ascending else -scores.astype(np.int64 if scores.dtype != np.float64 else np.float64)
+    if len(key) > 1 << 14:  # the k-th best of a part bounds that of the whole
+        near = np.flatnonzero(key <= np.partition(key[: 1 << 12], k - 1)[k - 1]) if k <= 1 << 12 else np.arange(len(key))
+        key, ids, scores = key[near], ids[near], scores[near]
     if len(key) > 4 * k:
         edge = np.partition(key, k - 1)[k - 1]
         near = np.flatnonzero(key <= edge)
