@@ -2,9 +2,9 @@
 
 Voters are lexicons of whole words and word beginnings, mined from a bounded sample of labelled rows
 (each row is voted on by lexicons mined without its fold), a fixed seed lexicon, and patterns:
-look-alike spelling, spelled-out letters, shouting. The label model estimates, without trusting any
-of them, how often each voter says what in either class, and down-weights voters whose errors go
-together. A logistic model learns its posterior and scores every text in one pass of numpy over the
+look-alike spelling, spelled-out letters, shouting. The label model estimates how often each voter
+says what in either class, the row's own label being a voter of set accuracy, and down-weights
+voters whose errors go together. A logistic model learns its posterior and scores every text in one pass of numpy over the
 UTF-8 bytes, with no join.
 """
 
@@ -27,6 +27,7 @@ LOOKALIKES = {"0": "o", "1": "i", "3": "e", "4": "a", "5": "s", "7": "t", "@": "
 
 KINDS = (0, 4, 5, 6)  # whole words, and word beginnings of so many characters
 LEVELS = ((24.0, 3.0), (11.0, 1.5))  # strict and loose lexicons: least G statistic and log-odds
+LABEL_ACCURACY = 0.97  # of the given label as a voter
 PATTERNS = ("seed", "lookalike", "spelled", "capitals", "exclaims")
 
 
@@ -147,11 +148,15 @@ class LabelModel:
         return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-def fit_label_model(votes: np.ndarray, prior: float, rounds: int = 15, passes: int = 3) -> LabelModel:
-    """Expectation-maximisation over votes (rows x voters, -1, 0 or 1) with correlation-discounted weights."""
+def fit_label_model(votes: np.ndarray, prior: float, start: np.ndarray | None = None, gold: float | None = None, rounds: int = 15, passes: int = 3) -> LabelModel:
+    """Expectation-maximisation over votes (rows x voters, -1, 0 or 1) with correlation-discounted weights.
+
+    start: first beliefs, by the mean vote if not given. gold: accuracy at which the last voter, the
+    label, is held; it is not discounted.
+    """
     n, m = votes.shape
     weight = np.ones(m)
-    q = np.clip(prior + 0.5 * votes.mean(axis=1), 0.01, 0.99)
+    q = np.clip(prior + 0.5 * votes.mean(axis=1), 0.01, 0.99) if start is None else start
     model = LabelModel(prior, np.full((m, 2, 3), 1 / 3), weight)
     for _ in range(passes):
         for _ in range(rounds):
@@ -159,6 +164,8 @@ def fit_label_model(votes: np.ndarray, prior: float, rounds: int = 15, passes: i
                 for v in (-1, 0, 1):
                     model.says[:, y, v + 1] = ((votes == v) * w[:, None]).sum(axis=0) + 0.5
             model.says /= model.says.sum(axis=2, keepdims=True)
+            if gold is not None:
+                model.says[-1] = [[gold, 1e-9, 1 - gold], [1 - gold, 1e-9, gold]]
             model.prior = float(np.clip(q.mean(), 1e-3, 1 - 1e-3))
             q = model.posterior(votes)
         value = np.array([-1, 0, 1])
@@ -168,6 +175,8 @@ def fit_label_model(votes: np.ndarray, prior: float, rounds: int = 15, passes: i
         corr = np.clip(rest.T @ rest / max(n, 1), 0, 1)
         np.fill_diagonal(corr, 0)
         model.weight = 1 / (1 + np.where(corr > 0.1, corr, 0).sum(axis=1))
+        if gold is not None:
+            model.weight[-1] = 1.0
         q = model.posterior(votes)
     return model
 
@@ -267,7 +276,7 @@ def fit(row: np.ndarray, col: np.ndarray, patterns: np.ndarray, y: np.ndarray, f
     votes += [np.where(patterns[:, 3] > 0.5, 1, 0), np.where(patterns[:, 4] > 0.02, 1, 0)]
     votes.append(np.where(y, 1, -1))  # the label as one voter among them
     votes = np.stack(votes, axis=1).astype(np.int8)
-    model = fit_label_model(votes, float(np.clip(y.mean(), 0.01, 0.99)))
+    model = fit_label_model(votes, float(np.clip(y.mean(), 0.01, 0.99)), np.where(y, 0.9, 0.1), LABEL_ACCURACY)
     weights = fit_logistic(x, model.posterior(votes), p.ridge)
     keep = level > 0
     return Scorer(keys[keep], level[keep], kind[keep], own[keep], len(single), weights)
