@@ -148,35 +148,46 @@ class LabelModel:
         return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
-def fit_label_model(votes: np.ndarray, prior: float, start: np.ndarray | None = None, gold: float | None = None, rounds: int = 15, passes: int = 3) -> LabelModel:
-    """Expectation-maximisation over votes (rows x voters, -1, 0 or 1) with correlation-discounted weights.
+def shared_errors(votes: np.ndarray, truth: np.ndarray | None = None) -> np.ndarray:
+    """Correlation of each two voters beyond what the class explains.
 
-    start: first beliefs, by the mean vote if not given. gold: accuracy at which the last voter, the
-    label, is held; it is not discounted.
+    The class is `truth` where it is known, else it is stood for by the mean of all other voters, so
+    that two voters that copy each other cannot pass for the class.
+    """
+    v = votes - votes.mean(axis=0)
+    n, m = v.shape
+    out = np.zeros((m, m))
+    for j in range(m):
+        for k in range(j):
+            t = (truth if truth is not None else votes.sum(axis=1) - votes[:, j] - votes[:, k]).astype(float)
+            t = t - t.mean()
+            norm = t @ t + 1e-9
+            a, b = v[:, j] - t * (t @ v[:, j] / norm), v[:, k] - t * (t @ v[:, k] / norm)
+            out[j, k] = out[k, j] = np.clip(a @ b / (np.sqrt((a @ a) * (b @ b)) + 1e-9), 0, 1)
+    return out
+
+
+def fit_label_model(votes: np.ndarray, prior: float, start: np.ndarray | None = None, gold: float | None = None, rounds: int = 30) -> LabelModel:
+    """Expectation-maximisation over votes (rows x voters, -1, 0 or 1), each weighed down by the errors it shares.
+
+    start: first beliefs, by the weighted mean vote if not given. gold: accuracy at which the last voter,
+    the label, is held; it is not weighed down.
     """
     n, m = votes.shape
-    weight = np.ones(m)
-    q = np.clip(prior + 0.5 * votes.mean(axis=1), 0.01, 0.99) if start is None else start
+    corr = shared_errors(votes[:, :-1] if gold is not None else votes, None if gold is None else votes[:, -1])
+    least = 0.6 if gold is None else 0.3  # a stand-in explains less of what is common
+    weight = 1 / (1 + np.where(corr > least, corr, 0).sum(axis=1))
+    weight = np.append(weight, 1.0) if gold is not None else weight
+    q = np.clip(prior + 0.5 * votes @ weight / weight.sum(), 0.01, 0.99) if start is None else start
     model = LabelModel(prior, np.full((m, 2, 3), 1 / 3), weight)
-    for _ in range(passes):
-        for _ in range(rounds):
-            for y, w in ((0, 1 - q), (1, q)):
-                for v in (-1, 0, 1):
-                    model.says[:, y, v + 1] = ((votes == v) * w[:, None]).sum(axis=0) + 0.5
-            model.says /= model.says.sum(axis=2, keepdims=True)
-            if gold is not None:
-                model.says[-1] = [[gold, 1e-9, 1 - gold], [1 - gold, 1e-9, gold]]
-            model.prior = float(np.clip(q.mean(), 1e-3, 1 - 1e-3))
-            q = model.posterior(votes)
-        value = np.array([-1, 0, 1])
-        expected = q[:, None] * (model.says[:, 1] @ value) + (1 - q)[:, None] * (model.says[:, 0] @ value)
-        rest = votes - expected
-        rest /= rest.std(axis=0) + 1e-6
-        corr = np.clip(rest.T @ rest / max(n, 1), 0, 1)
-        np.fill_diagonal(corr, 0)
-        model.weight = 1 / (1 + np.where(corr > 0.1, corr, 0).sum(axis=1))
+    for _ in range(rounds):
+        for y, w in ((0, 1 - q), (1, q)):
+            for v in (-1, 0, 1):
+                model.says[:, y, v + 1] = ((votes == v) * w[:, None]).sum(axis=0) + 0.5
+        model.says /= model.says.sum(axis=2, keepdims=True)
         if gold is not None:
-            model.weight[-1] = 1.0
+            model.says[-1] = [[gold, 1e-9, 1 - gold], [1 - gold, 1e-9, gold]]
+        model.prior = float(np.clip(q.mean(), 1e-3, 1 - 1e-3))
         q = model.posterior(votes)
     return model
 
