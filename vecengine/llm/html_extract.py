@@ -260,10 +260,21 @@ def extract_pages(pages: DataFrame, weights: Weights) -> DataFrame:
     return pages.select("page_id", "url", F.col("html").cast("string")).mapInArrow(run, "page_id long, url string, text string, n_chars long")
 
 
-def labelled_sample(pages: DataFrame, most: int) -> list[str]:
-    """At most `most` pages with an article or main element, by a hash of their id: the bounded sample for fit()."""
-    marked = pages.where(F.col("html").rlike("(?i)<(article|main)[\\s>]") & (F.length("html") < 50_000))
-    return [r.html for r in marked.select(F.xxhash64("page_id").alias("k"), "html").orderBy("k", "html").limit(most).collect()]
+def labelled_sample(pages: DataFrame, most: int, spare: int = 64) -> list[str]:
+    """At most `most` pages with an article or main element: the bounded sample for fit().
+
+    They are those of least hash of the id among about spare * most pages that a hash threshold keeps
+    (all pages of a small table), so what tasks send on stays bounded however many there are.
+    """
+    key = F.xxhash64("page_id")
+    total = pages.count()
+    few = pages.select("page_id", "html")
+    if total > spare * most:
+        few = few.where(F.pmod(key, F.lit(1 << 40)) < F.lit(int((1 << 40) * spare * most / total)))
+    marked = few.where(F.col("html").rlike("(?i)<(article|main)[\\s>]") & (F.length("html") < 50_000))
+    ids = C.cut(marked.select(key.alias("key")).orderBy("key").limit(most)).distinct()
+    rows = few.select(key.alias("key"), "html").join(F.broadcast(ids), "key").where(F.length("html") < 50_000).limit(2 * most).collect()
+    return [r.html for r in sorted(rows)[:most]]
 
 
 def op1_extract_html(spark: SparkSession, sf_dir: str, labelled_pages: int = 128) -> DataFrame:

@@ -35,7 +35,7 @@ PATTERNS = ("seed", "lookalike", "spelled", "capitals", "exclaims")
 class Toxicity:
     """sample_rows bounds the labelled rows that are learnt from; the rest is learnt on the driver from them."""
 
-    sample_rows: int = 20_000
+    sample_rows: int = 12_000
     folds: int = 4
     least_docs: int = 4
     single: int = 200  # features with a weight of their own
@@ -308,8 +308,11 @@ def seed_scorer() -> Scorer:
 def learn(docs: DataFrame, labels: DataFrame, p: Toxicity = Toxicity()) -> Scorer:
     """A scorer from labelled rows that are not held out: at most p.sample_rows, by a hash of the id."""
     known = labels.where("toxic is not null and doc_id is not null").where(~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
-    sample = known.select("doc_id", (F.col("toxic") > 0).alias("y"), F.xxhash64(F.lit("toxic"), "doc_id").alias("key")).orderBy("key").limit(p.sample_rows)
-    sample = C.cut(sample)  # bounded by sample_rows, so it may be broadcast
+    known = known.select("doc_id", (F.col("toxic") > 0).alias("y"), F.xxhash64(F.lit("toxic"), "doc_id").alias("key"))
+    total = labels.count()
+    if total > 8 * p.sample_rows:  # a threshold on the hash first, so that tasks send on a bounded number of rows
+        known = known.where(F.pmod("key", F.lit(1 << 40)) < F.lit(int((1 << 40) * 4 * p.sample_rows / total)))
+    sample = C.cut(known.orderBy(F.pmod("key", F.lit(1 << 40)), "key").limit(p.sample_rows))  # bounded, so it may be broadcast
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(sample), "doc_id").select("text", "y", F.pmod("key", F.lit(p.folds)).cast("int").alias("fold"), "key")
     texts = C.cut(texts)
 
