@@ -32,7 +32,7 @@ class Queries:
 
 def gather(qdf: DataFrame, most: int = 1_000_000) -> Queries:
     """Queries (id, vec) on the driver, in order of id; more than `most` are refused."""
-    rows = qdf.select("id", "vec").orderBy("id").limit(most + 1).collect()
+    rows = sorted(qdf.select("id", "vec").limit(most + 1).collect(), key=lambda r: r.id)
     if len(rows) > most:
         raise ValueError(f"more than {most} queries: search them in several calls")
     return Queries(np.array([r.id for r in rows], np.int64), np.array([r.vec for r in rows], np.float64).reshape(len(rows), -1))
@@ -143,21 +143,40 @@ def scan_topk(codes: DataFrame, q: Queries, books: Codebooks, k: int, metric: me
         def run(batches, shared=shared):
             s = shared.value
             held: list = [None] * len(s.ids)
-            for batch in batches:
-                groups = [(np.asarray(a, np.int64), np.frombuffer(c, np.uint8).reshape(-1, n)) for a, c, n in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True)] if blocks else [(batch.column(0).to_numpy(), np.ascontiguousarray(bytes_of(batch.column(1)).T))]
-                for ids, data in groups:
-                    if len(ids):
-                        for i, row in enumerate(s.scores(data)):
-                            new = _best(row, ids, k, s.ascending)
-                            if held[i] is not None:
-                                new = _best(np.concatenate([held[i][0], new[0].astype(kind)]), np.concatenate([held[i][1], new[1]]), k, s.ascending)
-                            held[i] = (new[0].astype(kind), new[1])
+            for ids, data in _columns(batches, blocks):
+                for i, row in enumerate(s.scores(data)):
+                    new = _best(row, ids, k, s.ascending)
+                    if held[i] is not None:
+                        new = _best(np.concatenate([held[i][0], new[0].astype(kind)]), np.concatenate([held[i][1], new[1]]), k, s.ascending)
+                    held[i] = (new[0].astype(kind), new[1])
             yield _emit(s.ids, held, kind)
 
         parts.append(codes.select(*(("ids", "codes", "n") if blocks else ("id", "code"))).mapInArrow(run, schema))
     return _reduced(parts, k, not metric.larger_is_closer)
 
 
+def _columns(batches, blocks: bool, rows: int = 1 << 16) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(ids, codes as columns of bytes) of about `rows` codes at a time: what one pass over the queries costs is spread."""
+    ids: list = []
+    data: list = []
+    held = 0
+    for batch in batches:
+        if blocks:
+            for a, c, n in zip(*(x.to_pylist() for x in batch.columns), strict=True):
+                ids.append(np.asarray(a, np.int64))
+                data.append(np.frombuffer(c, np.uint8).reshape(-1, n))
+                held += n
+        elif batch.num_rows:
+            ids.append(batch.column(0).to_numpy())
+            data.append(bytes_of(batch.column(1)).T)
+            held += batch.num_rows
+        if held >= rows:
+            yield np.concatenate(ids), np.concatenate(data, axis=1)
+            ids, data, held = [], [], 0
+    if held:
+        yield np.concatenate(ids), np.concatenate(data, axis=1)
+
+
 def finish(top: DataFrame, metric: metrics.Metric, tq: TableQuantizer | None) -> DataFrame:
     """Adds `dist`: scale and offsets once for the sum, then the outer function."""
     total = F.col("score") / tq.scale + tq.bias if tq is not None else F.col("score")
