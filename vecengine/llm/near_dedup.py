@@ -10,10 +10,9 @@ Plan, for documents of any number of copies and groups of any size:
    bucket of n makes n - 1 pairs. XOR population counts of the sketches reject far pairs; those
    left are confirmed on full sets. Links become components.
 4. Buckets whose members lie in several components go on: all are paired with the smallest member
-   outside the first component. What then still straddles components is joined across components
-   only, with sketch and size bounds in the join condition, each pair in the first bucket that it
-   shares, and confirmed. Thus no pair that shares a band is left unexamined, and none is made
-   within what is already known to be one component.
+   outside the first component. What then still straddles components is compared across components
+   only, block by block (`across`). Thus no pair that shares a band is left unexamined, none is
+   made within what is already known to be one component, and only links are sent on.
 
 A pair with similarity s shares no band with probability (1 - s ** rows) ** bands; with 32 bands
 of 5 rows that is 3e-6 at s = 0.8 and less above it.
@@ -226,35 +225,80 @@ def links(docs: DataFrame, p: NearDup) -> tuple[DataFrame, DataFrame]:
     sides = bits.select(F.col("id").alias("a"), F.col("n").alias("n1"), F.col("sketch").alias("s1")), bits.select(F.col("id").alias("b"), F.col("n").alias("n2"), F.col("sketch").alias("s2"))
     found = C.cut(measured(pairs.join(sides[0], "a").join(sides[1], "b").where(_possible(p)).select("a", "b")))
     component = C.components(found)
-    for last in [False] * p.pivot_rounds + [True]:
+    for turn in range(p.pivot_rounds + 1):
         # Members of buckets that lie in several components. `asked`: it was a pivot there, so all its links there are known.
-        placed = bucket.withColumn("asked", F.col("id") == F.col("pivot")).join(component, "id", "left").select("bucket", "id", "asked", F.coalesce("component_id", "id").alias("c"))
+        placed = bucket.withColumn("asked", F.col("id").eqNullSafe(F.col("pivot"))).join(component, "id", "left").select("bucket", "id", "asked", F.coalesce("component_id", "id").alias("c"))
         straddling = placed.groupBy("bucket").agg(F.min("c").alias("low"), F.max("c").alias("high"), F.sum((~F.col("asked")).cast("int")).alias("open")).where("low <> high and open > 0")
         placed = C.cut(placed.join(straddling.select("bucket", "low"), "bucket"))
         if placed.isEmpty():
             break
+        if turn == p.pivot_rounds:
+            component = C.components(found.union(C.cut(across(placed, bits, full, p))))
+            break
+        # One more pivot for each bucket, outside its first component.
         rows = placed.where("not asked").join(bits, "id")
-        left = rows.select("bucket", F.col("id").alias("a"), F.col("c").alias("ca"), F.col("n").alias("n1"), F.col("sketch").alias("s1"), F.col("bands").alias("ba"), "low")
-        right = rows.select("bucket", F.col("id").alias("b"), F.col("c").alias("cb"), F.col("n").alias("n2"), F.col("sketch").alias("s2"), F.col("bands").alias("bb"))
-        if last:
-            order = F.col("a") < F.col("b")
-        else:  # one more pivot for each bucket, outside its first component
-            pivot = placed.where("not asked and c <> low").groupBy("bucket").agg(F.min("id").alias("next"))
-            left = left.join(pivot, "bucket").where("a = next").drop("next")
-            order = F.col("a") != F.col("b")
-        # A pair is made in the first bucket that it shares, so once.
-        first = F.array_position(F.zip_with("ba", "bb", lambda x, y: x == y), F.lit(True))
-        here = F.array_position("ba", F.col("bucket"))
-        new = left.join(right, "bucket").where((F.col("ca") != F.col("cb")) & order & _possible(p) & (F.lit(not last) | (first == here)))
-        new = new.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
-        found = C.cut(found.union(measured(new if last else new.distinct())))
+        pivot = placed.where("not asked and c <> low").groupBy("bucket").agg(F.min("id").alias("next"))
+        left = rows.select("bucket", F.col("id").alias("a"), F.col("c").alias("ca"), F.col("n").alias("n1"), F.col("sketch").alias("s1")).join(pivot, "bucket").where("a = next")
+        right = rows.select("bucket", F.col("id").alias("b"), F.col("c").alias("cb"), F.col("n").alias("n2"), F.col("sketch").alias("s2"))
+        new = left.join(right, "bucket").where((F.col("ca") != F.col("cb")) & _possible(p)).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+        found = C.cut(found.union(measured(new)))
         component = C.components(found)
-        if not last:
-            was = placed.where("not asked and c <> low").groupBy("bucket").agg(F.min("id").alias("next"))
-            bucket = placed.join(was, "bucket", "left").select("bucket", "id", F.when(F.col("asked") | F.col("id").eqNullSafe(F.col("next")), F.col("id")).alias("pivot"))
+        bucket = placed.join(pivot, "bucket", "left").select("bucket", "id", F.when(F.col("asked") | F.col("id").eqNullSafe(F.col("next")), F.col("id")).alias("pivot"))
     return members, component
 
 
+def across(placed: DataFrame, bits: DataFrame, full: DataFrame, p: NearDup, block: int = 256) -> DataFrame:
+    """Links (a, b) that join components of placed (bucket, id, c): all that any shared bucket allows.
+
+    Buckets that share members form a crowd. Of a crowd's components the largest is its main one; each
+    member outside it (few, as a rule) is compared with all members, in tasks of about `block` of the
+    first by `block` of the second, so a crowd of any size is spread. Within a task pairs go by
+    ascending sketch distance, and a pair whose components have been linked is skipped; the sets
+    are at hand, so what leaves a task is confirmed links only.
+    """
+    heads = placed.groupBy("bucket").agg(F.min("id").alias("b"))
+    crowd = C.components(placed.select("bucket", F.col("id").alias("a")).join(heads, "bucket").select("a", "b"))
+    known = C.cut(placed.select("id", "c").distinct().join(crowd.select("id", F.col("component_id").alias("crowd")), "id"))
+    sizes = known.groupBy("crowd", "c").agg(F.count(F.lit(1)).alias("n"))
+    plan = sizes.groupBy("crowd").agg(F.max(F.struct("n", "c")).alias("top"), F.sum("n").alias("n")).select("crowd", F.col("top.c").alias("main"), F.ceil(F.col("n") / block).alias("parts"), F.ceil((F.col("n") - F.col("top.n")) / block).alias("outer")).where("outer > 0")
+    rows = known.join(plan, "crowd").join(bits.select("id", "n", "sketch"), "id").join(full, "id").select("crowd", "id", "c", "n", "sketch", "items", "main", "parts", "outer", F.xxhash64("id").alias("h"))
+    keys = lambda i, j: [i.cast("long").alias("i"), j.cast("long").alias("j"), *[F.col(k).alias(k) for k in ("crowd", "id", "c", "n", "sketch", "items")]]  # noqa: E731  (aliases part the two sides)
+    each = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), F.col(n) - 1))
+    left = rows.where("c <> main").withColumn("j", each("parts")).select(*keys(F.pmod("h", F.col("outer")), F.col("j")))
+    right = rows.withColumn("i", each("outer")).select(*keys(F.col("i"), F.pmod("h", F.col("parts"))))
+    near = most_flips(p)
+
+    def match(x: pa.Table, y: pa.Table) -> pa.Table:
+        out: list[tuple[int, int]] = []
+        if x.num_rows and y.num_rows:
+            (xi, xc, xn), (yi, yc, yn) = ([t[c].to_numpy() for c in ("id", "c", "n")] for t in (x, y))
+            xs, ys = (np.stack([np.asarray(s, np.int64) for s in t["sketch"].to_pylist()]).view(np.uint64) for t in (x, y))
+            flips = np.bitwise_count(xs[:, None, :] ^ ys[None]).sum(axis=2)
+            fits = (flips <= near) & (xc[:, None] != yc[None]) & (100 * np.minimum(xn[:, None], yn[None]) >= p.percent * np.maximum(xn[:, None], yn[None]))
+            a, b = np.nonzero(fits)
+            order = np.argsort(flips[a, b], kind="stable")
+            sets = [[np.frombuffer(v.as_buffer(), np.uint64) for v in t["items"]] for t in (x, y)]
+            up: dict[int, int] = {}
+
+            def root(c: int) -> int:
+                while c in up:
+                    c = up[c]
+                return c
+
+            for i, j in zip(a[order].tolist(), b[order].tolist(), strict=True):
+                ci, cj = root(int(xc[i])), root(int(yc[j]))
+                if ci != cj:
+                    both = np.concatenate([sets[0][i], sets[1][j]])
+                    both.sort(kind="stable")
+                    shared = int((both[1:] == both[:-1]).sum())
+                    if 100 * shared >= p.percent * (len(both) - shared):
+                        up[max(ci, cj)] = min(ci, cj)
+                        out.append((int(xi[i]), int(yi[j])))
+        return pa.table({"a": pa.array([o[0] for o in out], pa.int64()), "b": pa.array([o[1] for o in out], pa.int64())})
+
+    return left.groupBy("crowd", "i", "j").cogroup(right.groupBy("crowd", "i", "j")).applyInArrow(match, "a long, b long")
+
+
 def groups(docs: DataFrame, p: NearDup) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for each row of docs.
 
