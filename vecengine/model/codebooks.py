@@ -54,6 +54,19 @@ class Codebooks:
             return out
         c = self.centroids.astype(np.float32)
         half = 0.5 * (c * c).sum(axis=2)
+        if self.k <= 16:  # centroids outermost: each comparison runs over a whole block of vectors
+            c1 = np.concatenate([c, -half[:, :, None]], axis=2)
+            step = max(256, (1 << 19) // (self.m * self.k))
+            for lo in range(0, len(x), step):
+                block = np.ones((self.m, c1.shape[2], min(step, len(x) - lo)), np.float32)
+                block[:, :-1] = parts[:, lo : lo + step].transpose(0, 2, 1)
+                s = np.matmul(c1, block)
+                best, at = s[:, 0].copy(), np.zeros((self.m, block.shape[2]), np.uint8)
+                for i in range(1, self.k):
+                    np.copyto(at, np.uint8(i), where=s[:, i] > best)
+                    np.maximum(best, s[:, i], out=best)
+                out[lo : lo + step] = at.T
+            return out
         step = max(256, (1 << 20) // (self.m * self.k))
         for lo in range(0, len(x), step):  # scores of a block stay in cache
             block = np.ascontiguousarray(parts[:, lo : lo + step], np.float32)
