@@ -591,33 +591,33 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 }
 
 
-def workload(module: str, name: str, **sizes):
-    """An experiment at sizes that suit a query list; its own defaults are larger."""
+def workload(module: str, name: str):
+    """An experiment over its whole grid, whole views and all held-out queries."""
 
     def run(spark, sf_dir):
         from importlib import import_module
 
-        return getattr(import_module(f"vecengine.workloads.{module}"), name)(spark, sf_dir, **sizes)
+        return getattr(import_module(f"vecengine.workloads.{module}"), name)(spark, sf_dir)
 
     return run
 
 
 QUERIES |= surround.QUERIES
 QUERIES |= {
-    "w01_encode": workload("speed", "w01_encode", n=5_000, dims=(64, 128), sizes=(8,), runs=1),
-    "w02_tables": workload("speed", "w02_tables", n=500, dims=(64, 128), sizes=(8,), runs=1),
-    "w03_scan": workload("speed", "w03_scan", n=20_000, n_queries=8, sizes=(8,), batches=(1, 256), runs=1),
-    "w04_square": workload("speed", "w04_square", sides=(64, 256)),
-    "w05_tall": workload("speed", "w05_tall", n=10_000, columns=(1, 16), sizes=(8,), runs=1),
-    "w06_recall": workload("quality", "w06_recall", views=("v_walk_s16",), sizes=(8, 16)),
-    "w07_correlation": workload("quality", "w07_correlation", views=("v_walk_s16",), sizes=(8, 16), methods=("btq", "btqf")),
-    "w08_compression": workload("quality", "w08_compression", views=("v_walk_s16",)),
-    "w09_alpha": workload("quality", "w09_alpha", views=("v_embed",)),
+    "w01_encode": workload("speed", "w01_encode"),
+    "w02_tables": workload("speed", "w02_tables"),
+    "w03_scan": workload("speed", "w03_scan"),
+    "w04_square": workload("speed", "w04_square"),
+    "w05_tall": workload("speed", "w05_tall"),
+    "w06_recall": workload("quality", "w06_recall"),
+    "w07_correlation": workload("quality", "w07_correlation"),
+    "w08_compression": workload("quality", "w08_compression"),
+    "w09_alpha": workload("quality", "w09_alpha"),
     "w10_writes": workload("writes", "w10_writes"),
-    "w11_mips": workload("quality", "w11_mips", sizes=(8,)),
+    "w11_mips": workload("quality", "w11_mips"),
     "w12_truncation": workload("quality", "w12_truncation"),
-    "w13_order": workload("quality", "w13_order", methods=("btq", "btqf", "pq")),
-    "w14_codecs": workload("writes", "w14_codecs", codecs=("snappy",)),
+    "w13_order": workload("quality", "w13_order"),
+    "w14_codecs": workload("writes", "w14_codecs"),
 }
 ORACLES = ORACLES | surround.ORACLES | {"blocked_scan": ORACLES["btq_scan_topk"], "matmul_block": ORACLES["matmul_coord"], "matmul_arrow": ORACLES["matmul_coord"], "streaming_encode": ORACLES["btq_codes_8"], "streaming_ops": ORACLES["ops_merge_final"]}
 

@@ -50,7 +50,7 @@ def clock(f, runs: int) -> float:
     return best
 
 
-def w01_encode(spark: SparkSession, sf_dir: str, n: int = 50_000, dims=(64, 128, 256), sizes=(8, 16, 32), methods=("btq", "pq", "opq"), runs: int = 2) -> DataFrame:
+def w01_encode(spark: SparkSession, sf_dir: str, n: int = 100_000, dims=(64, 128, 256, 512, 784), sizes=(8, 16, 32), methods=("btq", "pq", "opq"), runs: int = 2) -> DataFrame:
     """Vectors encoded a second by length and size."""
     rows = []
     for j in dims:
@@ -61,13 +61,13 @@ def w01_encode(spark: SparkSession, sf_dir: str, n: int = 50_000, dims=(64, 128,
             for method in methods:
                 b = random_books(method, nbytes, j)
                 job = timing.best_of(lambda b=b, df=df: code_ops.encode(df, b), runs)
-                kernel = clock(lambda b=b, x=x: pack(b.encode(x), b.k), runs) * n / len(x)
+                kernel = clock(lambda b=b, x=x: [pack(b.encode(x[: n - lo]), b.k) for lo in range(0, n, len(x))], runs)  # all n, in blocks
                 rows.append((method, nbytes, j, n, job, n / job, kernel, n / kernel, timing.gb_per_second(n, j, kernel), accuracy.op_counts(j, b.m, b.k)["encode_madds"]))
         df.unpersist()
     return table(spark, rows, "method string, bytes int, dims int, n long, job_s double, job_vec_s double, kernel_s double, kernel_vec_s double, kernel_gb_s double, madds int")
 
 
-def w02_tables(spark: SparkSession, sf_dir: str, n: int = 2_000, dims=(64, 128, 256), sizes=(8, 16, 32), methods=("btq", "pq", "opq"), runs: int = 2) -> DataFrame:
+def w02_tables(spark: SparkSession, sf_dir: str, n: int = 10_000, dims=(64, 128, 256, 512, 784), sizes=(8, 16, 32), methods=("btq", "pq", "opq"), runs: int = 2) -> DataFrame:
     """Queries whose tables are made a second."""
     rows = []
     for j in dims:
@@ -129,7 +129,7 @@ def w03_scan(spark: SparkSession, sf_dir: str, n: int = 100_000, dims: int = 256
     return table(spark, rows, "method string, bytes int, batch int, n long, seconds double, q_s double")
 
 
-def w04_square(spark: SparkSession, sf_dir: str, sides=(64, 256, 1024), nbytes: int = 16) -> DataFrame:
+def w04_square(spark: SparkSession, sf_dir: str, sides=(64, 128, 256, 512, 1024, 2048), nbytes: int = 16) -> DataFrame:
     """Square products: exact in Arrow blocks, approximate with and without encoding, as jobs."""
     rows = []
     for side in sides:
@@ -146,7 +146,7 @@ def w04_square(spark: SparkSession, sf_dir: str, sides=(64, 256, 1024), nbytes:
     return table(spark, rows, "side int, engine string, bytes int, seconds double")
 
 
-def w05_tall(spark: SparkSession, sf_dir: str, n: int = 100_000, dims: int = 256, columns=(1, 16, 256), sizes=(8, 16, 32), runs: int = 2) -> DataFrame:
+def w05_tall(spark: SparkSession, sf_dir: str, n: int = 100_000, dims: int = 256, columns=(1, 16, 64, 256, 1024), sizes=(8, 16, 32), runs: int = 2) -> DataFrame:
     """A tall matrix by a thin one, the tall one's rows as the database: kernels, encoding counted and not."""
     rng = np.random.default_rng(5)
     x = rng.uniform(-1, 1, (n, dims)).astype(np.float32)

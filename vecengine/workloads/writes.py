@@ -45,7 +45,7 @@ def w10_writes(spark: SparkSession, sf_dir: str, log: DataFrame | None = None) -
 def w14_codecs(spark: SparkSession, sf_dir: str, codecs=("none", "snappy", "zstd")) -> DataFrame:
     """(view, codec, bytes, mb_s): vectors through general-purpose compressors, and as codes of 8 bytes."""
     rows = []
-    for view in ("v_embed", "v_walk_s16"):
+    for view in ("v_embed", "v_walk"):
         make, dims = views.VIEWS[view]
         df = make(spark, sf_dir).selectExpr("id", "cast(vec as array<float>) as vec").persist()
         n = df.count()
