@@ -2,7 +2,10 @@
 
 import inspect
 
+from pyspark.sql import functions as F
+
 from vecengine import registry
+from vecengine.llm import fingerprints
 
 
 def test_workloads_take_the_whole_grid(spark, monkeypatch):
@@ -22,3 +25,20 @@ def test_workloads_take_the_whole_grid(spark, monkeypatch):
             grid = {k: p.default for k, p in inspect.signature(f).parameters.items()}
             assert set(grid.get("sizes", (8, 16, 32))) == {8, 16, 32} and set(grid.get("methods", common.METHODS)) == set(common.METHODS)
             assert not any(v.startswith("v_walk_s") for v in grid.get("views", ()))
+
+
+def test_fingerprints_keep_every_anchor(spark):
+    a, b = ([f"{x}{i}" for i in range(9_000)] for x in "ab")
+    shared = [f"s{i}" for i in range(50)]
+    docs = [(1, " ".join(a[:4_000] + shared + a[4_000:])), (2, " ".join(b + shared + shared))]
+    rows = fingerprints.compare_with_next(spark.createDataFrame(docs, "doc_id long, text string"))
+    one, two = rows.orderBy("doc_id").collect()
+    x, y = ({p.h for p in r.anchors} for r in (one, two))
+    assert len(x) > 5_000 and len(x & y) > 15
+    assert one.near_next == two.near_next == len(x & y) / len(x | y)
+    edited = {p.h for p in one.edited_anchors}
+    assert one.near_edited == len(x & edited) / len(x | edited)
+    pair = rows.where("doc_id = 1").select(F.col("anchors").alias("a")).crossJoin(rows.where("doc_id = 2").select(F.col("anchors").alias("b")))
+    found = pair.select(fingerprints.matches(F.col("a"), F.col("b")).alias("m")).first().m
+    want = sorted((p.at, q.at) for p in one.anchors for q in two.anchors if p.h == q.h)
+    assert sorted((m.at_a, m.at_b) for m in found) == want and {m.shift for m in found} >= {5_000, 5_050}

@@ -61,12 +61,17 @@ def anchors(text: Column, k: int = 4, s: int = 2) -> Column:
 
 
 def sketch(text: Column, keep: int = 64, k: int = 4, s: int = 2) -> Column:
-    """The `keep` anchors of least hash, each hash once at its first place, by hash: a uniform sample of anchors."""
+    """The `keep` anchors of least hash, each hash once at its first place, by hash: a short form for display and lookup."""
+    return least(anchors(text, k, s), keep)
+
+
+def least(found: Column, keep: int = 64) -> Column:
+    """sketch() of a text whose anchors are at hand."""
 
     def first(a: Column) -> Column:
         return F.filter(F.transform(F.sequence(F.lit(1), F.size(a)), lambda i: F.when((i == 1) | (F.element_at(a, i)["h"] != F.element_at(a, F.greatest(i - 1, F.lit(1)))["h"]), F.element_at(a, i))), lambda x: x.isNotNull())
 
-    ordered = let(F.sort_array(anchors(text, k, s)), lambda a: F.when(F.size(a) == 0, a).otherwise(first(a)))
+    ordered = let(F.sort_array(found), lambda a: F.when(F.size(a) == 0, a).otherwise(first(a)))
     return F.slice(ordered, 1, keep)
 
 
@@ -75,24 +80,37 @@ def render(fp: Column) -> Column:
     return F.array_join(F.transform(fp, lambda x: F.concat(F.lpad(F.lower(F.hex(x["h"])), 16, "0"), F.lit("@"), x["at"].cast("string"))), " ")
 
 
-def likeness(a: Column, b: Column, keep: int = 64) -> Column:
-    """Share of common hashes among the least of both, 0 to 1: estimates the overlap of the full anchor sets.
+def likeness(a: Column, b: Column) -> Column:
+    """Share of common hashes among those of either, 0 to 1: the overlap of the anchor sets as they are.
 
-    Two empty fingerprints are alike (1); an empty and another are not (0).
+    Two empty sets are alike (1); an empty and another are not (0).
     """
-    hashes = lambda fp: F.transform(fp, lambda x: x["h"])
+    hashes = lambda fp: F.array_distinct(F.transform(fp, lambda x: x["h"]))
 
     def ratio(x: Column, y: Column) -> Column:
-        least = F.slice(F.array_sort(F.array_union(x, y)), 1, keep)
-        return let(least, lambda u: F.when(F.size(u) == 0, F.lit(1.0)).otherwise(F.size(F.array_intersect(F.array_intersect(u, x), y)) / F.size(u)))
+        return let(F.size(F.array_intersect(x, y)), lambda n: F.when(F.size(x) + F.size(y) == 0, F.lit(1.0)).otherwise(n / (F.size(x) + F.size(y) - n)))
 
     return let(F.struct(hashes(a).alias("x"), hashes(b).alias("y")), lambda p: ratio(p["x"], p["y"]))
 
 
 def matches(a: Column, b: Column) -> Column:
-    """array<struct<at_a, at_b, shift>> of anchors that two fingerprints share: positional matching."""
-    there = F.map_from_entries(F.transform(b, lambda x: F.struct(x["h"], x["at"])))
-    return let(there, lambda m: F.transform(F.filter(a, lambda x: F.map_contains_key(m, x["h"])), lambda x: F.struct(x["at"].alias("at_a"), m[x["h"]].alias("at_b"), (m[x["h"]] - x["at"]).alias("shift"))))
+    """array<struct<at_a, at_b, shift>> of each pair of places at which an anchor stands in both: positional matching.
+
+    By hash, then place. Both sides are sorted as one, so that only equal neighbours meet.
+    """
+    side = lambda fp, n: F.transform(fp, lambda x: F.struct(x["h"].alias("h"), F.lit(n).alias("side"), x["at"].alias("at")))
+
+    def pairs(run: Column) -> Column:
+        there = F.filter(run, lambda y: y["side"] == 1)
+        return F.flatten(F.transform(F.filter(run, lambda x: x["side"] == 0), lambda x: F.transform(there, lambda y: F.struct(x["at"].alias("at_a"), y["at"].alias("at_b"), (y["at"] - x["at"]).alias("shift")))))
+
+    def runs(s: Column) -> Column:
+        at = lambda i: F.element_at(s, i.cast("int"))["h"]
+        starts = F.filter(F.sequence(F.lit(1), F.size(s)), lambda i: (i == 1) | (at(i) != at(F.greatest(i - 1, F.lit(1)))))
+        return let(starts, lambda p: F.flatten(F.transform(F.arrays_zip(p.alias("i"), F.concat(F.slice(p, F.lit(2), F.size(p) - 1), F.array(F.size(s) + 1)).alias("j")), lambda r: let(F.slice(s, r["i"], r["j"] - r["i"]), pairs))))
+
+    none = F.filter(F.array(F.struct(F.lit(0).alias("at_a"), F.lit(0).alias("at_b"), F.lit(0).alias("shift"))), lambda x: F.lit(False))
+    return let(F.sort_array(F.concat(side(a, 0), side(b, 1))), lambda s: F.when(F.size(s) == 0, none).otherwise(runs(s)))
 
 
 LEAST = -(1 << 63)
@@ -115,7 +133,10 @@ def followers(keys: DataFrame) -> DataFrame:
 
 
 def compare_with_next(docs: DataFrame, keep: int = 64) -> DataFrame:
-    """Fingerprints of each text, of its edit with the next document, and their likeness.
+    """Anchors of each text and of its edit with the next document, and the likeness of the whole texts.
+
+    anchors and edited_anchors hold every anchor in text order, and near_edited and near_next compare
+    all of them; fingerprint and edited_fingerprint show the `keep` of least hash.
 
     The edited text is the text with its last floor(n_chars / 2) code points replaced by the first
     as many, or all, of the next document by ascending doc_id; after the last comes the first, and
@@ -127,20 +148,21 @@ def compare_with_next(docs: DataFrame, keep: int = 64) -> DataFrame:
     base = base.select("kid", F.xxhash64("text").alias("h"), "text")
     order = C.cut(followers(base.select("kid", "h", F.length("text").alias("n")).distinct()))
     give = order.select(F.col("nk").alias("kid"), F.col("nh").alias("h"), F.col("kid").alias("to_kid"), F.col("h").alias("to_h"), (F.col("n") / 2).cast("int").alias("need"))
-    given = base.join(give, ["kid", "h"]).select("to_kid", "to_h", F.expr("substring(text, 1, need)").alias("lead"), sketch(F.col("text"), keep).alias("next_fp"))
+    given = base.join(give, ["kid", "h"]).select("to_kid", "to_h", F.col("text").alias("after"), "need")
     given = given.withColumnsRenamed({"to_kid": "kid", "to_h": "h"}).dropDuplicates(["kid", "h"])
     both = base.join(given, ["kid", "h"])
-    n = F.length("text")
-    both = both.select("kid", n.alias("n"), sketch(F.col("text"), keep).alias("fp"), "next_fp", F.expr("concat(substring(text, 1, length(text) - cast(length(text) div 2 as int)), lead)").alias("edited"))
-    both = both.select("kid", "n", "fp", "next_fp", F.sha2(F.encode("edited", "UTF-8"), 256).alias("edited_sha256"), sketch(F.col("edited"), keep).alias("edited_fp"))
+    both = both.select("kid", F.length("text").alias("n"), anchors(F.col("text")).alias("own"), anchors(F.col("after")).alias("next"), F.expr("concat(substring(text, 1, length(text) - need), substring(after, 1, need))").alias("edited"))
+    both = both.select("kid", "n", "own", "next", F.sha2(F.encode("edited", "UTF-8"), 256).alias("edited_sha256"), anchors(F.col("edited")).alias("changed"))
     return both.select(
         F.nullif("kid", F.lit(LEAST)).alias("doc_id"),
         F.col("n").cast("long").alias("n_chars"),
         "edited_sha256",
-        render(F.col("fp")).alias("fingerprint"),
-        render(F.col("edited_fp")).alias("edited_fingerprint"),
-        likeness(F.col("fp"), F.col("edited_fp"), keep).alias("near_edited"),
-        likeness(F.col("fp"), F.col("next_fp"), keep).alias("near_next"),
+        render(least(F.col("own"), keep)).alias("fingerprint"),
+        render(least(F.col("changed"), keep)).alias("edited_fingerprint"),
+        likeness(F.col("own"), F.col("changed")).alias("near_edited"),
+        likeness(F.col("own"), F.col("next")).alias("near_next"),
+        F.col("own").alias("anchors"),
+        F.col("changed").alias("edited_anchors"),
     )
 
 
