@@ -2,10 +2,11 @@
 
 import inspect
 
+import pytest
 from pyspark.sql import functions as F
 
 from vecengine import registry
-from vecengine.llm import fingerprints
+from vecengine.llm import fingerprints, html_extract
 
 
 def test_workloads_take_the_whole_grid(spark, monkeypatch):
@@ -42,3 +43,34 @@ def test_fingerprints_keep_every_anchor(spark):
     found = pair.select(fingerprints.matches(F.col("a"), F.col("b")).alias("m")).first().m
     want = sorted((p.at, q.at) for p in one.anchors for q in two.anchors if p.h == q.h)
     assert sorted((m.at_a, m.at_b) for m in found) == want and {m.shift for m in found} >= {5_000, 5_050}
+
+
+STORY = "<h1>Rivers in winter</h1><p>Ice forms first where the current is slow, then spreads from both banks.</p><p>By spring it breaks up with a great noise.</p>"
+TOLD = "Rivers in winter Ice forms first where the current is slow, then spreads from both banks. By spring it breaks up with a great noise."
+
+
+@pytest.mark.parametrize(
+    "body",
+    [
+        f'<div style="overflow:hidden">{STORY}</div>',
+        f'<div class="overflow-hidden" title="hidden">{STORY}</div>',
+        f'<div data-x="display:none"><div style="color:red">{STORY}</div></div>',
+        f'<form action="/x"><input type="hidden" name="s">{STORY}</form>',
+        f'<form id="aspnetForm"><div class="menu"><a href=1>One</a></div><article>{STORY}</article></form>',
+        f'<div class="content-sidebar-wrap"><div id=c>{STORY}</div><div class="sidebar"><p>Also to be read today</p></div></div>',
+        f'<div class="sidebar-wrap header-wrap"><main>{STORY}</main></div><p>Small print</p>',
+        f'<div class="site social share"><article>{STORY}</article></div>',
+        STORY.replace("<h1>", '<h1 class="page-header">'),
+        f'<article>{STORY}</article><section id="comments"><article>{"Nice one and thanks for it. " * 30}</article></section>',
+        f'{STORY}<p hidden>Not seen by any reader</p><div style="visibility: hidden"><p>Nor is this one</p></div><p aria-hidden="true">Nor this</p>',
+    ],
+)
+def test_html_wrappers_do_not_drop_the_content(body):
+    w = html_extract.fit([*html_extract.LABELLED * 4])
+    nav = "<nav><ul><li><a href=x>Home</a></li></ul></nav>"
+    assert html_extract.extract(f"<html><body>{nav}{body}<footer>All rights reserved</footer></body></html>", w) == TOLD
+
+
+def test_html_link_to_hidden_words():
+    w = html_extract.fit([*html_extract.LABELLED * 4])
+    assert "the lake" in html_extract.extract('<body><p>We walked all day to <a href="/hidden-lake">the lake</a> and back again.</p></body>', w)

@@ -23,8 +23,10 @@ from vecengine.llm import common as C
 
 #: A comment, a declaration or processing instruction, or a tag with quoted or bare attributes.
 MARKUP = re.compile(r"<!--.*?(?:-->|$)|<[!?][^>]*(?:>|$)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|$)", re.S)
-HINTS = re.compile(r"""(?:\b(?:class|id|role|itemprop|aria-label)\s*=\s*)(?:"([^"]*)"|'([^']*)'|([^\s"'>]+))""", re.I)
-HIDDEN = re.compile(r"""\bhidden\b(?!\s*=\s*["']?(?:false|until))|aria-hidden\s*=\s*["']?true|display\s*:\s*none""", re.I)
+ATTRIBUTE = re.compile(r"""([^\s"'<>/=]+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""")
+UNSEEN = re.compile(r"(?:^|;)\s*(?:display\s*:\s*none|visibility\s*:\s*hidden)\b", re.I)
+#: Attributes whose values name what an element is for.
+HINTS = ("class", "id", "role", "itemprop", "aria-label")
 
 # Elements and attribute words of page parts.
 RAW = frozenset("script style noscript template textarea title iframe object xmp noembed noframes".split())
@@ -39,6 +41,26 @@ PART_WORDS = re.compile(
     r"|comments?|commentlist|discussion|respond|replies|disqus|reviews?|pagination|pager|tags|widget\w*|copyright|legal|disclaimer|skip-?link|search\w*|complementary|contentinfo|navigation|banner)(?=$|[\s_-])",
     re.I,
 )
+#: Part words that also name the layout of a whole page; elements that may stand around the content.
+LAYOUT = re.compile(r"[\s_-]*(?:nav\w*|menu\w*|side-?bar\w*|footer\w*|masthead|site-?header|page-?header|topbar|toolbar|header|banner\w*|overlay|modal\w*|widget\w*|search\w*|login|tags|legal|reviews?|discussion)[\s_-]*", re.I)
+AROUND = frozenset(("form", "fieldset"))
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
+TITLE = re.compile(r"(?:^|(?<=\s))(?:page-?)?header(?=$|\s)", re.I)
+#: So many times the words outside of all parts a layout wrapper has to hold to count as the content's.
+MOST = 4
+
+
+def named(attributes: str) -> dict[str, str]:
+    """Values by lower-case name, the first of each; an attribute without a value has an empty one."""
+    out: dict[str, str] = {}
+    for name, a, b, c in ATTRIBUTE.findall(attributes):
+        out.setdefault(name.lower(), a or b or c)
+    return out
+
+
+def hidden(a: dict[str, str]) -> bool:
+    """By a hidden attribute, aria-hidden=true or its own style."""
+    return ("hidden" in a and not a["hidden"].lower().startswith(("false", "until"))) or a.get("aria-hidden", "").strip().lower() == "true" or bool(UNSEEN.search(a.get("style", "")))
 
 
 def spans(page: str) -> Iterator[tuple]:
@@ -73,51 +95,98 @@ def tokens(page: str) -> list[tuple[str, str, bool]]:
     """(kind, text, part) of each text run and tag; part: it stands in a page part that is not the article.
 
     kind of a run: 'word:' and its nearest of part, heading, link, item or plain; of a tag: its name.
+    Forms and elements that attribute words mark are no parts where they stand around the content.
     """
-    out: list[tuple[str, str, bool]] = []
-    stack: list[tuple[str, bool]] = []
+    out: list[tuple[str, str, bool, int]] = []  # the last: the innermost marked element, 0 for none
+    stack: list[tuple[str, bool, bool]] = []
     parts = links = items = heads = content = 0
     depth: Counter = Counter()
+    marked = [0]  # the marked elements' open ones
+    above, layout = [0], [False]  # of each marked element: the next one around it; whether it may be of the layout
+    held: list[tuple[str, int]] = []  # article and main elements, by the marked element around them
 
     def leave() -> None:
         nonlocal parts, links, items, heads, content
-        name, is_part = stack.pop()
+        name, is_part, is_marked = stack.pop()
         depth[name] -= 1
         parts -= is_part
+        if is_marked:
+            marked.pop()
         links -= name == "a"
         items -= name == "li"
-        heads -= name in ("h1", "h2", "h3", "h4", "h5", "h6")
+        heads -= name in HEADINGS
         content -= name in CONTENT
 
     for what, text, attributes in spans(page):
         if what == "text":
-            kind = "word:part" if parts else "word:link" if links else "word:head" if heads else "word:item" if items else "word:plain"
-            out.append((kind, text, parts > 0))
+            kind = "word:link" if links else "word:head" if heads else "word:item" if items else "word:plain"
+            out.append((kind, text, parts > 0, marked[-1]))
             continue
         tag = text
         if what == "open":
             if tag in OPEN_ENDED and stack and stack[-1][0] == tag:
                 leave()
-            is_part = tag in RAW or tag in PARTS
+            is_part = tag in RAW or tag in PARTS - AROUND
             if tag == "header" and content:
                 is_part = False  # an article's own head
+            is_marked, of_layout = tag in AROUND, True
             if attributes and not is_part and tag not in ("html", "body", *CONTENT):
-                names = " ".join(a or b or c for a, b, c in HINTS.findall(attributes))
-                is_part = bool(names and PART_WORDS.search(names)) or bool(HIDDEN.search(attributes))
-            stack.append((tag, is_part))
+                a = named(attributes)
+                names = " ".join(a[x] for x in HINTS if a.get(x))
+                found = [m.group() for m in PART_WORDS.finditer(TITLE.sub("", names) if tag in HEADINGS else names)]
+                is_part = hidden(a)
+                is_marked = not is_part and (is_marked or bool(found))
+                of_layout = all(LAYOUT.fullmatch(x) for x in found)
+            if is_marked:
+                above.append(marked[-1])
+                layout.append(of_layout)
+                marked.append(len(above) - 1)
+            if tag in CONTENT and not parts:
+                held.append((tag, marked[-1]))
+            stack.append((tag, is_part, is_marked))
             depth[tag] += 1
             parts += is_part
             links += tag == "a"
             items += tag == "li"
-            heads += tag in ("h1", "h2", "h3", "h4", "h5", "h6")
+            heads += tag in HEADINGS
             content += tag in CONTENT
         elif what == "close":
             if depth[tag]:
                 while stack[-1][0] != tag:
                     leave()
                 leave()
-        out.append((("/" if what == "close" else "") + tag, "", parts > 0))
-    return out
+        out.append((("/" if what == "close" else "") + tag, "", parts > 0, marked[-1]))
+    left_out = _left_out(out, above, layout, held)
+    return [("word:part" if kind.startswith("word:") and (part or left_out[n]) else kind, text, part or left_out[n]) for kind, text, part, n in out]
+
+
+def _left_out(out: list, above: list[int], layout: list[bool], held: list[tuple[str, int]]) -> list[bool]:
+    """Of each marked element: whether it, or one around it, is a part and not a wrapper of the content.
+
+    Wrappers are what stands around a main element; around an article where none stands outside of
+    marked elements and the wrapper holds more words than are left outside (most, where it is not of the
+    layout); and, without either, what is of the layout and holds most of the words that are neither
+    links nor in a part.
+    """
+    words = [0] * len(above)
+    for kind, text, part, n in out:
+        if not part and kind in ("word:plain", "word:head", "word:item"):
+            words[n] += len(text.split())
+    wraps = {n for tag, n in held if tag == "main"}
+    if not any(n == 0 for _, n in held):
+        if not wraps:
+            wraps = {n for _, n in held if words[n] > (1 if layout[n] else MOST) * words[0]}
+        if not wraps:
+            n = max(range(len(above)), key=lambda n: (layout[n] * words[n], -n))
+            wraps = {n} if layout[n] and words[n] > MOST * words[0] else set()
+    for n in list(wraps):
+        while n:
+            wraps.add(n)
+            n = above[n]
+    left = [False] * len(above)
+    for n in range(1, len(above)):
+        left[n] = left[above[n]] or n not in wraps
+    return left
 
 
 class Weights:
