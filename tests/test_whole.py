@@ -2,6 +2,9 @@
 
 import inspect
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.parquet as pq
 import pytest
 from pyspark.sql import functions as F
 
@@ -74,3 +77,29 @@ def test_html_wrappers_do_not_drop_the_content(body):
 def test_html_link_to_hidden_words():
     w = html_extract.fit([*html_extract.LABELLED * 4])
     assert "the lake" in html_extract.extract('<body><p>We walked all day to <a href="/hidden-lake">the lake</a> and back again.</p></body>', w)
+
+
+def test_fits_go_over_all_training_vectors(spark, sf, tmp_path, monkeypatch):
+    from vecengine.baselines.simple import constant
+    from vecengine.operators import search
+    from vecengine.train import lloyd, table_quantizer
+
+    n = 130_000
+    x = np.random.default_rng(0).standard_normal((n, 64)).astype(np.float32)
+    flat = pa.ListArray.from_arrays(pa.array(np.arange(0, 64 * n + 1, 64, dtype=np.int32)), pa.array(x.reshape(-1)))
+    pq.write_table(pa.table({"vec_id": pa.array(np.arange(n)), "embedding": flat, "label": pa.array(np.zeros(n, np.int32))}), f"{tmp_path}/embeddings.parquet")
+    counts = registry.QUERIES["kmeans_iter0"](spark, str(tmp_path)).where("m = 3").select("i", "n").distinct().toPandas()
+    assert counts.n.sum() == n * 4 // 5
+
+    q, v = registry.parts(spark, "/root/testdata/sf0.1")
+    q = search.gather(q)
+    true = search.exact_pairs(v, q, registry.L2).agg(F.count(F.lit(1)), F.avg("true_d")).first()
+    assert true[0] == len(q.ids) * v.count() and abs(constant(v, q, registry.L2) - true[1]) < 1e-12
+
+    seen = []
+    cut = table_quantizer.cutoffs
+    monkeypatch.setattr(table_quantizer, "cutoffs", lambda t, **how: seen.append(t.count()) or cut(t, **how))
+    assert registry.QUERIES["alpha_variants"](spark, sf).count() == 64 and seen == [400 * 256] * 2
+
+    few = {r.id for r in lloyd.sample(spark.range(10_000), 100).collect()}
+    assert len(few) == 100 and 3_000 < np.mean(list(few)) < 7_000

@@ -26,7 +26,6 @@ from vecengine.subspaces import explode_sub, split
 from vecengine.train import lloyd, rotation, table_quantizer
 
 FLAGSHIP = "btq_scan_topk"
-TRAIN_ROWS = 100_000  # bound of what codebooks are fitted on
 FIT_QUERIES = 1_000  # bound of the queries that a table quantizer is fitted on
 SQL2, L2, DOT = metrics.get("sql2"), metrics.get("l2"), metrics.get("dot")
 DIMS = 64
@@ -47,7 +46,8 @@ def parts(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
 
 
 def training(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return lloyd.sample(parts(spark, sf_dir)[1], TRAIN_ROWS)
+    """What codebooks are fitted on: all vectors that are no queries, as in the SQL."""
+    return parts(spark, sf_dir)[1]
 
 
 def books(spark: SparkSession, sf_dir: str, m: int = 16, k: int = 16, iters: int = 3) -> Codebooks:
@@ -55,7 +55,7 @@ def books(spark: SparkSession, sf_dir: str, m: int = 16, k: int = 16, iters: int
 
 
 def fit_tables(spark: SparkSession, sf_dir: str, b: Codebooks, metric: metrics.Metric) -> DataFrame:
-    """Table entries of the sampled training vectors that stand in as queries."""
+    """Table entries of the training vectors that stand in as queries, the same ones as in the SQL."""
     few = training(spark, sf_dir).where("id % 5 = 1").orderBy("id").limit(FIT_QUERIES)
     return search.tables(few, b, metric)
 
@@ -161,13 +161,13 @@ def alpha_best(spark, sf_dir):
 
 
 def alpha_variants(spark, sf_dir):
-    """Loss by alpha for either pooling and either weighting of entries, with and without the half step."""
+    """Loss by alpha for either pooling and either weighting of entries, with and without the half step, over all training vectors."""
     b = books(spark, sf_dir)
-    t = fit_tables(spark, sf_dir, b, SQL2).persist()
+    t = search.tables(training(spark, sf_dir), b, SQL2)
     usage = code_ops.usage(codes_of(spark, sf_dir, b), b)
     out = None
     for pool in ("shifted", "raw"):
-        cut = table_quantizer.cutoffs(t, pool=pool)
+        cut = table_quantizer.cutoffs(t, pool=pool, approximate=True).persist()
         for weight, u in (("uniform", None), ("usage", usage)):
             for half in (False, True):
                 part = table_quantizer.grid_loss(t, cut, u, half).select(F.lit(pool).alias("pool"), F.lit(weight).alias("weight"), F.lit(half).alias("midpoint"), "alpha", "scale", "loss")
@@ -454,7 +454,7 @@ def densify_signhash(spark, sf_dir):
 
 
 def constant_loss(spark, sf_dir):
-    """Mean squared error where every distance is answered by the mean of a sample."""
+    """Mean squared error where every distance is answered by their mean."""
     from vecengine.baselines.simple import constant
 
     q, v = asked(spark, sf_dir), parts(spark, sf_dir)[1]

@@ -1,6 +1,6 @@
 """k-means in each subspace over a frame of training vectors.
 
-The frame is bounded by `sample`. Each round broadcasts the centroids, sums vectors by their centroid
+The frame may be all vectors or a `sample`. Each round broadcasts the centroids, sums vectors by their centroid
 within each task, adds the M * K partial sums up in one small aggregate and sends them to the driver;
 no vector moves. `relational` does the same in DataFrame operations only.
 """
@@ -18,20 +18,20 @@ from vecengine.subspaces import Layout, explode_sub, split
 
 
 def sample(df: DataFrame, rows: int) -> DataFrame:
-    """The `rows` vectors of least id: the documented bound of everything that iterates.
+    """The `rows` vectors of least hash of the id: a bound where one is wanted, the same whatever the order of ids.
 
-    On a large table a bound on the id is estimated first, which the scan can push down, so that tasks
-    do not each send their own `rows` vectors on.
+    On a large table a bound on the hash comes first, so that tasks do not each send their own `rows`
+    vectors on.
     """
     n = df.count()
     if n <= rows:
         return df
+    key = F.xxhash64("id")
     if n > 8 * rows:
-        bound = df.agg(F.percentile_approx("id", F.lit(min(1.0, 2 * rows / n)), F.lit(int(10 * n / rows)))).first()[0]
-        part = df.where(F.col("id") <= bound)
+        part = df.where(F.pmod(key, F.lit(1 << 40)) < F.lit(int((1 << 40) * 2 * rows / n)))
         if part.count() >= rows:
             df = part
-    return df.orderBy("id").limit(rows)
+    return df.orderBy(F.pmod(key, F.lit(1 << 40)), "id").limit(rows)
 
 
 def seeds(train: DataFrame, layout: Layout, k: int, init: str = "first", seed: int = 0, rotation: np.ndarray | None = None) -> np.ndarray:
