@@ -9,7 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from vecengine import registry
-from vecengine.llm import fingerprints, html_extract
+from vecengine.llm import chat, fingerprints, html_extract
 
 
 def test_workloads_take_the_whole_grid(spark, monkeypatch):
@@ -103,3 +103,24 @@ def test_fits_go_over_all_training_vectors(spark, sf, tmp_path, monkeypatch):
 
     few = {r.id for r in lloyd.sample(spark.range(10_000), 100).collect()}
     assert len(few) == 100 and 3_000 < np.mean(list(few)) < 7_000
+
+
+def test_quotes_of_lines_and_sentences_are_linked(spark):
+    first = "We walked to the lake. The water was calm\nand very cold. Then we came home."
+    talk = [
+        (1, 0, first),
+        (1, 1, "It rained here all day."),
+        (1, 2, "> The water was calm and very cold.\nHow cold?"),
+        (1, 3, "Nothing new."),
+        (1, 4, "> [...] We walked to the lake ...\nWhich lake?"),
+        (1, 5, "> Then we came home.\n> How cold?\nGood."),
+        (1, 6, "> A sentence that nobody wrote.\nWhat?"),
+        (2, 0, "> Said by me later.\nHm."),
+        (2, 1, "Said by me later."),
+        (3, 0, "Said by me later."),
+        (4, 0, "> It rained here all day.\n> Nothing new.\nSo?"),
+    ]
+    got = {(r.conv_id, r.turn): r for r in chat.conversations(spark.createDataFrame([(c, t, "user", x) for c, t, x in talk], "conv_id long, turn long, role string, text string")).collect()}
+    assert [got[1, t].parent_turn for t in range(7)] == [None, 0, 0, 2, 0, 2, 5]
+    assert [got[1, t].linked_by for t in range(7)] == ["root", "order", "quote", "order", "quote", "quote", "order"]
+    assert [(got[k].n_quotes, got[k].n_linked) for k in ((1, 6), (2, 0), (4, 0))] == [(1, 0), (1, 1), (1, 1)]

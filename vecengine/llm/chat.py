@@ -2,7 +2,8 @@
 
 Lines that begin with one or more '>' are quotes of that level. Quoted passages are normalised and
 hashed, and joined to the passages that messages wrote themselves: first within the conversation, to
-the latest earlier message, else to the earliest message anywhere. A message answers the latest
+the latest earlier message, else to the earliest message of another conversation. What equals no
+passage is looked for by its lines and sentences, in the same order. A message answers the latest
 message that it quotes at level 1, or the one before it.
 """
 
@@ -55,8 +56,19 @@ def paragraphs(text: str) -> list[str]:
     return [p for p in re.split(r"\n[ \t]*\n", text) if p.strip()]
 
 
-def parse(text: str | None) -> tuple[str, list[int], list[tuple[int, int]]]:
-    """Own text without quotes, hashes of own passages, and (level, hash) of quoted ones.
+SENTENCE = re.compile(r"(?<=[.!?…])\s+|(?<=[。！？])\s*")
+#: What a trimmed quote loses or gains at its ends.
+TRIM = " \t\n.…[]"
+
+
+def pieces(text: str) -> list[int]:
+    """Hashes of a passage's lines and sentences, without marks of trimming; a sentence may go over several lines."""
+    found = [*text.split("\n"), *(x for p in paragraphs(text) for x in SENTENCE.split(p))]
+    return list(dict.fromkeys(key_of(x) for x in (y.strip(TRIM) for y in found) if x))
+
+
+def parse(text: str | None) -> tuple[str, list[int], list[tuple[int, int, list[int]]]]:
+    """Own text without quotes, hashes of own passages, and (level, hash, hashes of pieces) of quoted ones.
 
     Own passages are the whole, its blocks and their paragraphs; a quoted block counts whole, and by
     paragraphs where it has several.
@@ -68,37 +80,95 @@ def parse(text: str | None) -> tuple[str, list[int], list[tuple[int, int]]]:
     quoted = []
     for level, body in parts:
         if level and body.strip():
-            pieces = paragraphs(body)
-            quoted += [(level, key_of(x)) for x in ([body, *pieces] if len(pieces) > 1 else [body])]
+            several = paragraphs(body)
+            quoted += [(level, key_of(x), pieces(x)) for x in ([body, *several] if len(several) > 1 else [body])]
     return whole, list(made), quoted
 
 
 def parsed(messages: DataFrame) -> DataFrame:
-    """(conv_id, turn, role, text, own array<long>, quoted array<struct<level, key>>) of each row."""
+    """(conv_id, turn, role, text, own array<long>, quoted array<struct<level, key, pieces>>) of each row."""
 
     def run(batches):
         for batch in batches:
             rows = [parse(x) for x in batch.column(3).to_pylist()]
-            quoted = pa.array([[{"level": a, "key": b} for a, b in r[2]] for r in rows], pa.list_(pa.struct([("level", pa.int32()), ("key", pa.int64())])))
+            quoted = pa.array([[{"level": a, "key": b, "pieces": c} for a, b, c in r[2]] for r in rows], pa.list_(pa.struct([("level", pa.int32()), ("key", pa.int64()), ("pieces", pa.list_(pa.int64()))])))
             yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array([r[0] for r in rows], pa.string()), pa.array([r[1] for r in rows], pa.list_(pa.int64())), quoted], names=["conv_id", "turn", "role", "text", "own", "quoted"])
 
     picked = messages.select(F.col("conv_id").cast("long"), F.col("turn").cast("long"), F.col("role").cast("string"), F.col("text").cast("string"))
-    return picked.mapInArrow(run, "conv_id long, turn long, role string, text string, own array<long>, quoted array<struct<level: int, key: long>>")
+    return picked.mapInArrow(run, "conv_id long, turn long, role string, text string, own array<long>, quoted array<struct<level: int, key: long, pieces: array<long>>>")
+
+
+def earlier(asks: DataFrame, wrote: DataFrame) -> DataFrame:
+    """asks (conv_id, turn, key, ...) with from_turn: the latest earlier turn of the conversation that wrote the key, or null."""
+    extra = [c for c in asks.columns if c not in ("conv_id", "turn", "key")]
+    own = wrote.select("conv_id", "turn", "key", F.lit(False).alias("asks"), *(F.lit(None).cast(asks.schema[c].dataType).alias(c) for c in extra))
+    both = own.union(asks.select("conv_id", "turn", "key", F.lit(True), *extra))
+    before = Window.partitionBy("conv_id", "key").orderBy("turn").rangeBetween(Window.unboundedPreceding, -1)
+    return both.withColumn("from_turn", F.max(F.when(~F.col("asks"), F.col("turn"))).over(before)).where("asks").drop("asks")
+
+
+def outside(asks: DataFrame, wrote: DataFrame) -> DataFrame:
+    """asks (conv_id, key, ...) with `first` (conv_id, turn): the earliest author of the key in another conversation, or null."""
+    first = wrote.groupBy("key").agg(F.min(F.struct("conv_id", "turn")).alias("first"))
+    out = C.cut(asks.join(first, "key", "left"))
+    own = out.where("first.conv_id = conv_id").select("key", F.col("conv_id").alias("mine")).distinct()
+    if own.isEmpty():
+        return out
+    second = wrote.join(own, "key").where("conv_id <> mine").groupBy("key").agg(F.min(F.struct("conv_id", "turn")).alias("second"))
+    out = out.join(second, "key", "left")
+    return out.withColumn("first", F.when(F.col("first.conv_id") == F.col("conv_id"), F.col("second")).otherwise(F.col("first"))).drop("second")
+
+
+def own_pieces(rows: DataFrame) -> DataFrame:
+    """(conv_id, turn, key) of the lines and sentences of own texts."""
+
+    def run(batches):
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([*batch.columns[:2], pa.array([pieces(x or "") for x in batch.column(2).to_pylist()], pa.list_(pa.int64()))], names=["conv_id", "turn", "keys"])
+
+    return rows.select("conv_id", "turn", "text").mapInArrow(run, "conv_id long, turn long, keys array<long>").select("conv_id", "turn", F.explode("keys").alias("key"))
 
 
 def linked(rows: DataFrame) -> DataFrame:
-    """(conv_id, turn, level, key, from_conv, from_turn) of each quoted passage; from_* is null where none is found."""
+    """(conv_id, turn, level, key, n, from_conv, from_turn) of each quoted passage; from_* is null where none is found.
+
+    A passage that is found by pieces is linked to the message that wrote most of them: the latest of
+    the conversation's, or the earliest elsewhere.
+    """
     wrote = rows.select("conv_id", "turn", F.explode("own").alias("key")).distinct()
-    quotes = rows.select("conv_id", "turn", F.explode("quoted").alias("q")).select("conv_id", "turn", "q.level", "q.key").groupBy("conv_id", "turn", "key").agg(F.min("level").alias("level"), F.count(F.lit(1)).alias("n"))
-    both = wrote.select("conv_id", "turn", "key", F.lit(None).cast("int").alias("level"), F.lit(None).cast("long").alias("n")).union(quotes.select("conv_id", "turn", "key", "level", "n"))
-    earlier = Window.partitionBy("conv_id", "key").orderBy("turn").rangeBetween(Window.unboundedPreceding, -1)
-    near = both.withColumn("from_turn", F.max(F.when(F.col("level").isNull(), F.col("turn"))).over(earlier)).where("level is not null")
-    first = wrote.groupBy("key").agg(F.min(F.struct("conv_id", "turn")).alias("first"))
-    far = near.where("from_turn is null").join(first, "key", "left").where("first is null or not (first.conv_id <=> conv_id)")
-    home = near.where("from_turn is not null").select("conv_id", "turn", "level", "key", "n", F.col("conv_id").alias("from_conv"), "from_turn")
-    known = far.select("conv_id", "turn", "level", "key", "n", F.col("first.conv_id").alias("from_conv"), F.col("first.turn").alias("from_turn"))
-    lost = near.where("from_turn is null").join(first, "key").where("first.conv_id <=> conv_id").select("conv_id", "turn", "level", "key", "n", F.lit(None).cast("long").alias("from_conv"), F.lit(None).cast("long").alias("from_turn"))
-    return home.union(known).union(lost)
+    told = rows.select("conv_id", "turn", F.explode("quoted").alias("q"))
+    quotes = told.select("conv_id", "turn", "q.level", "q.key").groupBy("conv_id", "turn", "key").agg(F.min("level").alias("level"), F.count(F.lit(1)).alias("n"))
+    near = C.cut(earlier(quotes, wrote))
+    shown = ["conv_id", "turn", "level", "key", "n"]
+    done = near.where("from_turn is not null").select(*shown, F.col("conv_id").alias("from_conv"), "from_turn")
+    left = near.where("from_turn is null").select(*shown)
+    if left.isEmpty():
+        return done
+    passage = ["conv_id", "turn", "passage"]
+    asks = told.select("conv_id", "turn", F.col("q.key").alias("passage"), F.explode("q.pieces").alias("key")).join(left.select("conv_id", "turn", F.col("key").alias("passage")), passage, "left_semi").distinct()
+    parts = own_pieces(rows)
+
+    def voted(hits: DataFrame, of: list, order) -> DataFrame:
+        """Of each passage the author of most pieces, by `order` on ties."""
+        count = hits.groupBy(*passage, *of).agg(F.count(F.lit(1)).alias("c"))
+        return count.groupBy(*passage).agg(F.max_by(F.struct(*of), F.struct("c", *order)).alias("a")).withColumnRenamed("passage", "key")
+
+    def split_off(found: DataFrame, conv, turn) -> None:
+        nonlocal done, left
+        both = C.cut(left.join(found, ["conv_id", "turn", "key"], "left"))
+        done = done.union(both.where("a is not null").select(*shown, conv.alias("from_conv"), turn.alias("from_turn")))
+        left = both.where("a is null").select(*shown)
+
+    split_off(voted(earlier(asks, parts).where("from_turn is not null"), ["from_turn"], ["from_turn"]), F.col("conv_id"), F.col("a.from_turn"))
+    far = F.col("a.conv_id"), F.col("a.turn")
+    split_off(outside(left.select("conv_id", "turn", "key"), wrote).select("conv_id", "turn", "key", F.col("first").alias("a")), *far)
+    if not left.isEmpty():
+        still = asks.join(left.select("conv_id", "turn", F.col("key").alias("passage")), passage, "left_semi")
+        hits = outside(still, parts).where("first is not null").select(*passage, F.col("first.conv_id").alias("c_id"), F.col("first.turn").alias("c_turn"))
+        best = voted(hits, ["c_id", "c_turn"], [F.bitwise_not("c_id"), F.bitwise_not("c_turn")])
+        split_off(best, F.col("a.c_id"), F.col("a.c_turn"))
+    none = F.lit(None).cast("long")
+    return done.union(left.select(*shown, none.alias("from_conv"), none.alias("from_turn")))
 
 
 def conversations(messages: DataFrame) -> DataFrame:
@@ -112,7 +182,7 @@ def conversations(messages: DataFrame) -> DataFrame:
     ids are ids like others, null texts are empty. Other columns are ignored.
     """
     rows = parsed(messages)
-    one = rows.groupBy("conv_id", "turn").agg(F.min(F.struct("role", "text", "own", F.transform("quoted", lambda q: F.struct(q["level"].alias("level"), q["key"].alias("key"))).alias("quoted"))).alias("m"))
+    one = rows.groupBy("conv_id", "turn").agg(F.min(F.struct("role", "text", "own", F.transform("quoted", lambda q: F.struct(q["level"].alias("level"), q["key"].alias("key"), q["pieces"].alias("pieces"))).alias("quoted"))).alias("m"))
     rows = C.cut(one.select(F.coalesce("conv_id", F.lit(-(1 << 63))).alias("conv_id"), F.coalesce("turn", F.lit(-(1 << 63))).alias("turn"), "m.role", "m.text", "m.own", "m.quoted"))
     links = linked(rows)
     found = links.groupBy("conv_id", "turn").agg(
