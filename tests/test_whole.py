@@ -1,6 +1,8 @@
 """Queries do the whole job: no caps, prefixes or samples in place of it."""
 
 import inspect
+import io
+import os
 
 import numpy as np
 import pyarrow as pa
@@ -9,7 +11,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from vecengine import registry
-from vecengine.llm import chat, fingerprints, html_extract
+from vecengine.llm import chat, fingerprints, html_extract, warc
 
 
 def test_workloads_take_the_whole_grid(spark, monkeypatch):
@@ -124,3 +126,44 @@ def test_quotes_of_lines_and_sentences_are_linked(spark):
     assert [got[1, t].parent_turn for t in range(7)] == [None, 0, 0, 2, 0, 2, 5]
     assert [got[1, t].linked_by for t in range(7)] == ["root", "order", "quote", "order", "quote", "quote", "order"]
     assert [(got[k].n_quotes, got[k].n_linked) for k in ((1, 6), (2, 0), (4, 0))] == [(1, 0), (1, 1), (1, 1)]
+
+
+def archive(n, size, digest=True):
+    made = []
+    for i in range(n):
+        block = str(i).encode() + os.urandom(size)
+        made.append(warc.encode([("WARC-Type", "resource"), ("WARC-Record-ID", f"{i}")] + [("WARC-Block-Digest", f"sha1:{warc.sha1_base32(block)}")] * digest, block))
+    return made
+
+
+def salvaged(data, **how):
+    items = list(warc.read(io.BytesIO(data), **how))
+    return [int(x.headers["warc-record-id"]) for x in items if isinstance(x, warc.Record)], [x for x in items if isinstance(x, warc.Gap)], items
+
+
+def test_salvage_inside_a_member():
+    parts = archive(6, 5_000)
+    bad = bytearray(parts[2])
+    bad[-100] ^= 255
+    ids, gaps, items = salvaged(warc.member(b"".join([*parts[:2], bytes(bad), *parts[3:]])) + warc.member(archive(7, 10)[6]))
+    assert ids == [0, 1, 3, 4, 5, 6] and [g.reason for g in gaps] == ["block digest differs"]
+    long = parts[3].replace(b"Content-Length: 5", b"Content-Length: 9")
+    assert salvaged(warc.member(b"".join([*parts[:3], long, *parts[4:]])))[0] == [0, 1, 2, 4, 5]
+
+
+@pytest.mark.parametrize("damage", ["cut", "flip"])
+def test_salvage_before_the_fault(damage):
+    data = warc.member(b"".join(archive(6, 200_000)))
+    at = len(data) * 3 // 4
+    data = data[:at] if damage == "cut" else data[:at] + b"\xff" * 64 + data[at + 64 :]
+    ids, gaps, items = salvaged(data + warc.member(archive(9, 10)[8]) * (damage == "flip"))
+    assert ids[:4] == [0, 1, 2, 3] and len(gaps) == 1 and (damage == "cut" or ids[-1] == 8)
+
+
+def test_salvage_streams_large_members():
+    parts = archive(30, 1 << 20)
+    data = warc.member(b"".join(parts), 1) + warc.member(archive(31, 10)[30])
+    ids, gaps, items = salvaged(data, most=2 << 20)
+    assert ids == list(range(31)) and not gaps
+    spans = sorted({(x.begin, x.end) for x in items})
+    assert spans[0][0] == 0 and spans[-1][1] == len(data) and all(a[1] == b[0] for a, b in zip(spans, spans[1:]))

@@ -2,8 +2,9 @@
 
 The reader checks each member (gzip CRC, record head, declared length, block digest). After a failed
 check it searches for the next member that inflates to a record, or the next version line in plain
-archives, goes on from there, and logs the bytes between as a quarantined gap with the reason. Gaps
-and records together cover each file.
+archives and inside a member, goes on from there, and logs the bytes between as a quarantined gap with
+the reason. Gaps and records together cover each file. Records and gaps inside one member share its
+range; of a member that fails half way, what was read before the fault is kept.
 """
 
 from __future__ import annotations
@@ -131,28 +132,58 @@ class _Window:
         self.base += n
 
 
-def _inflate(w: _Window, at: int, most: int) -> tuple[bytes, int] | None:
-    """One gzip member at an offset of the window, and its length; None where it fails."""
-    z, out, fed, size = zlib.decompressobj(31), [], at, 0
-    while not z.eof:
-        if fed >= len(w.data) and not w.more():
-            return None
-        part = bytes(w.data[fed : fed + (1 << 18)])
-        fed += len(part)
+class _Member:
+    """The inflated bytes of the gzip member at a window's start, as a source; `fault` says how it failed: 'cut' or 'bad'."""
+
+    def __init__(self, w: _Window) -> None:
+        self.w, self.fed, self.fault, self.z = w, 0, "", zlib.decompressobj(31)
+
+    def read(self, n: int) -> bytes:
+        while not self.z.eof and not self.fault:
+            part = self.z.unconsumed_tail
+            if not part:
+                if self.fed >= len(self.w.data) and not self.w.more():
+                    self.fault = "cut"
+                    break
+                part = bytes(self.w.data[self.fed : self.fed + (1 << 16)])
+                self.fed += len(part)
+            before = self.z.copy()
+            try:
+                out = self.z.decompress(part, n)
+            except zlib.error:
+                out, self.fault = self._until(before, part), "bad"
+            if out:
+                return out
+        return b""
+
+    @staticmethod
+    def _until(z, part: bytes) -> bytes:
+        """What inflates before the fault."""
+        out = []
         try:
-            out.append(z.decompress(part, most - size + 1))
+            for n in range(len(part)):
+                out.append(z.decompress(part[n : n + 1]))
         except zlib.error:
-            return None
-        size += len(out[-1])
-        if size > most or z.unconsumed_tail:
-            return None
-    return b"".join(out), fed - len(z.unused_data) - at
+            pass
+        return b"".join(out)
+
+    def used(self) -> int:
+        return self.fed - len(self.z.unused_data) - len(self.z.unconsumed_tail)
+
+
+#: Bytes of records of one member that are held until its end is known.
+HOLD = 16 << 20
+
+
+def _has_digest(record: Record) -> bool:
+    return record.headers.get("warc-block-digest", "").startswith("sha1:")  # parse() has compared it
 
 
-def read(source, most: int = 1 << 30) -> Iterator[Record | Gap]:
+def read(source, most: int = 1 << 30, inside: bool = False) -> Iterator[Record | Gap]:
     """Records and gaps of one archive, plain or gzip by member, in file order. source: has read(n).
 
-    most: bytes of a record that is still read; a larger one counts as a gap.
+    most: bytes of a record that is still read; a larger one counts as a gap. inside: these are a
+    member's inflated bytes, where no further member is looked for.
     """
     w, bad, why = _Window(source), None, ""
     while True:
@@ -161,20 +192,43 @@ def read(source, most: int = 1 << 30) -> Iterator[Record | Gap]:
         if not w.data:
             break
         step, got, reason = 0, [], "neither a gzip member nor a version line"
-        if w.data.startswith(GZIP):
-            plain = _inflate(w, 0, most)
-            if plain is None:
+        if not inside and w.data.startswith(GZIP):
+            m, held, any_record = _Member(w), 0, False
+
+            def placed(items: list, end: int) -> list:
+                for x in items:
+                    x.begin, x.end = w.base, end
+                return items
+
+            for x in read(m, most, True):
+                got.append(x)
+                if isinstance(x, Gap):
+                    continue
+                any_record = True
+                held += len(x.block)
+                if held > HOLD and m.used() < len(w.data):
+                    if bad is not None:
+                        yield Gap(bad, w.base, why)
+                        bad = None
+                    yield from placed(got, w.base + m.used())
+                    done = m.used()
+                    m.fed -= done
+                    w.drop(done)
+                    got, held = [], 0
+            if m.fault:
                 reason = "gzip member does not inflate or its check fails"
+                got = [x for x in got if isinstance(x, Record) and (m.fault == "cut" or _has_digest(x))]
+                if got:
+                    if bad is not None:
+                        yield Gap(bad, w.base, why)
+                        bad = None
+                    yield from placed(got, w.base + m.used())
+                    got = []
+            elif any_record or not got:
+                step = m.used()
+                placed(got, w.base + step)
             else:
-                inside, at = plain[0], 0
-                try:
-                    while at < len(inside):
-                        record, at = parse(inside, at)
-                        record.begin, record.end = w.base, w.base + plain[1]
-                        got.append(record)
-                    step = plain[1]
-                except ValueError as e:
-                    reason, got = str(e), []
+                reason, got = got[0].reason, []
         elif VERSION.match(bytes(w.data[:16])):
             try:
                 while True:
@@ -204,7 +258,7 @@ def read(source, most: int = 1 << 30) -> Iterator[Record | Gap]:
         w.drop(1)
         while True:  # to the next place at which a record may begin
             line = VERSION.search(w.data)
-            places = [p for p in (w.data.find(GZIP), line.start() if line else -1) if p >= 0]
+            places = [p for p in (-1 if inside else w.data.find(GZIP), line.start() if line else -1) if p >= 0]
             line = None  # else it holds the buffer
             if places:
                 w.drop(min(places))
