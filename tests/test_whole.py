@@ -11,7 +11,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from vecengine import registry
-from vecengine.llm import chat, fingerprints, html_extract, warc
+from vecengine.llm import chat, embedding_dedup, fingerprints, html_extract, warc
 
 
 def test_workloads_take_the_whole_grid(spark, monkeypatch):
@@ -167,3 +167,13 @@ def test_salvage_streams_large_members():
     assert ids == list(range(31)) and not gaps
     spans = sorted({(x.begin, x.end) for x in items})
     assert spans[0][0] == 0 and spans[-1][1] == len(data) and all(a[1] == b[0] for a, b in zip(spans, spans[1:]))
+
+
+def test_sparse_links_are_no_proof_of_recall():
+    rng = np.random.default_rng(3)
+    unit = lambda x: x / np.linalg.norm(x, axis=1, keepdims=True)
+    x, q = unit(rng.standard_normal((2_000, 64))), unit(rng.standard_normal((2_000, 64)))
+    q[:30] = unit(x[100:130] + 0.005 * rng.standard_normal((30, 64)))
+    p = embedding_dedup.Hnsw(degree=3, build_beam=3, beam=1, audit=4)
+    found = [np.stack(ab) for ab in embedding_dedup.range_links(embedding_dedup.Graph(x.astype(np.float32), p), q.astype(np.float32), q, x, p)]
+    assert sorted(map(tuple, np.concatenate(found, axis=1).T.tolist())) == [(i, 100 + i) for i in range(30)]

@@ -30,7 +30,8 @@ class Hnsw:
     degree: int = 12
     build_beam: int = 32
     beam: int = 16
-    audit: int = 64  # queries of each search that are compared with the whole shard
+    audit: int = 64  # queries of each search that are first compared with the whole shard
+    evidence: int = 1_000  # links between different vectors on which the beam has to show its recall
     recall: float = 0.999
     shard_rows: int = 20_000
     seed: int = 7
@@ -161,11 +162,13 @@ class Graph:
         return best, score
 
 
-def range_links(g: Graph, q: np.ndarray, exact_q: np.ndarray, exact_x: np.ndarray, p: Hnsw):
+def range_links(g: Graph, q: np.ndarray, exact_q: np.ndarray, exact_x: np.ndarray, p: Hnsw, same: bool = False):
     """Yields (query rows, shard rows) arrays of all links at p.least, by block of queries.
 
-    exact_*: the unit vectors in double precision. The beam doubles until the audited queries have
-    found all that a full comparison finds; a query with a full beam of links is compared in full.
+    exact_*: the unit vectors in double precision. Queries are compared in full until p.evidence links
+    between different vectors (same: queries and shard are the same rows) are known; the beam doubles
+    until it finds them too. Where links are so few that this takes half the queries, all are compared
+    in full. A query with a full beam of links is compared in full.
     """
     slack = 1e-5
     rng = np.random.default_rng(p.seed)
@@ -192,14 +195,25 @@ def range_links(g: Graph, q: np.ndarray, exact_q: np.ndarray, exact_x: np.ndarra
     rows = np.arange(len(q))
     if not len(g.x) or not len(rows):
         return
-    audit = rng.permutation(len(rows))[: p.audit]
-    truth = {(int(i), int(j)) for a, b in full(audit) for i, j in zip(a, b, strict=True)}
+    order, seen = rng.permutation(len(rows)), 0
+    truth: set = set()
+    while seen < len(order) and len(truth) < p.evidence:  # in full, and so answered
+        part = order[seen : seen + max(p.audit, seen)]
+        seen += len(part)
+        for a, b in full(part):
+            yield a, b
+            truth |= {(int(i), int(j)) for i, j in zip(a, b, strict=True) if not (same and i == j)}
+    audit, rows = order[:seen], np.sort(order[seen:])
+    if 2 * seen >= len(order):  # the rest costs no more than its audit
+        yield from full(rows)
+        return
     beam = p.beam
     while beam < len(g.x):
         got: set = set()
         for a, b, crowded in beams(audit, beam):
             got |= {(int(i), int(j)) for i, j in zip(a, b, strict=True)}
-            got |= {t for t in truth if t[0] in set(crowded.tolist())}
+            crowd = set(crowded.tolist())
+            got |= {t for t in truth if t[0] in crowd}
         if len(got & truth) >= p.recall * len(truth):
             break
         beam *= 2
@@ -252,7 +266,7 @@ def _answer(g: Graph, xid, xw, ex, qid, qw, eq, same: bool, p: Hnsw):
     label = np.arange(m if same else m + n)
     offset = 0 if same else m
     held: list[np.ndarray] = []
-    for a, b in range_links(g, q, eq, ex, p):
+    for a, b in range_links(g, q, eq, ex, p, same):
         if same:
             keep = a != b
             a, b = a[keep], b[keep]
