@@ -177,3 +177,15 @@ def test_sparse_links_are_no_proof_of_recall():
     p = embedding_dedup.Hnsw(degree=3, build_beam=3, beam=1, audit=4)
     found = [np.stack(ab) for ab in embedding_dedup.range_links(embedding_dedup.Graph(x.astype(np.float32), p), q.astype(np.float32), q, x, p)]
     assert sorted(map(tuple, np.concatenate(found, axis=1).T.tolist())) == [(i, 100 + i) for i in range(30)]
+
+
+def test_self_join_by_blocks(spark, sf, monkeypatch):
+    from vecengine.operators import relational, search
+    from vecengine.sources import views
+
+    df = views.embed(spark, sf)
+    rows = lambda out: sorted((r.a, r.b, round(r.dist, 9)) for r in out.collect())
+    whole = rows(relational.self_join(df, 1.1, registry.L2))
+    gather = search.gather
+    monkeypatch.setattr(search, "gather", lambda q: gather(q, 200))  # as a table above the driver's bound
+    assert len(whole) > 50 and rows(relational.self_join(df, 1.1, registry.L2, block=150)) == whole
