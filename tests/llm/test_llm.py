@@ -169,16 +169,110 @@ def test_toxicity_without_labels(spark):
     assert toxicity.judge(docs.limit(0), spark.createDataFrame([(1, 1)], "doc_id long, toxic int")).collect() == []
 
 
-def test_label_model_finds_accuracies():
-    rng = np.random.default_rng(1)
-    y = rng.random(4000) < 0.3
-    say = lambda acc: np.where(rng.random(4000) < acc, y, ~y) * 2 - 1
-    good, fair, noise = say(0.95), say(0.8), rng.integers(-1, 2, 4000)
-    votes = np.stack([good, fair, fair, say(0.85), noise], axis=1)
-    m = toxicity.fit_label_model(votes, 0.3)
-    q = m.posterior(votes)
-    assert ((q > 0.5) == y).mean() > 0.93
-    assert m.weight[1] < m.weight[0]  # a voter and its copy count less
+def voters(n=4000, seed=1):
+    rng = np.random.default_rng(seed)
+    y = rng.random(n) < 0.3
+    say = lambda acc: np.where(rng.random(n) < acc, y, ~y) * 2 - 1
+    fair = say(0.8)
+    copy = np.where(rng.random(n) < 0.95, fair, -fair)
+    return y, np.stack([say(0.95), fair, copy, say(0.85), rng.integers(-1, 2, n)], axis=1)
+
+
+def test_label_model_finds_accuracies_and_dependences():
+    y, votes = voters()
+    believed = np.where(np.random.default_rng(2).random(len(y)) < 0.9, y, ~y)  # a tenth of the labels is wrong
+    m = toxicity.fit_label_model(votes, 0.3, believed, trust=1.0)
+    assert (((m.posterior(votes) > 0.5) == y).mean()) > 0.95
+    assert m.leans[2] == 1 or m.leans[1] == 2  # a voter and its copy
+    right = toxicity.fit_label_model(votes, 0.3, y).accuracy()
+    assert right[:4] == pytest.approx([0.95, 0.8, 0.77, 0.85], abs=0.03)
+    pair = np.array([[0, 1, 1, 0, 0], [0, 1, 0, 0, 0]])
+    naive = np.log(m.posterior(pair) / (1 - m.posterior(pair)))
+    assert abs(naive[0] - naive[1]) < 1.0  # the copy adds little
+
+
+def test_label_model_is_brute_force():
+    _, votes = voters(60, 5)
+    votes, believed = votes[:, :4], np.arange(60) % 4 == 0
+    m = toxicity.fit_label_model(votes, 0.3, believed, trust=2.0, rounds=3, trees=1, least=0.0)
+    rows, n_voters = votes.tolist(), 4
+
+    def tables(q, leans, trust):
+        says = {}
+        for j in range(n_voters):
+            for y in (0, 1):
+                for u in (-1, 0, 1):
+                    share = []
+                    for v in (-1, 0, 1):
+                        fits = [i for i, r in enumerate(rows) if r[j] == v and (leans[j] < 0 or r[leans[j]] == u)]
+                        share.append(0.5 + sum((q[i] if y else 1 - q[i]) + trust * (believed[i] == y) for i in fits))
+                    says[j, y, u] = [x / sum(share) for x in share]
+        return says
+
+    def beliefs(says, leans, prior):
+        out = []
+        for r in rows:
+            p = [1 - prior, prior]
+            for y in (0, 1):
+                for j in range(n_voters):
+                    p[y] *= says[j, y, r[leans[j]] if leans[j] >= 0 else 0][r[j] + 1]
+            out.append(p[1] / (p[0] + p[1]))
+        return out
+
+    zero = [0.0] * 60
+    alone = [-1] * n_voters
+    first = {}
+    for j in range(n_voters):  # labels only
+        for y in (0, 1):
+            share = [0.5 + 2.0 * sum(r[j] == v for i, r in enumerate(rows) if believed[i] == y) for v in (-1, 0, 1)]
+            for u in (-1, 0, 1):
+                first[j, y, u] = [x / sum(share) for x in share]
+    q, prior = beliefs(first, alone, 0.3), 0.3
+    del zero
+    for leans in (alone, m.leans.tolist()):
+        for _ in range(3):
+            says, prior = tables(q, leans, 2.0), (2.0 * 0.3 * 60 + sum(q)) / 180
+            q = beliefs(says, leans, prior)
+    assert m.posterior(votes) == pytest.approx(q, abs=1e-9)
+
+    import itertools
+
+    shared = toxicity.dependence(2.0 * toxicity.pair_counts(votes, believed.astype(float)) + 0.5)
+    weight = lambda edges: sum(shared[a, b] for a, b in edges)
+    trees = [t for t in itertools.combinations(itertools.combinations(range(4), 2), 3) if len(set(union_find(range(4), t).values())) == 1]
+    tree = toxicity.spanning_tree(shared, -1.0)
+    assert weight([(j, up) for j, up in enumerate(tree) if up >= 0]) == pytest.approx(max(map(weight, trees)))
+
+
+def test_toxicity_does_not_depend_on_batches(spark, sf):
+    docs, labels = (spark.read.parquet(f"{sf}/{t}.parquet") for t in ("documents", "labels"))
+    odd = docs.select("doc_id", "text").union(docs.selectExpr("doc_id + 100000", "'THIS IS A SHOUTED TEXT! YOU ALL'").limit(2)).union(docs.selectExpr("doc_id + 200000", "'plain \u00e9 \u0130STANBUL'").limit(1))
+    size, got = "spark.sql.execution.arrow.maxRecordsPerBatch", []
+    before = spark.conf.get(size)
+    try:
+        for rows in ("1", "7", "10000"):
+            spark.conf.set(size, rows)
+            got.append(sorted((r.doc_id, r.score) for r in toxicity.judge(odd, labels).collect()))
+    finally:
+        spark.conf.set(size, before)
+    assert got[0] == got[1] == got[2]
+    shape = lambda *texts: [toxicity.text_features(*t)[3][:, 3].tolist() for _, _, t in toxicity.slices(pa.array(texts))][0]
+    assert shape("ABC def", "plain") == shape("ABC def", "plain \u00e9") == [0.5, 0.0]
+
+
+def test_toxicity_held_out(spark):
+    from pyspark.sql import functions as F
+
+    sf = "/root/testdata/sf0.01"
+    out = QUERIES["op3_toxicity"](spark, sf).join(spark.read.parquet(f"{sf}/labels.parquet"), "doc_id").where("held_out and toxic is not null").select("score", F.col("toxic") > 0).collect()
+    pairs = [(a > b) + 0.5 * (a == b) for a, y in out if y for b, z in out if not z]
+    assert sum(pairs) / len(pairs) > 0.85 and not any(a >= 0.5 for a, y in out if not y)
+
+
+def test_toxicity_very_long_text(spark):
+    long = "calm words in a row " * 200_000
+    docs = docs_of(spark, [doc(1, long), doc(2, long + " idiot moron"), doc(3, "x" * 3_000_000)])
+    assert len(toxicity.judge(docs, spark.createDataFrame([], "doc_id long, toxic int")).collect()) == 3
 
 
 # ------------------------------------------------------------------------- 4

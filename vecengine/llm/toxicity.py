@@ -2,10 +2,11 @@
 
 Voters are lexicons of whole words and word beginnings, mined from a bounded sample of labelled rows
 (each row is voted on by lexicons mined without its fold), a fixed seed lexicon, and patterns:
-look-alike spelling, spelled-out letters, shouting. The label model estimates how often each voter
-says what in either class, the row's own label being a voter of set accuracy, and down-weights
-voters whose errors go together. A logistic model learns its posterior and scores every text in one pass of numpy over the
-UTF-8 bytes, with no join.
+look-alike spelling, spelled-out letters, shouting. The label model holds, for either class, what
+each voter says given what the voter it depends on most says: accuracies and correlations are
+parameters of one generative model, fitted by expectation-maximisation on the votes alone. Labels
+give its parameters a prior; a row's own label never votes on the row. A logistic model learns the
+posterior and scores every text in one pass of numpy over the UTF-8 bytes, with no join.
 """
 
 from __future__ import annotations
@@ -26,8 +27,8 @@ SEEDS = "idiot idiots moron morons stupid dumb loser losers scum trash pathetic
 LOOKALIKES = {"0": "o", "1": "i", "3": "e", "4": "a", "5": "s", "7": "t", "@": "a", "$": "s"}
 
 KINDS = (0, 4, 5, 6)  # whole words, and word beginnings of so many characters
-LEVELS = ((24.0, 3.0), (11.0, 1.5))  # strict and loose lexicons: least G statistic and log-odds
-LABEL_ACCURACY = 0.97  # of the given label as a voter
+LEVELS = ((24.0, 4.5), (24.0, 3.0), (11.0, 1.5))  # sure, strict and loose lexicons: least G statistic and log-odds
+SHAPES = 2 * len(LEVELS) * len(KINDS)  # columns of hits in a design row
 PATTERNS = ("seed", "lookalike", "spelled", "capitals", "exclaims")
 
 
@@ -40,6 +41,7 @@ class Toxicity:
     least_docs: int = 4
     single: int = 200  # features with a weight of their own
     ridge: float = 1.0
+    trust: float = 4.0  # weight of the counts that labels give, the prior of the label model, beside those of the votes
 
 
 def held_out(doc_id):
@@ -56,14 +58,16 @@ def tokens(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray
     return C.word_spans(plain, offsets)
 
 
-def text_features(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(document, kind index, feature hash) of each feature of each token, and patterns by document."""
+def text_features(raw: np.ndarray, offsets: np.ndarray, low: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(document, kind index, feature hash) of each feature of each token, and patterns by document.
+
+    raw, offsets: the texts as they are; low, bounds: the same in lower case.
+    """
     n = len(offsets) - 1
     upper = (raw >= 65) & (raw <= 90)
     sums = lambda mask: np.add.reduceat(np.append(mask, 0).astype(np.int64), offsets[:-1]) * (np.diff(offsets) > 0) if n else np.zeros(0)
     letters = sums(upper | ((raw >= 97) & (raw <= 122)))
-    low = C.ascii_lower(raw)
-    start, end, doc = tokens(low, offsets)
+    start, end, doc = tokens(low, bounds)
     prefix = C.prefix_hashes(low)
     places = np.append(np.flatnonzero((low & 0xC0) != 0x80), len(low))
     first = np.searchsorted(places, start)
@@ -78,7 +82,7 @@ def text_features(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.
     for a, b in LOOKALIKES.items():
         swap[ord(a)] = ord(b)
     other = swap[low]
-    o_start, o_end, o_doc = tokens(other, offsets)
+    o_start, o_end, o_doc = tokens(other, bounds)
     o_hash = C.span_hashes(other, o_start, o_end)
     swapped = np.concatenate([[0], np.cumsum(other != low)])
     changed = swapped[o_end] > swapped[o_start]
@@ -101,17 +105,19 @@ def _seed_hashes() -> np.ndarray:
     return np.sort(C.span_hashes(np.frombuffer(data, np.uint8), bounds[:-1], bounds[1:]))
 
 
-def lowered(column) -> pa.Array:
-    """Unicode lower case but for ASCII capitals, which the patterns look at first."""
-    column = column.cast(pa.large_string()).fill_null("")
-    raw, _ = C.utf8_buffer(column)
-    return pc.utf8_lower(column) if (raw >= 128).any() else column
-
+def slices(column) -> Iterator[tuple[int, int, tuple]]:
+    """(first row, last row + 1, arguments of text_features) of about a megabyte of texts at a time.
 
-def slices(column) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+    Lower case is Unicode's, by the text alone: nothing depends on which texts share a batch.
+    """
+    column = column.cast(pa.large_string()).fill_null("")
     raw, offsets = C.utf8_buffer(column)
     for i, j in C.row_slices(offsets):
-        yield i, j, raw[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]
+        part, at = raw[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]
+        if (part >= 128).any():
+            yield i, j, (part, at, *C.utf8_buffer(pc.utf8_lower(column.slice(i, j - i))))
+        else:
+            yield i, j, (part, at, C.ascii_lower(part), at)
 
 
 def distinct(doc: np.ndarray, feature: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -136,59 +142,101 @@ def g_and_odds(n1: np.ndarray, n0: np.ndarray, t1: float, t0: float) -> tuple[np
 
 @dataclass
 class LabelModel:
-    """says[j, y, v]: how often voter j says v - 1 (against, nothing, for) where the class is y."""
+    """says[j, y, u, v]: how often voter j says v - 1 (against, nothing, for) where the class is y and the
+    voter it depends on, leans[j], says u - 1. A voter that leans on none (-1) has the same row for each u."""
 
     prior: float
     says: np.ndarray
-    weight: np.ndarray
+    leans: np.ndarray
 
     def posterior(self, votes: np.ndarray) -> np.ndarray:
         odds = np.log(self.says[:, 1]) - np.log(self.says[:, 0])
-        z = np.log(self.prior / (1 - self.prior)) + sum(self.weight[j] * odds[j][votes[:, j] + 1] for j in range(votes.shape[1]))
+        z = np.full(len(votes), np.log(self.prior / (1 - self.prior)))
+        for j, up in enumerate(self.leans):
+            z += odds[j][votes[:, up] + 1 if up >= 0 else 0, votes[:, j] + 1]
         return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
-
-def shared_errors(votes: np.ndarray, truth: np.ndarray | None = None) -> np.ndarray:
-    """Correlation of each two voters beyond what the class explains.
-
-    The class is `truth` where it is known, else it is stood for by the mean of all other voters, so
-    that two voters that copy each other cannot pass for the class.
-    """
-    v = votes - votes.mean(axis=0)
-    n, m = v.shape
-    out = np.zeros((m, m))
-    for j in range(m):
-        for k in range(j):
-            t = (truth if truth is not None else votes.sum(axis=1) - votes[:, j] - votes[:, k]).astype(float)
-            t = t - t.mean()
-            norm = t @ t + 1e-9
-            a, b = v[:, j] - t * (t @ v[:, j] / norm), v[:, k] - t * (t @ v[:, k] / norm)
-            out[j, k] = out[k, j] = np.clip(a @ b / (np.sqrt((a @ a) * (b @ b)) + 1e-9), 0, 1)
+    def accuracy(self) -> np.ndarray:
+        """Of each voter: how often it is right where it says anything, with no regard to the others."""
+        out = np.zeros((len(self.leans), 2, 3))
+        for j in self.in_order():
+            up = self.leans[j]
+            out[j] = self.says[j, :, 0] if up < 0 else np.einsum("yu,yuv->yv", out[up], self.says[j])
+        weigh = np.array([1 - self.prior, self.prior])
+        right, said = out[:, 0, 0] * weigh[0] + out[:, 1, 2] * weigh[1], (out[:, :, [0, 2]].sum(axis=2) * weigh).sum(axis=1)
+        return right / said
+
+    def in_order(self) -> list[int]:
+        """Voters, each after the one it leans on."""
+        out: list[int] = []
+        while len(out) < len(self.leans):
+            out += [j for j, up in enumerate(self.leans) if j not in out and (up < 0 or up in out)]
+        return out
+
+
+def pair_counts(votes: np.ndarray, q: np.ndarray) -> np.ndarray:
+    """counts[j, k, y, u, v]: expected rows of class y on which voter k says u - 1 and voter j says v - 1."""
+    n, m = votes.shape
+    flags = np.zeros((n, m, 3))
+    np.put_along_axis(flags, (votes + 1).astype(np.intp)[:, :, None], 1.0, axis=2)
+    flat = flags.reshape(n, 3 * m)
+    out = np.empty((m, m, 2, 3, 3))
+    for y, w in enumerate((1 - q, q)):
+        out[:, :, y] = (flat.T @ (flat * w[:, None])).reshape(m, 3, m, 3).transpose(2, 0, 1, 3)
     return out
 
 
-def fit_label_model(votes: np.ndarray, prior: float, start: np.ndarray | None = None, gold: float | None = None, rounds: int = 30) -> LabelModel:
-    """Expectation-maximisation over votes (rows x voters, -1, 0 or 1), each weighed down by the errors it shares.
-
-    start: first beliefs, by the weighted mean vote if not given. gold: accuracy at which the last voter,
-    the label, is held; it is not weighed down.
+def dependence(counts: np.ndarray) -> np.ndarray:
+    """Mutual information of each two voters given the class, in nats a row: what they share beyond it."""
+    p = counts / counts[0, 0].sum()
+    p_y = p.sum(axis=(3, 4), keepdims=True)
+    with np.errstate(divide="ignore", invalid="ignore"):
+        inside = p * (np.log(p) + np.log(p_y) - np.log(p.sum(axis=4, keepdims=True)) - np.log(p.sum(axis=3, keepdims=True)))
+    return np.nan_to_num(inside, posinf=0.0, neginf=0.0).sum(axis=(2, 3, 4))
+
+
+def spanning_tree(shared: np.ndarray, least: float) -> np.ndarray:
+    """The voter that each one leans on: the tree of greatest dependence, without branches under `least`."""
+    m = len(shared)
+    leans, best, via, left = np.full(m, -1), np.full(m, -np.inf), np.full(m, -1), set(range(m))
+    while left:
+        j = max(sorted(left), key=lambda j: best[j])
+        left.discard(j)
+        leans[j] = via[j] if best[j] > least else -1
+        for k in left:
+            if shared[j, k] > best[k]:
+                best[k], via[k] = shared[j, k], j
+    return leans
+
+
+def fit_label_model(votes: np.ndarray, prior: float, believed: np.ndarray, trust: float = 1.0, rounds: int = 30, trees: int = 2, least: float = 0.002) -> LabelModel:
+    """Expectation-maximisation over votes (rows x voters: -1, 0 or 1) of a model in which voters lean on each other.
+
+    believed: a probability a row that only sets the prior: `trust` times the counts it gives, and the share
+    `prior` of the class, are added to what the votes say in every round; beliefs in single rows come from their
+    votes alone. The tree of dependences is drawn anew from the posterior after each fit, `trees` times.
     """
     n, m = votes.shape
-    corr = shared_errors(votes[:, :-1] if gold is not None else votes, None if gold is None else votes[:, -1])
-    least = 0.6 if gold is None else 0.3  # a stand-in explains less of what is common
-    weight = 1 / (1 + np.where(corr > least, corr, 0).sum(axis=1))
-    weight = np.append(weight, 1.0) if gold is not None else weight
-    q = np.clip(prior + 0.5 * votes @ weight / weight.sum(), 0.01, 0.99) if start is None else start
-    model = LabelModel(prior, np.full((m, 2, 3), 1 / 3), weight)
-    for _ in range(rounds):
-        for y, w in ((0, 1 - q), (1, q)):
-            for v in (-1, 0, 1):
-                model.says[:, y, v + 1] = ((votes == v) * w[:, None]).sum(axis=0) + 0.5
-        model.says /= model.says.sum(axis=2, keepdims=True)
-        if gold is not None:
-            model.says[-1] = [[gold, 1e-9, 1 - gold], [1 - gold, 1e-9, gold]]
-        model.prior = float(np.clip(q.mean(), 1e-3, 1 - 1e-3))
-        q = model.posterior(votes)
+    base = trust * pair_counts(votes, np.asarray(believed, float)) + 0.5
+    leans = np.full(m, -1)
+    model = LabelModel(prior, np.empty((m, 2, 3, 3)), leans)
+
+    def refit(counts: np.ndarray) -> None:
+        for j, up in enumerate(model.leans):
+            c = counts[j, up] if up >= 0 else np.repeat(np.einsum("yvv->yv", counts[j, j])[:, None], 3, axis=1)
+            model.says[j] = c / c.sum(axis=2, keepdims=True)
+
+    refit(base)
+    q = model.posterior(votes)
+    for turn in range(trees + 1):
+        if turn:
+            model.leans = spanning_tree(dependence(base + pair_counts(votes, q)), least)
+        for _ in range(rounds):
+            refit(base + pair_counts(votes, q))
+            model.prior = float(np.clip((trust * prior * n + q.sum()) / ((trust + 1) * n), 1e-3, 1 - 1e-3))
+            was, q = q, model.posterior(votes)
+            if np.abs(q - was).max() < 1e-7:
+                break
     return model
 
 
@@ -211,7 +259,7 @@ def fit_logistic(x: np.ndarray, q: np.ndarray, ridge: float, rounds: int = 30) -
 @dataclass
 class Scorer:
     keys: np.ndarray  # sorted hashes of lexicon features
-    level: np.ndarray  # by key: 2 strict, 1 loose, 0 neither
+    level: np.ndarray  # by key: 3 sure, 2 strict, 1 loose, 0 none of them
     kind: np.ndarray
     own: np.ndarray  # by key: column of its own, or -1
     singles: int
@@ -224,13 +272,13 @@ class Scorer:
         hit = self.keys[at] == feature if len(self.keys) else np.zeros(len(feature), bool)
         return design(doc[hit], self.kind[at[hit]], self.level[at[hit]], self.own[at[hit]], patterns, self.singles, n)
 
-    def score(self, raw: np.ndarray, offsets: np.ndarray) -> np.ndarray:
-        doc, _, feature, patterns = text_features(raw, offsets)
+    def score(self, texts: tuple) -> np.ndarray:
+        doc, _, feature, patterns = text_features(*texts)
         sieve = np.zeros(1 << 18, bool)
         sieve[(self.keys >> np.uint64(46)).astype(np.int64)] = True
         maybe = sieve[(feature >> np.uint64(46)).astype(np.int64)]
         doc, feature = distinct(doc[maybe], feature[maybe])
-        z = self.rows(doc, feature, patterns) @ self.weights[:-1] + self.weights[-1]
+        z = (self.rows(doc, feature, patterns) * self.weights[:-1]).sum(axis=1) + self.weights[-1]  # row by row alike in any batch
         return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
 
@@ -238,10 +286,10 @@ def design(doc, kind, level, own, patterns, singles: int, n: int) -> np.ndarray:
     """Hits by kind and level as log1p and as flags, patterns, and single features."""
     out = []
     for k in range(len(KINDS)):
-        for least in (2, 1):
+        for least in range(len(LEVELS), 0, -1):
             hits = np.bincount(doc[(kind == k) & (level >= least)], minlength=n)[:n]
             out += [np.log1p(hits), hits > 0]
-    out = np.stack(out, axis=1).astype(np.float64) if n else np.zeros((0, 4 * len(KINDS)))
+    out = np.stack(out, axis=1).astype(np.float64) if n else np.zeros((0, SHAPES))
     own_x = np.zeros((n, singles))
     own_x[doc[own >= 0], own[own >= 0]] = 1
     shape = np.hstack([np.log1p(patterns[:, :3]), patterns[:, 3:]])
@@ -258,12 +306,12 @@ class Mined:
     n0: np.ndarray
 
     def levels(self, without: int | None = None) -> tuple[np.ndarray, np.ndarray]:
-        """Level (2 strict, 1 loose, 0 neither) and G statistic of each feature on all folds but one."""
+        """Level (3 sure, 2 strict, 1 loose, 0 none) and G statistic of each feature on all folds but one."""
         use = np.arange(len(self.rows1)) != (-1 if without is None else without)
         g, odds = g_and_odds(self.n1[:, use].sum(axis=1), self.n0[:, use].sum(axis=1), float(self.rows1[use].sum()), float(self.rows0[use].sum()))
         level = np.zeros(len(g), np.int64)
         for at, (least_g, least_odds) in enumerate(LEVELS):
-            level = np.maximum(level, np.where((g >= least_g) & (odds >= least_odds), 2 - at, 0))
+            level = np.maximum(level, np.where((g >= least_g) & (odds >= least_odds), len(LEVELS) - at, 0))
         return level, g
 
 
@@ -273,21 +321,19 @@ def fit(row: np.ndarray, col: np.ndarray, patterns: np.ndarray, y: np.ndarray, f
     by_fold = np.stack([mined.levels(k)[0] for k in range(p.folds)], axis=1)
     level_at = by_fold[col, fold[row]]
     level, g = mined.levels()
-    single = np.argsort(-np.where(level == 2, g, -1), kind="stable")[: p.single]
-    single = single[level[single] == 2]
+    single = np.argsort(-np.where(level >= 2, g, -1), kind="stable")[: p.single]
+    single = single[level[single] >= 2]
     own = np.full(m, -1, np.int64)
     own[single] = np.arange(len(single))
     x = design(row, kind[col], level_at, own[col], patterns, len(single), n)
     votes = []
     for k in range(len(KINDS)):
-        strict = np.bincount(row[(kind[col] == k) & (level_at == 2)], minlength=n)
-        loose = np.bincount(row[(kind[col] == k) & (level_at >= 1)], minlength=n)
-        votes += [np.where(strict > 0, 1, 0), np.where(strict > 1, 1, np.where(strict == 0, -1, 0)), np.where(loose > 1, 1, np.where(loose == 0, -1, 0))]
+        sure, strict, loose = (np.bincount(row[(kind[col] == k) & (level_at >= least)], minlength=n) for least in (3, 2, 1))
+        votes += [np.where(sure > 1, 1, np.where(sure == 0, -1, 0)), np.where(strict > 0, 1, 0), np.where(strict > 1, 1, np.where(strict == 0, -1, 0)), np.where(loose > 1, 1, np.where(loose == 0, -1, 0))]
     votes += [np.where(patterns[:, j] > 0, 1, 0) for j in range(3)]
     votes += [np.where(patterns[:, 3] > 0.5, 1, 0), np.where(patterns[:, 4] > 0.02, 1, 0)]
-    votes.append(np.where(y, 1, -1))  # the label as one voter among them
     votes = np.stack(votes, axis=1).astype(np.int8)
-    model = fit_label_model(votes, float(np.clip(y.mean(), 0.01, 0.99)), np.where(y, 0.9, 0.1), LABEL_ACCURACY)
+    model = fit_label_model(votes, float(np.clip(y.mean(), 0.01, 0.99)), y, p.trust)
     weights = fit_logistic(x, model.posterior(votes), p.ridge)
     keep = level > 0
     return Scorer(keys[keep], level[keep], kind[keep], own[keep], len(single), weights)
@@ -295,8 +341,8 @@ def fit(row: np.ndarray, col: np.ndarray, patterns: np.ndarray, y: np.ndarray, f
 
 def seed_scorer() -> Scorer:
     """For want of labels of both classes: seeds and patterns with fixed weights."""
-    w = np.zeros(4 * len(KINDS) + len(PATTERNS) + 1)
-    w[4 * len(KINDS) : 4 * len(KINDS) + 3] = (4.0, 3.0, 0.5)
+    w = np.zeros(SHAPES + len(PATTERNS) + 1)
+    w[SHAPES : SHAPES + 3] = (4.0, 3.0, 0.5)
     w[-1] = -2.0
     none = np.zeros(0, np.int64)
     return Scorer(np.zeros(0, np.uint64), none, none, none, 0, w)
@@ -318,9 +364,8 @@ def learn(docs: DataFrame, labels: DataFrame, p: Toxicity = Toxicity()) -> Score
 
     def count(batches):
         for batch in batches:
-            column = lowered(batch.column(0))
-            for _, _, raw, offsets in slices(column):
-                doc, kind, feature, _ = text_features(raw, offsets)
+            for _, _, texts in slices(batch.column(0)):
+                doc, kind, feature, _ = text_features(*texts)
                 _, one = distinct(doc, feature)
                 found, n = np.unique(one, return_counts=True)
                 first = np.unique(feature, return_index=True)[1]
@@ -346,10 +391,9 @@ def learn(docs: DataFrame, labels: DataFrame, p: Toxicity = Toxicity()) -> Score
     def tally(batches):
         n = np.zeros((len(shared.value), p.folds, 2), np.int32)
         for batch in batches:
-            column = lowered(batch.column(0))
             side, fold = batch.column(1).to_numpy(zero_copy_only=False).astype(int), batch.column(2).to_numpy()
-            for i, _, raw, offsets in slices(column):
-                doc, _, feature, _ = text_features(raw, offsets)
+            for i, _, texts in slices(batch.column(0)):
+                doc, _, feature, _ = text_features(*texts)
                 doc, col = hits(shared.value, doc, feature)
                 np.add.at(n, (col, fold[i + doc], side[i + doc]), 1)
         col, fold, side = np.nonzero(n)
@@ -366,9 +410,8 @@ def learn(docs: DataFrame, labels: DataFrame, p: Toxicity = Toxicity()) -> Score
 
     def probe(batches):
         for batch in batches:
-            column = lowered(batch.column(0))
-            for i, j, raw, offsets in slices(column):
-                doc, _, feature, patterns = text_features(raw, offsets)
+            for i, j, texts in slices(batch.column(0)):
+                doc, _, feature, patterns = text_features(*texts)
                 doc, col = hits(kept.value, doc, feature)
                 cut = np.searchsorted(doc, np.arange(j - i + 1))
                 data = col.astype(np.int32).tobytes()
@@ -393,9 +436,8 @@ def score(docs: DataFrame, scorer: Scorer, columns: tuple[str, ...] = ("doc_id",
 
     def run(batches):
         for batch in batches:
-            column = lowered(batch.column(0))
-            for i, j, raw, offsets in slices(column):
-                yield pa.RecordBatch.from_arrays([*(c.slice(i, j - i) for c in batch.columns[1:]), pa.array(shared.value.score(raw, offsets))], names=[*columns, "score"])
+            for i, j, texts in slices(batch.column(0)):
+                yield pa.RecordBatch.from_arrays([*(c.slice(i, j - i) for c in batch.columns[1:]), pa.array(shared.value.score(texts))], names=[*columns, "score"])
 
     return picked.mapInArrow(run, schema)
 
