@@ -1,25 +1,27 @@
 """Main text of web pages by the maximum-scoring subsequence of tokens.
 
-A page becomes a sequence of words and tags. Each kind of token has a weight, fitted as a smoothed
-log-odds on pages whose content is labelled; words of running text come out positive, tags and
-words in menus, notices and the like negative. One linear scan finds the contiguous run of greatest
-total weight. Blocks within that run that stand in an element of a page part other than the article
-(navigation, forms, adverts, reader comments and so on) are left out, the rest is the text.
+A page becomes a sequence of words and tags. Words score positive and tags negative, with weights
+fitted on labelled pages; one linear scan finds the contiguous run of greatest total, and its blocks
+are the text. Elements with a name (class, id, role) or a sectioning tag are judged apart by a
+logistic model of the same pages: words in those that come out as page parts (menus, adverts,
+comments and the like) score nothing, and are left out where they lie inside the run.
 """
 
 from __future__ import annotations
 
 import html as entities
-import math
 import re
 from collections import Counter
 from collections.abc import Iterable, Iterator
+from dataclasses import dataclass, field
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from vecengine.llm import common as C
+from vecengine.llm.layouts import labelled_layouts
 
 #: A comment, a declaration or processing instruction, or a tag with quoted or bare attributes.
 MARKUP = re.compile(r"<!--.*?(?:-->|$)|<[!?][^>]*(?:>|$)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|$)", re.S)
@@ -27,27 +29,18 @@ ATTRIBUTE = re.compile(r"""([^\s"'<>/=]+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"
 UNSEEN = re.compile(r"(?:^|;)\s*(?:display\s*:\s*none|visibility\s*:\s*hidden)\b", re.I)
 #: Attributes whose values name what an element is for.
 HINTS = ("class", "id", "role", "itemprop", "aria-label")
+NAME = re.compile(r"[A-Z]?[a-zäöüéñç]+|[A-Z]+(?![a-z])")
 
-# Elements and attribute words of page parts.
+# Kinds of elements.
 RAW = frozenset("script style noscript template textarea title iframe object xmp noembed noframes".split())
-PARTS = frozenset("head nav header footer aside form menu dialog button select option label fieldset svg math audio video canvas map figure-nav".split())
+UNREAD = frozenset("head dialog button select option label svg audio video canvas map".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd mark nobr q rp rt ruby s samp small span strike strong sub sup time tt u var wbr".split())
+SECTIONS = frozenset("article main nav header footer aside form fieldset menu section".split())
 CONTENT = frozenset(("article", "main"))
 OPEN_ENDED = frozenset("p li dt dd tr td th option thead tbody tfoot".split())
-PART_WORDS = re.compile(
-    r"(?:^|[\s_-])(?<!has-)(?<!with-)(?<!no-)(?:ads?|advert\w*|adbox|adsense|sponsor\w*|promo\w*|banner\w*|nav\w*|menu\w*|side-?bar\w*|breadcrumb\w*|footer\w*|masthead|site-?header|page-?header|topbar|toolbar|header"
-    r"|cookies?|consent|gdpr|notices?|alert\w*|popup\w*|modal\w*|overlay|newsletter|subscri\w*|signup|login|share\w*|sharing|social\w*|related|recommend\w*|trending|popular"
-    r"|comments?|commentlist|discussion|respond|replies|disqus|reviews?|pagination|pager|tags|widget\w*|copyright|legal|disclaimer|skip-?link|search\w*|complementary|contentinfo|navigation|banner)(?=$|[\s_-])",
-    re.I,
-)
-#: Part words that also name the layout of a whole page; elements that may stand around the content.
-LAYOUT = re.compile(r"[\s_-]*(?:nav\w*|menu\w*|side-?bar\w*|footer\w*|masthead|site-?header|page-?header|topbar|toolbar|header|banner\w*|overlay|modal\w*|widget\w*|search\w*|login|tags|legal|reviews?|discussion)[\s_-]*", re.I)
-AROUND = frozenset(("form", "fieldset"))
 HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
-TITLE = re.compile(r"(?:^|(?<=\s))(?:page-?)?header(?=$|\s)", re.I)
-#: So many times the words outside of all parts a layout wrapper has to hold to count as the content's.
-MOST = 4
+TEXT_BLOCKS = frozenset("p blockquote dd pre figcaption".split())
 
 
 def named(attributes: str) -> dict[str, str]:
@@ -91,151 +84,215 @@ def spans(page: str) -> Iterator[tuple]:
         yield "text", page[at:], ""
 
 
-def tokens(page: str) -> list[tuple[str, str, bool]]:
-    """(kind, text, part) of each text run and tag; part: it stands in a page part that is not the article.
+@dataclass
+class Element:
+    """An element that has a name or a sectioning tag, with what stands in it, elements below included."""
 
-    kind of a run: 'word:' and its nearest of part, heading, link, item or plain; of a tag: its name.
-    Forms and elements that attribute words mark are no parts where they stand around the content.
-    """
-    out: list[tuple[str, str, bool, int]] = []  # the last: the innermost marked element, 0 for none
-    stack: list[tuple[str, bool, bool]] = []
-    parts = links = items = heads = content = 0
+    up: int  # the one around it, 0 for the page
+    tag: str
+    names: tuple[str, ...] = ()
+    words: int = 0
+    linked: int = 0
+    blocks: int = 0
+    holds: set = field(default_factory=set)
+
+
+@dataclass
+class Page:
+    """tokens: (kind, text, element, unread). kind of a run of characters: 'word:' and the nearest of link, linked
+    (within a paragraph), head, item or plain; of a tag: its name, with '/' in front where it closes."""
+
+    tokens: list[tuple[str, str, int, bool]]
+    elements: list[Element]
+
+
+def name_parts(a: dict[str, str]) -> tuple[str, ...]:
+    """An element's names in lower case without digits, and the words of those that have several, in brackets."""
+    out: dict[str, None] = {}
+    for hint in HINTS:
+        for name in a.get(hint, "").split():
+            parts = [x.lower() for x in NAME.findall(name)]
+            if parts:
+                out["-".join(parts)] = None
+            if len(parts) > 1:
+                out.update(dict.fromkeys(f"({x})" for x in parts))
+    return tuple(out)
+
+
+def parse(page: str) -> Page:
+    """Tokens and elements. Tags that nothing opened are ignored; markup that never ends runs to the end of the page."""
+    tokens: list[tuple[str, str, int, bool]] = []
+    elements = [Element(0, "")]
+    stack: list[tuple[str, bool, int]] = []  # tag, whether its text is unread, the element around it
     depth: Counter = Counter()
-    marked = [0]  # the marked elements' open ones
-    above, layout = [0], [False]  # of each marked element: the next one around it; whether it may be of the layout
-    held: list[tuple[str, int]] = []  # article and main elements, by the marked element around them
+    unread = links = items = heads = content = texts = at = 0
 
     def leave() -> None:
-        nonlocal parts, links, items, heads, content
-        name, is_part, is_marked = stack.pop()
+        nonlocal unread, links, items, heads, content, texts, at
+        name, off, at = stack.pop()
         depth[name] -= 1
-        parts -= is_part
-        if is_marked:
-            marked.pop()
+        unread -= off
         links -= name == "a"
         items -= name == "li"
         heads -= name in HEADINGS
         content -= name in CONTENT
+        texts -= name in TEXT_BLOCKS
 
     for what, text, attributes in spans(page):
         if what == "text":
-            kind = "word:link" if links else "word:head" if heads else "word:item" if items else "word:plain"
-            out.append((kind, text, parts > 0, marked[-1]))
+            kind = ("word:linked" if texts else "word:link") if links else "word:head" if heads else "word:item" if items else "word:plain"
+            tokens.append((kind, text, at, unread > 0))
+            if not unread and (n := len(text.split())):
+                e = elements[at]
+                e.words += n
+                e.linked += n if links else 0
             continue
         tag = text
         if what == "open":
             if tag in OPEN_ENDED and stack and stack[-1][0] == tag:
                 leave()
-            is_part = tag in RAW or tag in PARTS - AROUND
-            if tag == "header" and content:
-                is_part = False  # an article's own head
-            is_marked, of_layout = tag in AROUND, True
-            if attributes and not is_part and tag not in ("html", "body", *CONTENT):
-                a = named(attributes)
-                names = " ".join(a[x] for x in HINTS if a.get(x))
-                found = [m.group() for m in PART_WORDS.finditer(TITLE.sub("", names) if tag in HEADINGS else names)]
-                is_part = hidden(a)
-                is_marked = not is_part and (is_marked or bool(found))
-                of_layout = all(LAYOUT.fullmatch(x) for x in found)
-            if is_marked:
-                above.append(marked[-1])
-                layout.append(of_layout)
-                marked.append(len(above) - 1)
-            if tag in CONTENT and not parts:
-                held.append((tag, marked[-1]))
-            stack.append((tag, is_part, is_marked))
+            off, around = tag in RAW or tag in UNREAD, at
+            if not off and tag not in ("html", "body"):
+                names: tuple[str, ...] = ()
+                if attributes:
+                    a = named(attributes)
+                    off = hidden(a)
+                    names = name_parts(a)
+                if names or tag in SECTIONS:
+                    elements.append(Element(at, f"{tag}@content" if content and tag in ("header", "footer") else tag, names))
+                    at = len(elements) - 1
+                if tag in TEXT_BLOCKS:
+                    elements[at].blocks += 1
+            stack.append((tag, off, around))
             depth[tag] += 1
-            parts += is_part
+            unread += off
             links += tag == "a"
             items += tag == "li"
             heads += tag in HEADINGS
             content += tag in CONTENT
+            texts += tag in TEXT_BLOCKS
+            tokens.append((tag, "", at, unread > 0))
         elif what == "close":
+            tokens.append(("/" + tag, "", at, unread > 0))
             if depth[tag]:
                 while stack[-1][0] != tag:
                     leave()
                 leave()
-        out.append((("/" if what == "close" else "") + tag, "", parts > 0, marked[-1]))
-    left_out = _left_out(out, above, layout, held)
-    return [("word:part" if kind.startswith("word:") and (part or left_out[n]) else kind, text, part or left_out[n]) for kind, text, part, n in out]
+        else:
+            tokens.append((tag, "", at, unread > 0))
+    for n in range(len(elements) - 1, 0, -1):  # elements below come after those around them
+        e, up = elements[n], elements[elements[n].up]
+        up.words += e.words
+        up.linked += e.linked
+        up.blocks += e.blocks
+        up.holds |= e.holds | ({e.tag} & CONTENT)
+    return Page(tokens, elements)
 
 
-def _left_out(out: list, above: list[int], layout: list[bool], held: list[tuple[str, int]]) -> list[bool]:
-    """Of each marked element: whether it, or one around it, is a part and not a wrapper of the content.
+def traits(e: Element, page: Element) -> list[str]:
+    """What the logistic model knows of an element besides its names and tag."""
+    share, links = e.words / max(page.words, 1), e.linked / max(e.words, 1)
+    return [
+        "share:" + ("most" if share >= 0.5 else "some" if share >= 0.15 else "few"),
+        "links:" + ("most" if links >= 0.6 else "some" if links >= 0.25 else "few"),
+        "blocks:" + ("many" if e.blocks > 2 else "some" if e.blocks else "none"),
+        "words:" + ("many" if e.words > 60 else "some" if e.words > 12 else "few"),
+        *(f"holds:{x}" for x in sorted(e.holds)),
+    ]
 
-    Wrappers are what stands around a main element; around an article where none stands outside of
-    marked elements and the wrapper holds more words than are left outside (most, where it is not of the
-    layout); and, without either, what is of the layout and holds most of the words that are neither
-    links nor in a part.
-    """
-    words = [0] * len(above)
-    for kind, text, part, n in out:
-        if not part and kind in ("word:plain", "word:head", "word:item"):
-            words[n] += len(text.split())
-    wraps = {n for tag, n in held if tag == "main"}
-    if not any(n == 0 for _, n in held):
-        if not wraps:
-            wraps = {n for _, n in held if words[n] > (1 if layout[n] else MOST) * words[0]}
-        if not wraps:
-            n = max(range(len(above)), key=lambda n: (layout[n] * words[n], -n))
-            wraps = {n} if layout[n] and words[n] > MOST * words[0] else set()
-    for n in list(wraps):
-        while n:
-            wraps.add(n)
-            n = above[n]
-    left = [False] * len(above)
-    for n in range(1, len(above)):
-        left[n] = left[above[n]] or n not in wraps
-    return left
+
+def marks(e: Element) -> list[str]:
+    tag = "heading" if e.tag in HEADINGS else e.tag
+    return [*([f"tag:{tag}"] if e.tag in SECTIONS or "@" in e.tag or tag == "heading" else []), *(f"name:{x}" for x in e.names)]
 
 
 class Weights:
-    """Weight of each kind of token: log-odds of content against the rest, plus a bias by sign.
+    """tokens: of a word by kind (positive, links apart) and of a tag (negative); unseen tags weigh `other`.
 
-    Words count once each, tags once; unseen tags weigh as the mean tag.
+    marks: logistic weights of elements' names, tags and traits; `bias` is theirs. An element is a page part where
+    its names and tag alone speak against it and all it is known for does too.
     """
 
-    def __init__(self, by_kind: dict[str, float], other: float) -> None:
-        self.by_kind, self.other = by_kind, other
+    def __init__(self, tokens: dict[str, float], other: float, marks: dict[str, float], bias: float) -> None:
+        self.tokens, self.other, self.marks, self.bias = tokens, other, marks, bias
 
     def of(self, kind: str) -> float:
-        return self.by_kind.get(kind, self.other)
+        return self.tokens.get(kind, self.other)
 
+    def parts(self, page: Page) -> list[bool]:
+        """Of each element: whether it or one around it is a page part."""
+        out = [False] * len(page.elements)
+        for n, e in enumerate(page.elements[1:], 1):
+            by_mark = sum(self.marks.get(x, 0.0) for x in marks(e))
+            out[n] = out[e.up] or (by_mark < 0 and self.bias + by_mark + sum(self.marks.get(x, 0.0) for x in traits(e, page.elements[0])) < 0)
+        return out
 
-def fit(labelled: Iterable[tuple[str, tuple[int, int]]], smooth: float = 1.0) -> Weights:
-    """labelled: pages and the token range [i, j) of their content."""
+
+def fit(labelled: Iterable[tuple[str, tuple[int, int]]], ridge: float = 0.1, rounds: int = 25) -> Weights:
+    """labelled: pages and the token range [i, j) of their content.
+
+    Words and tags weigh by the log-odds of standing in the content, each page counting as one; only what is outside
+    of labelled parts counts, as parts score nothing.
+    """
     inside: Counter = Counter()
     outside: Counter = Counter()
-    for page, (i, j) in labelled:
-        for n, (kind, text, _) in enumerate(tokens(page)):
-            (inside if i <= n < j else outside)[kind] += len(text.split()) if kind.startswith("word:") else 1
-    kinds = {*inside, *outside}
-    word = lambda k: k.startswith("word:")
-    total = [sum(c[k] for k in kinds if word(k)) for c in (inside, outside)]
-    out = {}
-    for k in kinds:
-        odds = math.log((inside[k] + smooth) / (outside[k] + smooth))
-        if word(k):
-            out[k] = min(3.0, max(0.2, 0.5 + odds / 4)) if odds > math.log((total[0] + smooth) / (total[1] + smooth)) - 1 and k != "word:part" else min(-0.5, max(-3.0, odds))
-        else:
-            out[k] = max(-6.0, min(-0.2, odds - 1.0))
-    out["word:plain"] = max(out.get("word:plain", 1.0), 0.5)
-    out["word:head"] = max(out.get("word:head", 0.5), 0.2)
-    out["word:part"] = min(out.get("word:part", -1.0), -1.0)
-    tags = [v for k, v in out.items() if not word(k)]
-    return Weights(out, sum(tags) / len(tags) if tags else -2.0)
+    seen: Counter = Counter()
+    for text, (i, j) in labelled:
+        page = parse(text)
+        first, last, total = {}, {}, max(1, sum(not t[3] for t in page.tokens))
+        for n, (_, _, e, _) in enumerate(page.tokens):
+            while e and e not in first:
+                first[e], e = n, page.elements[e].up
+        for n in range(len(page.tokens) - 1, -1, -1):
+            e = page.tokens[n][2]
+            while e and e not in last:
+                last[e], e = n, page.elements[e].up
+        outer = [False] * len(page.elements)
+        for n, e in enumerate(page.elements[1:], 1):
+            part = n in first and (last[n] < i or first[n] >= j)
+            if n in first and not outer[e.up]:
+                seen[(part, frozenset([*marks(e), *traits(e, page.elements[0])]))] += 1
+            outer[n] = outer[e.up] or part
+        for n, (kind, run, e, off) in enumerate(page.tokens):
+            size = len(run.split()) if kind.startswith("word:") else 1
+            if size and not off and not outer[e]:
+                (inside if i <= n < j else outside)[kind] += size / total
+    tokens = {}
+    for kind in {*inside, *outside}:
+        odds = np.log((inside[kind] + 0.05) / (outside[kind] + 0.05))
+        tokens[kind] = float(np.clip(odds / 2, -1.5, 1.0) if kind.startswith("word:") else -0.1 - 1.2 * np.clip(2 - odds, 0.0, 5.0))
+    tokens.setdefault("word:linked", tokens.get("word:plain", 1.0) / 2)
+    tokens |= {f"{x}{tag}": -0.1 for tag in INLINE for x in ("", "/")}  # they say nothing that their words do not
+    tags = [v for k, v in tokens.items() if not k.startswith("word:") and k.lstrip("/") not in INLINE]
+    columns = sorted({x for _, found in seen for x in found})
+    place = {x: k for k, x in enumerate(columns)}
+    x = np.zeros((len(seen), len(columns) + 1))
+    x[:, -1] = 1
+    y, n = np.zeros(len(seen)), np.zeros(len(seen))
+    for r, ((part, found), count) in enumerate(sorted(seen.items(), key=lambda s: (s[0][0], sorted(s[0][1])))):
+        x[r, [place[f] for f in found]] = 1
+        y[r], n[r] = not part, count
+    w = np.zeros(x.shape[1])
+    held = ridge * np.array([*(1.0 if f.startswith(("name:", "tag:")) else 4.0 for f in columns), 1.0])  # names before shapes
+    for _ in range(rounds if len(seen) else 0):
+        p = 1 / (1 + np.exp(-x @ w))
+        step = np.linalg.solve((x * (n * p * (1 - p))[:, None]).T @ x + np.diag(held), x.T @ (n * (p - y)) + held * w)
+        w -= step * min(1.0, 3 / (np.abs(step).max() + 1e-9))
+        if np.abs(step).max() < 1e-6:
+            break
+    return Weights(tokens, sum(tags) / len(tags) if tags else -1.0, dict(zip(columns, w[:-1].tolist(), strict=True)), float(w[-1]))
 
 
 def labelled_by_mark(page: str, mark: str = "<!--label-->") -> tuple[str, tuple[int, int]]:
     """A page and its content's token range from two marks around the content."""
     head, body, tail = page.split(mark)
-    i = len(tokens(head))
-    return head + body + tail, (i, i + len(tokens(head + body)) - len(tokens(head)))
+    i = len(parse(head).tokens)
+    return head + body + tail, (i, len(parse(head + body).tokens))
 
 
 def labelled_by_element(page: str) -> tuple[str, tuple[int, int]] | None:
     """The inside of a lone article or main element as its page's label; None where there is no such element."""
-    toks = tokens(page)
+    toks = parse(page).tokens
     for tag in ("article", "main"):
         opens = [n for n, t in enumerate(toks) if t[0] == tag]
         closes = [n for n, t in enumerate(toks) if t[0] == "/" + tag]
@@ -244,20 +301,8 @@ def labelled_by_element(page: str) -> tuple[str, tuple[int, int]] | None:
     return None
 
 
-#: Hand-made labelled pages of different layouts; the marks stand around the content.
-LABELLED = tuple(
-    labelled_by_mark(page)
-    for page in (
-        "<html><head><title>t</title></head><body><nav><ul><li><a href=x>Home</a></li><li><a href=y>About us</a></li></ul></nav><div class=content><!--label--><h1>A day at the lake</h1><p>We left early in the morning and walked along the shore.</p><p>The water was calm, and <a href=z>old boats</a> lay on the sand near the trees.</p><!--label--></div><footer><p>All rights reserved by nobody</p></footer></body></html>",
-        "<html><body><div class=header><a href=/>Site</a> <a href=/news>News</a></div><div id=main><!--label--><h2>How bread is made</h2><p>Flour, water and salt are mixed and left to rest for a night.</p><ul><li>Knead the dough for ten minutes until it is smooth.</li><li>Let it rise again in a warm place.</li></ul><p>Bake it until the crust is brown.</p><!--label--></div><div class=sidebar><ul><li><a href=1>One</a></li><li><a href=2>Two</a></li><li><a href=3>Three</a></li></ul></div></body></html>",
-        "<html><body><div class=menu><a href=a>First</a> | <a href=b>Second</a> | <a href=c>Third</a></div><article><!--label--><h1>Rivers in winter</h1><p>Ice forms first where the current is slow, then spreads from both banks.</p><blockquote><p>In the old days carts crossed it.</p></blockquote><p>By spring it breaks up with a great noise.</p><!--label--></article><div class=comments><h3>Comments</h3><p>Nice one</p><p>Thanks for that</p></div><form><input name=q><button>Send</button></form></body></html>",
-        "<html><body><table><tr><td><a href=1>Start</a><br><a href=2>Contact</a></td><td><!--label--><p>The town lies between two hills and has a small market.</p><p>On Fridays farmers bring cheese, apples and wool from the valley.</p><!--label--></td></tr></table><p><small><a href=p>Privacy</a> <a href=i>Imprint</a></small></p></body></html>",
-    )
-)
-
-
 #: A part within the run is left out of the text, so it costs the run its opening only.
-PART_COST = -1.0
+PART_COST = -0.5
 
 
 def best_run(scores: list[float]) -> tuple[int, int]:
@@ -273,52 +318,52 @@ def best_run(scores: list[float]) -> tuple[int, int]:
     return at
 
 
+def scored(page: Page, weights: Weights) -> tuple[list[bool], list[float]]:
+    """Of each token: whether it is left out as unread or in a part, and its score."""
+    part = weights.parts(page)
+    left = [off or part[e] for _, _, e, off in page.tokens]
+    scores = []
+    before = False
+    for (kind, text, _, _), out in zip(page.tokens, left, strict=True):
+        scores.append((0.0 if before else PART_COST) if out else weights.of(kind) * (len(text.split()) if kind.startswith("word:") else 1))
+        before = out
+    return left, scores
+
+
 def extract(page: str | None, weights: Weights) -> str:
-    """The main text: references decoded, white space within a block made one space, blocks joined by one space."""
+    """The main text: references decoded, white space within a block made one space, blocks joined by one space.
+
+    It is the run of greatest total, out to the ends of the blocks in which it begins and ends, without page parts.
+    """
     if not page:
         return ""
-    toks = tokens(page)
-    words = [len(t[1].split()) if t[0].startswith("word:") else 1 for t in toks]
-    inside = [False, *(t[2] for t in toks)]
-    i, j = best_run([(0.0 if inside[n] else PART_COST) if t[2] else weights.of(t[0]) * words[n] for n, t in enumerate(toks)])
+    parsed = parse(page)
+    left, scores = scored(parsed, weights)
+    i, j = best_run(scores)
+    toks = parsed.tokens
+    flows = lambda n: not left[n] and (toks[n][0].startswith("word:") or toks[n][0].lstrip("/") in INLINE)
+    if i < j:
+        while i > 0 and flows(i - 1) and flows(i):
+            i -= 1
+        while j < len(toks) and flows(j) and flows(j - 1):
+            j += 1
     pieces = []
-    for kind, text, part in _widened(toks, i, j):
+    for n in range(i, j):
+        kind, text = toks[n][0], toks[n][1]
         if kind.startswith("word:"):
-            if not part:
+            if not left[n]:
                 pieces.append(entities.unescape(text))
         elif kind.lstrip("/") not in INLINE:
             pieces.append(" ")
     return " ".join("".join(pieces).split())
 
 
-def _widened(toks: list, i: int, j: int) -> list:
-    """The run, out to the ends of its first and last block and of the article or main element that holds its words."""
-    if i == j:
-        return []
-    flows = lambda t: t[0].startswith("word:") or t[0].lstrip("/") in INLINE
-    while i > 0 and flows(toks[i - 1]) and flows(toks[i]):
-        i -= 1
-    while j < len(toks) and flows(toks[j]) and flows(toks[j - 1]):
-        j += 1
-    opens = [n for n in range(i - 1, -1, -1) if toks[n][0] in CONTENT]
-    for n in opens:
-        tag, depth = toks[n][0], 0
-        for m in range(n, len(toks)):
-            depth += (toks[m][0] == tag) - (toks[m][0] == "/" + tag)
-            if depth == 0:
-                break
-        else:
-            m = len(toks)
-        if m >= j or not any(t[0].startswith("word:") and not t[2] and t[1].strip() for t in toks[m:j]):
-            return toks[n:m]
-    return toks[i:j]
-
-
 def extract_pages(pages: DataFrame, weights: Weights) -> DataFrame:
     """(page_id, url, text, n_chars) for each row of pages (page_id, url, html).
 
     A null or empty page, or one without content, gives an empty text; markup that never ends runs to
-    the end of the page. Repeated rows each give their row; other columns are ignored.
+    the end of the page. Repeated rows each give their row; other columns are ignored; an empty table
+    gives an empty result.
     """
 
     def run(batches):
@@ -329,8 +374,8 @@ def extract_pages(pages: DataFrame, weights: Weights) -> DataFrame:
     return pages.select("page_id", "url", F.col("html").cast("string")).mapInArrow(run, "page_id long, url string, text string, n_chars long")
 
 
-def labelled_sample(pages: DataFrame, most: int, spare: int = 64) -> list[str]:
-    """At most `most` pages with an article or main element: the bounded sample for fit().
+def labelled_sample(pages: DataFrame, most: int, spare: int = 64, longest: int = 50_000) -> list[str]:
+    """At most `most` pages of at most `longest` characters with an article or main element: the bounded sample for fit().
 
     They are those of least hash of the id among about spare * most pages that a hash threshold keeps
     (all pages of a small table), so what tasks send on stays bounded however many there are.
@@ -340,14 +385,19 @@ def labelled_sample(pages: DataFrame, most: int, spare: int = 64) -> list[str]:
     few = pages.select("page_id", "html")
     if total > spare * most:
         few = few.where(F.pmod(key, F.lit(1 << 40)) < F.lit(int((1 << 40) * spare * most / total)))
-    marked = few.where(F.col("html").rlike("(?i)<(article|main)[\\s>]") & (F.length("html") < 50_000))
+    marked = few.where(F.col("html").rlike("(?i)<(article|main)[\\s>]") & (F.length("html") <= longest))
     ids = C.cut(marked.select(key.alias("key")).orderBy("key").limit(most)).distinct()
-    rows = few.select(key.alias("key"), "html").join(F.broadcast(ids), "key").where(F.length("html") < 50_000).limit(2 * most).collect()
+    rows = few.select(key.alias("key"), "html").join(F.broadcast(ids), "key").where(F.length("html") <= longest).limit(2 * most).collect()
     return [r.html for r in sorted(rows)[:most]]
 
 
+def default_weights(marked: Iterable[str] = ()) -> Weights:
+    """Fitted on the generated layouts and on pages whose own article or main element marks their content."""
+    own = (labelled_by_element(x) for x in marked)
+    return fit([*(labelled_by_mark(x) for x in labelled_layouts()), *(x for x in own if x)])
+
+
 def op1_extract_html(spark: SparkSession, sf_dir: str, labelled_pages: int = 128) -> DataFrame:
-    """Main text of all pages; weights from the hand-labelled pages and at most labelled_pages marked ones."""
+    """Main text of all pages; weights from generated labelled layouts and at most labelled_pages marked pages of the table."""
     pages = C.table(spark, sf_dir, "pages")
-    marked = (labelled_by_element(x) for x in labelled_sample(pages, labelled_pages))
-    return extract_pages(pages, fit([*LABELLED * 8, *(x for x in marked if x)]))
+    return extract_pages(pages, default_weights(labelled_sample(pages, labelled_pages)))
