@@ -17,7 +17,7 @@ from vecengine.llm import common as C
 PIECE = 32
 #: CJK radicals to unified ideographs, Hangul syllables, compatibility ideographs.
 SINGLE = r"⺀-鿿가-힯豈-﫿"
-TOKEN = rf"[{SINGLE}]|[^\x20\x09-\x0D{SINGLE}]{{1,{PIECE}}}"
+SPACE = " \t\n\x0b\f\r"
 
 
 def let(value: Column, body) -> Column:
@@ -25,12 +25,28 @@ def let(value: Column, body) -> Column:
     return F.transform(F.array(value), body)[0]
 
 
+def tokens(text: Column) -> Column:
+    """The words of a text in order, by one split: what stands alone is first set apart by spaces, and only texts
+    with a word longer than PIECE are gone over again."""
+    apart = F.when(text.rlike(f"[{SINGLE}]"), F.regexp_replace(text, f"([{SINGLE}])", " $1 ")).otherwise(text)
+    long = lambda w: F.length(w) > PIECE
+    cut = lambda w: F.transform(F.sequence(F.lit(1), F.length(w), F.lit(PIECE)), lambda i: F.substr(w, i, F.lit(PIECE)))
+
+    def pieces(words: Column) -> Column:
+        return F.when(F.exists(words, long), F.flatten(F.transform(words, lambda w: F.when(long(w), cut(w)).otherwise(F.array(w))))).otherwise(words)
+
+    def words(t: Column) -> Column:
+        return F.when(t == "", F.array().cast("array<string>")).otherwise(let(F.split(t, f"[{SPACE}]+"), pieces))
+
+    return let(F.btrim(apart, F.lit(SPACE)), words)
+
+
 def anchors(text: Column, k: int = 4, s: int = 2) -> Column:
     """array<struct<h, at>>: hash and 1-based word position of each anchor, in text order.
 
     A text of fewer than k words is a single anchor of all its words at 1; a wordless one has none.
     """
-    hashes = F.transform(F.regexp_extract_all(text, F.lit(TOKEN), F.lit(0)), lambda t: F.xxhash64(t))
+    hashes = F.transform(tokens(text), lambda t: F.xxhash64(t))
     width = k - s + 1
 
     def inner(h: Column) -> Column:
@@ -68,10 +84,15 @@ def sketch(text: Column, keep: int = 64, k: int = 4, s: int = 2) -> Column:
 def least(found: Column, keep: int = 64) -> Column:
     """sketch() of a text whose anchors are at hand."""
 
+    def below(h: Column) -> Column:
+        """Anchors whose hash is among the `keep` least; whole lists are sorted as plain numbers only."""
+        return let(F.element_at(h, F.least(F.lit(keep), F.size(h))), lambda most: F.filter(found, lambda x: x["h"] <= most))
+
     def first(a: Column) -> Column:
         return F.filter(F.transform(F.sequence(F.lit(1), F.size(a)), lambda i: F.when((i == 1) | (F.element_at(a, i)["h"] != F.element_at(a, F.greatest(i - 1, F.lit(1)))["h"]), F.element_at(a, i))), lambda x: x.isNotNull())
 
-    ordered = let(F.sort_array(found), lambda a: F.when(F.size(a) == 0, a).otherwise(first(a)))
+    few = F.when(F.size(found) <= keep, found).otherwise(let(F.sort_array(F.array_distinct(F.transform(found, lambda x: x["h"]))), below))
+    ordered = let(F.sort_array(few), lambda a: F.when(F.size(a) == 0, a).otherwise(first(a)))
     return F.slice(ordered, 1, keep)
 
 
