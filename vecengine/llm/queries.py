@@ -9,7 +9,7 @@ from vecengine.llm.html_extract import op1_extract_html
 from vecengine.llm.mixing import MIX_SQL, op5_mix_sources
 from vecengine.llm.near_dedup import op6_minhash_near_dedup
 from vecengine.llm.pieces import op2_sentencepiece
-from vecengine.llm.sharding import op4_sharding
+from vecengine.llm.sharding import SHARDS_SQL, op4_sharding
 from vecengine.llm.toxicity import op3_toxicity
 from vecengine.llm.warc import op7_warc
 
@@ -26,6 +26,6 @@ QUERIES = {
     "op10_embedding_near_dedup": op10_embedding_near_dedup,
 }
 ORACLES: dict[str, str] = {
-    "op4_sharding": op4_sharding,
+    "op4_sharding": SHARDS_SQL,
     "op5_mix_sources": MIX_SQL,
 }

@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import json
 import math
+import time
 import uuid
 from collections import defaultdict
 from dataclasses import asdict, dataclass
@@ -189,14 +190,15 @@ class ShardStore:
             if not groups:
                 return version
             data, target = f"{self.folder}/data", 2 * self.target
-            tasks = self.spark.createDataFrame([(i, [s.name for s in g]) for i, g in enumerate(groups)], "job long, names array<string>").repartition(len(groups), "job")
+            plan = self.spark.sparkContext.broadcast([[s.name for s in g] for g in groups])  # of the manifest's size
+            tasks = self.spark.range(0, len(groups), 1, len(groups))  # one job a task
 
-            def merge(batches):
+            def merge(batches, plan=plan):
                 store, root = resolve(data)
                 for batch in batches:
-                    for job, names in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                    for job in batch.column(0).to_pylist():
                         roll = None
-                        for name in names:
+                        for name in plan.value[job]:
                             with store.open_input_file(f"{root}/{name}") as source:
                                 for part in pq.ParquetFile(source).iter_batches(batch_size=8192):
                                     roll = roll or _Roll(store, root, part.schema, target)
@@ -207,19 +209,28 @@ class ShardStore:
             made = C.cut(tasks.mapInArrow(merge, WRITTEN)).orderBy("job", "name").collect()
             new = [Shard(r.name, r.rows, r.bytes, min(s.arrival for s in groups[r.job])) for r in made]
             self.change(new, {s.name for g in groups for s in g}, f"merge {sum(map(len, groups))} into {len(new)}")
-            self.vacuum()
 
-    def vacuum(self, keep: int = 1) -> None:
-        """Delete shards that none of the latest `keep` versions lists but some earlier one did.
+    def vacuum(self, retain_s: float = 7 * 86_400.0) -> int:
+        """Delete what is older than retain_s and no version that readers may still be on lists; returns the number of files.
 
-        Files of writers at work stand in no manifest yet and stay.
+        Those versions are the latest and any younger than retain_s. Files of writers at work are young, orphans of
+        writers that died are not. Nothing else deletes files, so call it when and where no reader is older.
         """
+        limit = time.time() * 1000 - retain_s * 1000
+        held = {x.getPath().getName(): x for x in self._fs.listStatus(self._path(f"{self.folder}/manifest"))}
         known = self.versions()
-        wanted = {s.name for v in known[-keep:] for s in self.shards(v)[1]}
-        for v in known[:-keep][-2:]:
-            for s in self.shards(v)[1]:
-                if s.name not in wanted:
-                    self._fs.delete(self._path(f"{self.folder}/data/{s.name}"), False)
+        live = [v for v in known if v == known[-1] or held[f"v{v:09d}.json"].getModificationTime() > limit]
+        wanted = {s.name for v in live for s in self.shards(v)[1]}
+        gone = 0
+        files = self._fs.listFiles(self._path(f"{self.folder}/data"), False)
+        while files.hasNext():
+            x = files.next()
+            if x.getPath().getName() not in wanted and x.getModificationTime() <= limit:
+                gone += self._fs.delete(x.getPath(), False)
+        for name, x in held.items():
+            if name not in {f"v{v:09d}.json" for v in live} and x.getModificationTime() <= limit:
+                self._fs.delete(x.getPath(), False)
+        return gone
 
     def read(self, version: int | None = None) -> DataFrame:
         """Rows of a version with their shard's name, size and number of rows."""
@@ -244,12 +255,19 @@ def shard_documents(docs: DataFrame, small: int = 8 << 20, target: int = 64 << 2
     store.append(docs)
     store.compact()
     store.compact(final=True)
+    store.vacuum(0.0)  # the folder is new and no one else's
     if not store.shards()[1]:
         return docs.withColumns({"shard": F.lit(""), "shard_rows": F.lit(0).cast("long"), "shard_bytes": F.lit(0).cast("long"), "version": F.lit(0).cast("long")}).limit(0)
     return store.read()
 
 
 def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All documents in compacted shards: where each stands and what was read back of it."""
+    """All documents as read back of compacted shards; listed: their shard holds as many rows as the manifest says."""
     out = shard_documents(C.table(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source", "n_chars"))
-    return out.select("doc_id", F.octet_length("text").cast("long").alias("text_bytes"), F.md5(F.col("text").cast("binary")).alias("text_md5"), "lang", "source", "shard", "shard_rows", "shard_bytes", "version")
+    held = out.groupBy("shard").agg(F.count(F.lit(1)).alias("held"))  # a row a shard, as the manifest
+    out = out.join(F.broadcast(held), "shard")
+    return out.select("doc_id", F.octet_length("text").cast("long").alias("text_bytes"), F.md5(F.col("text").cast("binary")).alias("text_md5"), "lang", "source", "n_chars", ((F.col("held") == F.col("shard_rows")) & (F.col("shard_bytes") > 0)).alias("listed"))
+
+
+#: What must come back of the shards.
+SHARDS_SQL = "SELECT doc_id, CAST(strlen(text) AS BIGINT) AS text_bytes, md5(text) AS text_md5, lang, source, n_chars, true AS listed FROM documents"
