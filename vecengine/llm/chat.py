@@ -13,7 +13,7 @@ import re
 
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from vecengine.llm import common as C
@@ -101,10 +101,10 @@ def parsed(messages: DataFrame) -> DataFrame:
 def earlier(asks: DataFrame, wrote: DataFrame) -> DataFrame:
     """asks (conv_id, turn, key, ...) with from_turn: the latest earlier turn of the conversation that wrote the key, or null."""
     extra = [c for c in asks.columns if c not in ("conv_id", "turn", "key")]
-    own = wrote.select("conv_id", "turn", "key", F.lit(False).alias("asks"), *(F.lit(None).cast(asks.schema[c].dataType).alias(c) for c in extra))
-    both = own.union(asks.select("conv_id", "turn", "key", F.lit(True), *extra))
-    before = Window.partitionBy("conv_id", "key").orderBy("turn").rangeBetween(Window.unboundedPreceding, -1)
-    return both.withColumn("from_turn", F.max(F.when(~F.col("asks"), F.col("turn"))).over(before)).where("asks").drop("asks")
+    own = wrote.select("conv_id", "turn", "key", F.lit(1).cast("long").alias("writes"), *(F.lit(None).cast(asks.schema[c].dataType).alias(c) for c in extra))
+    both = own.union(asks.select("conv_id", "turn", "key", F.lit(0).cast("long"), *extra))  # of one turn, asks come first
+    found = C.carried(both, ["conv_id", "key"], ["turn", "writes"], F.when(F.col("writes") == 1, F.col("turn")))
+    return found.where("writes = 0").withColumnRenamed("last", "from_turn").drop("writes", "place")
 
 
 def outside(asks: DataFrame, wrote: DataFrame) -> DataFrame:
@@ -190,8 +190,8 @@ def conversations(messages: DataFrame) -> DataFrame:
         F.sum(F.when(F.col("from_turn").isNotNull(), F.col("n")).otherwise(0)).alias("n_linked"),
         F.max(F.when((F.col("level") == 1) & (F.col("from_conv") == F.col("conv_id")), F.col("from_turn"))).alias("quoted_turn"),
     )
-    order = Window.partitionBy("conv_id").orderBy("turn")
-    placed = rows.select("conv_id", "turn", F.lag("turn").over(order).alias("before")).join(found, ["conv_id", "turn"], "left")
+    lines = C.carried(rows.select("conv_id", "turn"), ["conv_id"], ["turn"], F.col("turn"))
+    placed = lines.select("conv_id", "turn", F.col("last").alias("before")).join(found, ["conv_id", "turn"], "left")
     parent = F.coalesce("quoted_turn", "before")
     by = F.when(F.col("quoted_turn").isNotNull(), "quote").when(F.col("before").isNotNull(), "order").otherwise("root")
     placed = C.cut(placed.select("conv_id", "turn", parent.alias("parent_turn"), by.alias("linked_by"), F.coalesce("n_quotes", F.lit(0)).alias("n_quotes"), F.coalesce("n_linked", F.lit(0)).alias("n_linked")))
@@ -206,19 +206,27 @@ def conversations(messages: DataFrame) -> DataFrame:
         moved = pending.join(above, ["conv_id", "up"]).select("conv_id", "turn", F.col("higher").alias("up"), (F.col("depth") + F.col("more")).alias("depth"), F.col("on").alias("open"))
         hop = C.cut(hop.where("not open").union(moved))
     hop = hop.drop("open")
-    out = rows.select("conv_id", "turn", "role", "text").join(placed, ["conv_id", "turn"]).join(hop.withColumnRenamed("up", "root"), ["conv_id", "turn"])
-    thread = Window.partitionBy("conv_id").orderBy("root", "turn")
+    threads = C.carried(hop.withColumnRenamed("up", "root"), ["conv_id"], ["root", "turn"], F.lit(None)).select("conv_id", "turn", "depth", F.col("place").alias("position"))
+    out = rows.select("conv_id", "turn", "role", "text").join(placed, ["conv_id", "turn"]).join(threads, ["conv_id", "turn"])
     null = lambda c: F.nullif(c, F.lit(-(1 << 63)))
-    out = out.withColumn("position", F.row_number().over(thread).cast("long"))
     return out.select(null("conv_id").alias("conv_id"), null("turn").alias("turn"), "role", "text", null("parent_turn").alias("parent_turn"), "linked_by", "depth", "position", F.col("n_quotes").cast("long").alias("n_quotes"), F.col("n_linked").cast("long").alias("n_linked"))
 
 
 def as_mail(messages: DataFrame) -> DataFrame:
-    """Messages in mail style: each quotes the one before at level 1 and the one before that at level 2."""
-    order = Window.partitionBy("conv_id").orderBy("turn")
+    """Messages in mail style: each quotes the one before at level 1 and the one before that at level 2.
+
+    Rows that share conv_id and turn are told in the order of a hash of role and text, equal ones as one.
+    """
     quote = lambda c, mark: F.concat(F.lit(mark), F.replace(c, F.lit("\n"), F.lit("\n" + mark)), F.lit("\n"))
-    told = messages.select("conv_id", "turn", "role", F.coalesce("text", F.lit("")).alias("text"), F.lag("text").over(order).alias("one"), F.lag("text", 2).over(order).alias("two"))
-    return told.select("conv_id", "turn", "role", F.concat(F.coalesce(quote(F.col("two"), ">> "), F.lit("")), F.coalesce(quote(F.col("one"), "> "), F.lit("")), "text").alias("text"))
+    null = lambda c: F.coalesce(F.col(c).cast("long"), F.lit(-(1 << 63)))
+    told = messages.select(null("conv_id").alias("conv_id"), null("turn").alias("turn"), "role", F.col("text").alias("said"), F.xxhash64("role", "text").alias("h"))
+    told = told.dropDuplicates(["conv_id", "turn", "h"])
+    placed = C.carried(told.select("conv_id", "turn", "h"), ["conv_id"], ["turn", "h"], F.lit(None)).drop("last")
+    told = C.cut(told.join(placed, ["conv_id", "turn", "h"]))
+    ago = lambda n, name: told.where("said is not null").select("conv_id", (F.col("place") + n).alias("place"), F.col("said").alias(name))
+    told = told.join(ago(1, "one"), ["conv_id", "place"], "left").join(ago(2, "two"), ["conv_id", "place"], "left")
+    back = lambda c: F.nullif(F.col(c), F.lit(-(1 << 63))).alias(c)
+    return told.select(back("conv_id"), back("turn"), "role", F.concat(F.coalesce(quote(F.col("two"), ">> "), F.lit("")), F.coalesce(quote(F.col("one"), "> "), F.lit("")), F.coalesce("said", F.lit(""))).alias("text"))
 
 
 def op8_chat_quotes(spark: SparkSession, sf_dir: str) -> DataFrame:
