@@ -27,6 +27,7 @@ PART_NAMES = {
 CONTENT_NAMES = "content article article-body article-content post post-body post-content entry entry-content story story-body text body-text main main-content page-content single blog-post hentry document prose"
 WITHIN_NAMES = "lead intro summary quote pullquote figure caption table-wrap note step section chapter list gallery example highlight code title subtitle dek paragraph"
 WRAPPER_NAMES = "container wrapper wrap page site layout row col column grid inner outer has-sidebar with-sidebar no-sidebar content-sidebar-wrap site-content main-wrapper two-column app root"
+FORM_NAMES = "aspnetForm mainForm form1 page-form"  # of a form around the whole page
 #: Words that name parts, and subjects too.
 SUBJECT_WORDS = "popular header social notice banner share reviews related comment search legal menu alert trending discussion widget login footer nav overlay"
 #: Words that say nothing, which names of any kind go with.
@@ -134,7 +135,8 @@ class Maker:
         if wrap < 3:
             out = self.named("div", WRAPPER_NAMES, out)
         elif wrap == 3:
-            out = f"<form>{out}</form>"
+            name = r.choice((*FORM_NAMES.split(), ""))
+            out = f'<form id="{name}">{out}</form>' if name else f"<form>{out}</form>"
         return f"<html><head><title>{self.words(2, 6)}</title></head><body>{out}</body></html>"
 
 
