@@ -197,14 +197,62 @@ def test_forms_of_the_scan_agree(spark, data):
     assert len(near) == 5
 
 
-def test_large_blocks_keep_ties_by_id():
+@pytest.mark.parametrize("kind", [np.uint16, np.int32, np.float64])
+@pytest.mark.parametrize("k", [1, 10, 3000])
+def test_best_keeps_ties_by_id(kind, k):
     rng = np.random.default_rng(1)
-    s, ids = rng.integers(0, 50, 40_000).astype(np.uint16), rng.permutation(40_000)
+    s, ids = rng.integers(0, 50, (40_000, 3)).astype(kind), rng.permutation(40_000)
     for up in (True, False):
-        got = search._best(s, ids, 100, up)
-        key = s.astype(int) if up else -s.astype(int)
-        order = np.lexsort((ids, key))[:100]
-        assert np.array_equal(got[1], ids[order]) and np.array_equal(got[0], s[order])
+        best = search.Best(k, up)
+        for lo in (0, 2_000, 2_001, 9_000, 25_000, 40_000):
+            hi = {0: 2_000, 2_000: 2_001, 2_001: 9_000, 9_000: 25_000, 25_000: 40_000, 40_000: 40_000}[lo]
+            best.add(5, s[lo:hi], ids[lo:hi])
+        got = best.ranked(np.arange(100, 110), np.float64).to_pandas()
+        for q in range(3):
+            key = s[:, q].astype(float) if up else -s[:, q].astype(float)
+            order = np.lexsort((ids, key))[:k]
+            own = got[got.query_id == 105 + q]
+            assert np.array_equal(own.vec_id, ids[order]) and np.array_equal(own.score, s[order, q])
+    assert search.Best(k, True).ranked(np.arange(3), np.float64).num_rows == 0
+
+
+@pytest.mark.parametrize("m,k,tq", [(6, 16, True), (5, 16, False), (3, 256, False), (4, 7, True), (300, 16, True)])
+@pytest.mark.parametrize("queries", [1, 3, 16, 37])
+def test_grouped_sums_are_table_sums(m, k, tq, queries):
+    rng = np.random.default_rng(2)
+    tables = rng.integers(0, 256, (queries, m, k)).astype(np.uint8) if tq else rng.standard_normal((queries, m, k))
+    codes = rng.integers(0, k, (5_000, m)).astype(np.uint8)
+    s = search.Scorer(np.arange(queries), tables, m, k, True)
+    want = tables.astype(np.int64 if tq else np.float64)[:, np.arange(m)[None], codes].sum(axis=2)
+    got = np.stack([x.copy() for x in s.scores(np.ascontiguousarray(cb.pack(codes, k).T))])
+    assert np.array_equal(got, want) if tq else np.allclose(got, want)
+
+
+def test_pair_moments_are_those_of_pairs(spark, data):
+    x, df = data
+    books = lloyd.fit(df, 12, 6, 16, 2)
+    codes, q = code_ops.encode(df, books, exact=True), search.Queries(np.arange(30), x[:30])
+    for metric, tq in ((L2, None), (DOT, table_quantizer.fit(search.tables(df.limit(50), books, DOT)))):
+        p = search.pairs(df, codes, q, books, metric, tq)
+        gap = F.col("true_d") - F.col("approx_d")
+        want = p.agg(F.count(F.lit(1)), F.corr("true_d", "approx_d"), F.avg(gap * gap)).first()
+        assert tuple(search.pair_moments(df, codes, q, books, metric, tq).first()) == pytest.approx(tuple(want))
+
+
+@pytest.mark.parametrize("m", [1, 4, 5, 12])
+def test_fast_encoding_finds_a_nearest_centroid(m):
+    rng = np.random.default_rng(3)
+    for k in (16, 9, 200):
+        layout = split(12, m)
+        c = rng.standard_normal((m, k, layout.width))
+        for a, w in enumerate(layout.widths):
+            c[a, :, w:] = 0
+        books = cb.Codebooks(layout, c)
+        x = rng.standard_normal((3_000, 12)) * rng.choice([1e-3, 1, 100], (3_000, 1))
+        fast, slow = books.encode(x.astype(np.float32)), books.encode(x, exact=True)
+        parts = layout.cut(x)
+        far = lambda code: ((parts - c[np.arange(m)[:, None], code.T]) ** 2).sum(axis=2)
+        assert (fast == slow).mean() > 0.99 and (far(fast) <= far(slow) + 1e-4 * (1 + (parts**2).sum(axis=2).max())).all()
 
 
 def test_byte_tables_cost_little(spark, data):

@@ -11,7 +11,9 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from vecengine.operators.arrays import lists, matrix
-from vecengine.operators.search import Queries
+from vecengine.operators.search import CHUNK_BYTES, Best, _reduced
+
+PAIRED = 10_000  # queries that may be sent out for comparison with every code in DataFrame operations
 
 
 def signs(bits: int, dims: int) -> np.ndarray:
@@ -52,31 +54,47 @@ def distance(a, b, n_words: int):
     return reduce(lambda x, y: x + y, [F.bit_count(F.get(a, F.lit(w)).bitwiseXOR(F.get(b, F.lit(w)))) for w in range(n_words)]).cast("long")
 
 
-def topk(codes: DataFrame, qcodes: DataFrame, k: int, n_words: int) -> DataFrame:
-    """(query_id, rnk, vec_id, score). qcodes: a bounded query set, sent to every task."""
-    q = F.broadcast(qcodes.select(F.col("id").alias("query_id"), F.col("words").alias("q")))
-    both = codes.select(F.col("id").alias("vec_id"), "words").join(q, how="cross").select("query_id", "vec_id", distance(F.col("words"), F.col("q"), n_words).alias("score"))
-    best = Window.partitionBy("query_id").orderBy("score", "vec_id")
-    return both.withColumn("rnk", F.row_number().over(best)).where(F.col("rnk") <= k).select("query_id", F.col("rnk").cast("int").alias("rnk"), "vec_id", "score")
+def differing(columns: list[np.ndarray], word: np.ndarray) -> np.ndarray:
+    """Differing bits of each code (words as columns) from one."""
+    total = np.bitwise_count(columns[0] ^ word[0])
+    for column, w in zip(columns[1:], word[1:], strict=True):
+        total = total + np.bitwise_count(column ^ w).astype(np.uint16)
+    return total.astype(np.uint16)
 
 
-def scan_topk(codes: DataFrame, q: Queries, projections: np.ndarray, k: int, mean: np.ndarray | None = None) -> DataFrame:
-    """The same by population counts in numpy."""
-    from vecengine.operators.search import _best, _emit, _reduced
+def scan_topk(codes: DataFrame, ids: np.ndarray, query_words: np.ndarray, k: int) -> DataFrame:
+    """(query_id, rnk, vec_id, score) of codes (id, words), by population counts in numpy.
 
-    shared = codes.sparkSession.sparkContext.broadcast((q.ids, words(q.vectors, projections, mean).view(np.uint64)))
+    ids, query_words: a bounded query set, sent out in chunks of at most CHUNK_BYTES.
+    """
+    sc = codes.sparkSession.sparkContext
+    own = query_words.view(np.uint64)
+    step = max(1, CHUNK_BYTES // max(1, own[:1].nbytes))
+    parts = []
+    for at in range(0, max(1, len(ids)), step):
+        shared = sc.broadcast((ids[at : at + step], own[at : at + step]))
+
+        def run(batches, shared=shared):
+            few, own = shared.value
+            best = Best(k, True)
+            for batch in batches:
+                x = matrix(batch.column(1), np.int64).view(np.uint64)
+                columns = [np.ascontiguousarray(c) for c in x.T]
+                for i, w in enumerate(own if len(x) else ()):
+                    best.add(i, differing(columns, w)[:, None], batch.column(0).to_numpy())
+            yield best.ranked(few, np.int64)
+
+        parts.append(codes.select("id", "words").mapInArrow(run, "query_id long, vec_id long, score long"))
+    return _reduced(parts, k, True)
 
-    def run(batches):
-        ids, own = shared.value
-        held: list = [None] * len(ids)
-        for batch in batches:
-            x = matrix(batch.column(1), np.int64).view(np.uint64)
-            if not len(x):
-                continue
-            for i, w in enumerate(own):
-                d = np.bitwise_count(x ^ w).sum(axis=1).astype(np.int64)
-                new = _best(d, batch.column(0).to_numpy(), k, True)
-                held[i] = new if held[i] is None else _best(np.concatenate([held[i][0], new[0]]), np.concatenate([held[i][1], new[1]]), k, True)
-        yield _emit(ids, held, np.int64)
-
-    return _reduced([codes.select("id", "words").mapInArrow(run, "query_id long, vec_id long, score long")], k, True)
+
+def topk(codes: DataFrame, qcodes: DataFrame, k: int, n_words: int) -> DataFrame:
+    """(query_id, rnk, vec_id, score) in DataFrame operations: a restatement over all pairs, for query sets whose size
+    is checked here; `scan_topk` is the way for more."""
+    n = qcodes.count()
+    if n > PAIRED:
+        raise ValueError(f"{n} queries: use scan_topk")
+    q = F.broadcast(qcodes.select(F.col("id").alias("query_id"), F.col("words").alias("q")))  # at most PAIRED rows
+    both = codes.select(F.col("id").alias("vec_id"), "words").join(q, how="cross").select("query_id", "vec_id", distance(F.col("words"), F.col("q"), n_words).alias("score"))
+    best = Window.partitionBy("query_id").orderBy("score", "vec_id")
+    return both.withColumn("rnk", F.row_number().over(best)).where(F.col("rnk") <= k).select("query_id", F.col("rnk").cast("int").alias("rnk"), "vec_id", "score")

@@ -1,14 +1,15 @@
 """Query tables, scans, top-k, re-ranking, range search and self-joins.
 
-Queries are a bounded set: they are sent out in chunks of at most CHUNK_BYTES of tables, and each
-chunk is one pass over the codes. Within a task every block of codes is scored for all of a chunk's
-queries, and only each query's k best leave the task.
+Queries are a bounded set: they are sent out in chunks of at most CHUNK_BYTES, tens of thousands of
+them, and each chunk is one pass over the codes. Within a task every block of codes is scored for all
+of a chunk's queries, group by group, and only each query's k best leave the task.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -38,19 +39,27 @@ def gather(qdf: DataFrame, most: int = 1_000_000) -> Queries:
     return Queries(np.array([r.id for r in rows], np.int64), np.array([r.vec for r in rows], np.float64).reshape(len(rows), -1))
 
 
+GROUP_BYTES = 32  # of one table entry of all queries of a group: what one move copies
+BLOCK_BYTES = 1 << 17  # of sums of a block of codes and a group of queries: they stay in cache
+
+
 @dataclass(frozen=True)
 class Scorer:
-    """Scores codes for some queries. kind: 'byte' integer sums, 'float' sums of the real tables."""
+    """Scores codes for some queries. tables: uint8 for integer sums, else sums of the real tables.
+
+    Queries go in groups: one entry of a group's table holds the numbers of all its queries side by side, so a code
+    byte costs one move and one addition of GROUP_BYTES for the whole group.
+    """
 
     ids: np.ndarray
-    tables: np.ndarray  # queries x M x K, uint8 or float64
+    tables: np.ndarray  # queries x M x K, uint8 or real
     m: int
     k: int
     ascending: bool
 
-    def merged(self) -> np.ndarray:
+    def merged(self, tables: np.ndarray) -> np.ndarray:
         """For 4-bit codes: queries x bytes x 256 sums of a byte's two entries."""
-        t = self.tables.astype(np.uint16) if self.tables.dtype == np.uint8 else self.tables
+        t = tables.astype(np.uint16) if tables.dtype == np.uint8 else tables
         if t.shape[2] < 16:
             t = np.pad(t, ((0, 0), (0, 0), (0, 16 - t.shape[2])))
         if t.shape[1] % 2:
@@ -58,28 +67,129 @@ class Scorer:
         low, high = t[:, 0::2], t[:, 1::2]
         return (high[:, :, :, None] + low[:, :, None, :]).reshape(len(t), low.shape[1], 256)
 
-    def scores(self, data: np.ndarray) -> Iterator[np.ndarray]:
-        """One row of scores for each query in turn, over codes as columns of bytes (bytes x codes)."""
-        luts = self.merged() if self.k <= 16 else self.tables
+    def groups(self) -> Iterator[tuple[int, np.ndarray]]:
+        """(first query, bytes x entries x queries of the group): the last group is filled up with zeros."""
         byte = self.tables.dtype == np.uint8
-        luts = luts.astype(np.uint16 if byte and 255 * self.m < 1 << 16 else np.int32 if byte else np.float64, copy=False)
+        kind = np.dtype(np.uint16 if byte and 255 * self.m < 1 << 16 else np.int32 if byte else self.tables.dtype)
+        size = GROUP_BYTES // kind.itemsize
+        for lo in range(0, len(self.tables), size):
+            t = self.tables[lo : lo + size]
+            t = self.merged(t) if self.k <= 16 else t
+            wide = 1 << (len(t) - 1).bit_length()
+            out = np.zeros((t.shape[1], t.shape[2], wide), kind)
+            out[:, :, : len(t)] = t.transpose(1, 2, 0)
+            yield lo, out
+
+    def sums(self, data: np.ndarray) -> Iterator[tuple[int, int, np.ndarray]]:
+        """(first query, first code, codes x queries) over codes as columns of bytes (bytes x codes).
+
+        The array is used again for the next one.
+        """
         at = [column.astype(np.intp) for column in data]  # once for all queries: gathers take no other index
-        part = np.empty(data.shape[1], luts.dtype)
-        for lut in luts:
-            total = lut[0].take(at[0], mode="clip")
-            for b in range(1, len(at)):
-                np.take(lut[b], at[b], mode="clip", out=part)
-                total += part
-            yield total
-
-
-def scorers(q: Queries, books: Codebooks, metric: metrics.Metric, tq: TableQuantizer | None) -> Iterator[Scorer]:
-    """Chunks of queries with their tables, as bytes where tq is given."""
-    per = books.m * max(books.k, 16) * 8 * (8 if books.k <= 16 else 1)
-    step = max(1, CHUNK_BYTES // per)
+        n = data.shape[1]
+        for lo, lut in self.groups():
+            block = BLOCK_BYTES // (lut.shape[2] * lut.itemsize)
+            held, more = (np.empty((min(n, block), lut.shape[2]), lut.dtype) for _ in range(2))
+            for start in range(0, n, block):
+                end = min(n, start + block)
+                total, part = held[: end - start], more[: end - start]
+                np.take(lut[0], at[0][start:end], axis=0, out=total, mode="clip")
+                for b in range(1, len(at)):
+                    np.take(lut[b], at[b][start:end], axis=0, out=part, mode="clip")
+                    total += part
+                yield lo, start, total[:, : len(self.ids) - lo]
+
+    def scores(self, data: np.ndarray) -> Iterator[np.ndarray]:
+        """One row of scores for each query in turn; a group's rows are used again for the next group."""
+        held: np.ndarray | None = None
+        n = data.shape[1]
+        if not n:
+            yield from (np.zeros(0, self.tables.dtype) for _ in self.ids)
+            return
+        for _, start, total in self.sums(data):
+            if start == 0:
+                held = np.empty((total.shape[1], n), total.dtype)
+            held[:, start : start + len(total)] = total.T
+            if start + len(total) == n:
+                yield from held
+
+
+def _true(mask: np.ndarray) -> np.ndarray:
+    """Places of a mask that holds few: whole words of nothing are passed over."""
+    if mask.size % 8:
+        return np.flatnonzero(mask)
+    at = np.flatnonzero(mask.view(np.uint64))
+    word, place = np.nonzero(mask.reshape(-1, 8)[at])
+    return 8 * at[word] + place
+
+
+class Best:
+    """The k best of each of some queries over blocks of scores, ties by least id.
+
+    What is worse than a query's k-th best so far is dropped at once, the rest ranked now and then.
+    """
+
+    def __init__(self, k: int, ascending: bool) -> None:
+        self.k, self.ascending = k, ascending
+        self.bound: dict[int, np.ndarray] = {}
+        self.wide: dict[int, np.ndarray] = {}  # the bounds over and over
+        self.parts: dict[int, list] = {}
+        self.waiting: dict[int, int] = {}
+
+    def add(self, lo: int, scores: np.ndarray, ids: np.ndarray) -> None:
+        """scores: codes x queries from query `lo` on; a query comes in the same group every time."""
+        n, size = scores.shape
+        if lo not in self.bound:
+            whole = np.issubdtype(scores.dtype, np.integer)
+            ends = (np.iinfo(scores.dtype).max, np.iinfo(scores.dtype).min) if whole else (np.inf, -np.inf)
+            self.bound[lo] = np.full(size, ends[0 if self.ascending else 1], scores.dtype)
+            self.parts[lo], self.waiting[lo] = [], 0
+            some = np.ascontiguousarray(scores[: max(1024, 8 * self.k)].T)  # the k-th best of a part bounds that of all
+            if some.shape[1] > 4 * self.k:
+                kth = self.k - 1 if self.ascending else some.shape[1] - self.k
+                self.bound[lo] = np.partition(some, kth, axis=1)[:, kth].copy()
+        wide = self.wide.get(lo)
+        if wide is None or len(wide) < scores.size:  # one flat comparison instead of one a code
+            wide = self.wide[lo] = np.tile(self.bound[lo], n)
+        flat = scores.reshape(-1)
+        near = flat <= wide[: flat.size] if self.ascending else flat >= wide[: flat.size]
+        row, q = np.divmod(_true(near), size)
+        self.parts[lo].append((q, scores[row, q], ids[row]))
+        self.waiting[lo] += len(q)
+        if self.waiting[lo] > 4 * self.k * size + 1024:
+            self._rank(lo)
+
+    def _rank(self, lo: int) -> None:
+        q, score, ids = (np.concatenate(x) for x in zip(*self.parts[lo], strict=True))
+        key = score if self.ascending else -score.astype(np.int64 if np.issubdtype(score.dtype, np.integer) else np.float64)
+        order = np.lexsort((ids, key, q))
+        q, score, ids = q[order], score[order], ids[order]
+        first = np.searchsorted(q, np.arange(len(self.bound[lo]) + 1))
+        keep = np.arange(len(q)) - first[q] < self.k
+        full = np.flatnonzero(np.diff(first) >= self.k)
+        self.bound[lo][full] = score[first[full] + self.k - 1]
+        self.wide.pop(lo, None)
+        self.parts[lo], self.waiting[lo] = [(q[keep], score[keep], ids[keep])], int(keep.sum())
+
+    def ranked(self, queries: np.ndarray, kind) -> pa.RecordBatch:
+        """(query_id, vec_id, score) of the k best of each query, given the queries' ids."""
+        out = []
+        for lo in sorted(self.parts):
+            self._rank(lo)
+            q, score, ids = self.parts[lo][0]
+            out.append((queries[lo + q], ids, score.astype(kind)))
+        columns = [np.concatenate(x) for x in zip(*out, strict=True)] if out else [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, kind)]
+        return pa.RecordBatch.from_arrays([pa.array(x) for x in columns], names=["query_id", "vec_id", "score"])
+
+
+def scorers(q: Queries, books: Codebooks, metric: metrics.Metric, tq: TableQuantizer | None, real=np.float64) -> Iterator[Scorer]:
+    """Chunks of queries with their tables, as bytes where tq is given, else of type `real`; at most CHUNK_BYTES a chunk."""
+    step = max(1, CHUNK_BYTES // (books.m * books.k * (1 if tq is not None else np.dtype(real).itemsize)))
     for lo in range(0, len(q.ids), step):
-        y = books.tables(q.vectors[lo : lo + step], metric)
-        yield Scorer(q.ids[lo : lo + step], y if tq is None else tq.quantize(y), books.m, books.k, not metric.larger_is_closer)
+        few = 4096  # real tables of so many queries at a time
+        made = [books.tables(q.vectors[at : min(at + few, lo + step)], metric) for at in range(lo, min(lo + step, len(q.ids)), few)]
+        y = np.concatenate([x.astype(real, copy=False) if tq is None else tq.quantize(x) for x in made])
+        yield Scorer(q.ids[lo : lo + step], y, books.m, books.k, not metric.larger_is_closer)
 
 
 def tables(qdf: DataFrame, books: Codebooks, metric: metrics.Metric) -> DataFrame:
@@ -98,20 +208,6 @@ def tables(qdf: DataFrame, books: Codebooks, metric: metrics.Metric) -> DataFram
     return qdf.select("id", "vec").mapInArrow(run, "query_id long, m int, i int, y double")
 
 
-def _best(scores: np.ndarray, ids: np.ndarray, k: int, ascending: bool) -> tuple[np.ndarray, np.ndarray]:
-    """The k best by score, then least id."""
-    key = scores if ascending else -scores.astype(np.int64 if scores.dtype != np.float64 else np.float64)
-    if len(key) > 1 << 14:  # the k-th best of a part bounds that of the whole
-        near = np.flatnonzero(key <= np.partition(key[: 1 << 12], k - 1)[k - 1]) if k <= 1 << 12 else np.arange(len(key))
-        key, ids, scores = key[near], ids[near], scores[near]
-    if len(key) > 4 * k:
-        edge = np.partition(key, k - 1)[k - 1]
-        near = np.flatnonzero(key <= edge)
-        key, ids, scores = key[near], ids[near], scores[near]
-    order = np.lexsort((ids, key))[:k]
-    return scores[order], ids[order]
-
-
 def _reduced(parts: list[DataFrame], k: int, ascending: bool, k_name: str = "rnk") -> DataFrame:
     best = Window.partitionBy("query_id").orderBy(F.col("score") if ascending else F.col("score").desc(), "vec_id")
     df = parts[0]
@@ -120,13 +216,6 @@ def _reduced(parts: list[DataFrame], k: int, ascending: bool, k_name: str = "rnk
     return df.withColumn(k_name, F.row_number().over(best)).where(F.col(k_name) <= k).select("query_id", F.col(k_name).cast("int").alias(k_name), "vec_id", "score")
 
 
-def _emit(ids: np.ndarray, held: list, kind) -> pa.RecordBatch:
-    n = [0 if h is None else len(h[1]) for h in held]
-    score = np.concatenate([h[0] for h in held if h is not None]) if any(n) else np.zeros(0)
-    vec = np.concatenate([h[1] for h in held if h is not None]) if any(n) else np.zeros(0, np.int64)
-    return pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, n)), pa.array(vec), pa.array(score.astype(kind))], names=["query_id", "vec_id", "score"])
-
-
 def scan_topk(codes: DataFrame, q: Queries, books: Codebooks, k: int, metric: metrics.Metric, tq: TableQuantizer | None = None, blocks: bool = False) -> DataFrame:
     """(query_id, rnk, vec_id, score): score is the integer sum where tq is given, else the table sum.
 
@@ -142,14 +231,11 @@ def scan_topk(codes: DataFrame, q: Queries, books: Codebooks, k: int, metric: me
 
         def run(batches, shared=shared):
             s = shared.value
-            held: list = [None] * len(s.ids)
+            best = Best(k, s.ascending)
             for ids, data in _columns(batches, blocks):
-                for i, row in enumerate(s.scores(data)):
-                    new = _best(row, ids, k, s.ascending)
-                    if held[i] is not None:
-                        new = _best(np.concatenate([held[i][0], new[0].astype(kind)]), np.concatenate([held[i][1], new[1]]), k, s.ascending)
-                    held[i] = (new[0].astype(kind), new[1])
-            yield _emit(s.ids, held, kind)
+                for lo, start, total in s.sums(data):
+                    best.add(lo, total, ids[start : start + len(total)])
+            yield best.ranked(s.ids, kind)
 
         parts.append(codes.select(*(("ids", "codes", "n") if blocks else ("id", "code"))).mapInArrow(run, schema))
     return _reduced(parts, k, not metric.larger_is_closer)
@@ -214,32 +300,37 @@ def exact_topk(vdf: DataFrame, q: Queries, k: int, metric: metrics.Metric, produ
 
     products: squared distances from norms and one matrix product for each batch of queries.
     """
-    shared = vdf.sparkSession.sparkContext.broadcast(q)
+    sc = vdf.sparkSession.sparkContext
+    step = max(1, CHUNK_BYTES // max(1, q.vectors[:1].nbytes))
+    parts = []
+    for at in range(0, max(1, len(q.ids)), step):
+        shared = sc.broadcast(Queries(q.ids[at : at + step], q.vectors[at : at + step]))  # at most CHUNK_BYTES
 
-    def run(batches):
-        q = shared.value
-        held: list = [None] * len(q.ids)
-        norms = (q.vectors**2).sum(axis=1)
-        for batch in batches:
-            x, ids = matrix(batch.column(1)), batch.column(0).to_numpy()
-            if not len(x):
-                continue
-            for lo in range(0, len(q.ids), batch_queries):
-                own = q.vectors[lo : lo + batch_queries]
-                d = np.maximum(norms[lo : lo + batch_queries, None] + (x * x).sum(axis=1)[None] - 2 * (own @ x.T), 0.0) if products else metric.matrix(own, x)
-                for i, row in enumerate(d, lo):
-                    new = _best(row, ids, k, not metric.larger_is_closer)
-                    held[i] = new if held[i] is None else _best(np.concatenate([held[i][0], new[0]]), np.concatenate([held[i][1], new[1]]), k, not metric.larger_is_closer)
-        yield _emit(q.ids, held, np.float64)
+        def run(batches, shared=shared):
+            q = shared.value
+            best = Best(k, not metric.larger_is_closer)
+            norms = (q.vectors**2).sum(axis=1)
+            for batch in batches:
+                x, ids = matrix(batch.column(1)), batch.column(0).to_numpy()
+                if not len(x):
+                    continue
+                for lo in range(0, len(q.ids), batch_queries):
+                    own = q.vectors[lo : lo + batch_queries]
+                    d = np.maximum(norms[lo : lo + batch_queries, None] + (x * x).sum(axis=1)[None] - 2 * (own @ x.T), 0.0) if products else metric.matrix(own, x)
+                    best.add(lo, d.T, ids)
+            yield best.ranked(q.ids, np.float64)
 
-    return _reduced([vdf.select("id", "vec").mapInArrow(run, "query_id long, vec_id long, score double")], k, not metric.larger_is_closer)
+        parts.append(vdf.select("id", "vec").mapInArrow(run, "query_id long, vec_id long, score double"))
+    return _reduced(parts, k, not metric.larger_is_closer)
 
 
 def exact_pairs(vdf: DataFrame, q: Queries, metric: metrics.Metric, most: float | None = None) -> DataFrame:
     """(query_id, vec_id, true_d) of all pairs, or of those within `most`."""
-    shared = vdf.sparkSession.sparkContext.broadcast(q)
+    sc = vdf.sparkSession.sparkContext
+    step = max(1, CHUNK_BYTES // max(1, q.vectors[:1].nbytes))
+    parts = [sc.broadcast(Queries(q.ids[at : at + step], q.vectors[at : at + step])) for at in range(0, max(1, len(q.ids)), step)]
 
-    def run(batches):
+    def run(batches, shared):
         q = shared.value
         for batch in batches:
             x, ids = matrix(batch.column(1)), batch.column(0).to_numpy()
@@ -251,7 +342,8 @@ def exact_pairs(vdf: DataFrame, q: Queries, metric: metrics.Metric, most: float
                 i, j = np.nonzero(keep)
                 yield pa.RecordBatch.from_arrays([pa.array(q.ids[lo + i]), pa.array(ids[j]), pa.array(d[i, j])], names=["query_id", "vec_id", "true_d"])
 
-    return vdf.select("id", "vec").mapInArrow(run, "query_id long, vec_id long, true_d double")
+    out = [vdf.select("id", "vec").mapInArrow(lambda batches, shared=shared: run(batches, shared), "query_id long, vec_id long, true_d double") for shared in parts]
+    return reduce(DataFrame.union, out)
 
 
 def rerank(candidates: DataFrame, vdf: DataFrame, qdf: DataFrame, k: int, metric: metrics.Metric) -> DataFrame:
@@ -260,8 +352,8 @@ def rerank(candidates: DataFrame, vdf: DataFrame, qdf: DataFrame, k: int, metric
     return _reduced([both.select("query_id", "vec_id", metric.pair(F.col("q"), F.col("x")).alias("score"))], k, not metric.larger_is_closer)
 
 
-def pairs(vdf: DataFrame, codes: DataFrame, q: Queries, books: Codebooks, metric: metrics.Metric, tq: TableQuantizer | None = None) -> DataFrame:
-    """(query_id, vec_id, true_d, approx_d): vectors and codes side by side, so nothing is joined over pairs."""
+def _both(vdf: DataFrame, codes: DataFrame, q: Queries, books: Codebooks, metric: metrics.Metric, tq: TableQuantizer | None, emit, schema: str) -> DataFrame:
+    """emit(query ids, vector ids, true, approximate distances: queries x codes) over blocks of vectors beside their codes."""
     sc = codes.sparkSession.sparkContext
     both = vdf.select("id", "vec").join(codes.select("id", "code"), "id")
     out = None
@@ -276,16 +368,42 @@ def pairs(vdf: DataFrame, codes: DataFrame, q: Queries, books: Codebooks, metric
                 if not batch.num_rows:
                     continue
                 ids, x = batch.column(0).to_numpy(), matrix(batch.column(1))
-                true = metric.matrix(vectors, x)
-                for qid, t, row in zip(s.ids, true, s.scores(np.ascontiguousarray(bytes_of(batch.column(2)).T)), strict=True):
-                    total = row / tq.scale + tq.bias if tq is not None else row
+                for lo, start, total in s.sums(np.ascontiguousarray(bytes_of(batch.column(2)).T)):
+                    total = total.T / tq.scale + tq.bias if tq is not None else total.T
                     d = total if metric.larger_is_closer else metric.outer(np.maximum(total, 0.0))
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(ids), qid)), pa.array(ids), pa.array(t), pa.array(d.astype(np.float64))], names=["query_id", "vec_id", "true_d", "approx_d"])
+                    some = slice(start, start + d.shape[1])
+                    yield emit(s.ids[lo : lo + len(d)], ids[some], metric.matrix(vectors[lo : lo + len(d)], x[some]), d)
 
-        part = both.mapInArrow(run, "query_id long, vec_id long, true_d double, approx_d double")
+        part = both.mapInArrow(run, schema)
         out = part if out is None else out.union(part)
     return out
 
 
+def pairs(vdf: DataFrame, codes: DataFrame, q: Queries, books: Codebooks, metric: metrics.Metric, tq: TableQuantizer | None = None) -> DataFrame:
+    """(query_id, vec_id, true_d, approx_d): vectors and codes side by side, so nothing is joined over pairs."""
+
+    def emit(qids, ids, true, d):
+        return pa.RecordBatch.from_arrays([pa.array(np.repeat(qids, len(ids))), pa.array(np.tile(ids, len(qids))), pa.array(true.reshape(-1)), pa.array(np.ascontiguousarray(d, np.float64).reshape(-1))], names=["query_id", "vec_id", "true_d", "approx_d"])
+
+    return _both(vdf, codes, q, books, metric, tq, emit, "query_id long, vec_id long, true_d double, approx_d double")
+
+
+def pair_moments(vdf: DataFrame, codes: DataFrame, q: Queries, books: Codebooks, metric: metrics.Metric, tq: TableQuantizer | None = None) -> DataFrame:
+    """(n, r, mse) of true against approximate distances over all pairs: no pair leaves its task, only sums of blocks do."""
+    names = ["n", "t", "a", "tt", "aa", "ta", "e"]
+
+    def emit(qids, ids, true, d):
+        t, a = true.reshape(-1), np.ascontiguousarray(d, np.float64).reshape(-1)
+        mt, ma = t.mean(), a.mean()
+        row = (float(len(t)), mt, ma, ((t - mt) ** 2).sum(), ((a - ma) ** 2).sum(), ((t - mt) * (a - ma)).sum(), ((t - a) ** 2).sum())
+        return pa.RecordBatch.from_arrays([pa.array([float(x)]) for x in row], names=names)
+
+    rows = _both(vdf, codes, q, books, metric, tq, emit, ", ".join(f"{x} double" for x in names))
+    n, t, a = F.col("n"), F.col("t"), F.col("a")
+    sums = rows.agg(F.sum(n).alias("n"), F.sum(n * t).alias("t"), F.sum(n * a).alias("a"), F.sum(F.col("tt") + n * t * t).alias("tt"), F.sum(F.col("aa") + n * a * a).alias("aa"), F.sum(F.col("ta") + n * t * a).alias("ta"), F.sum("e").alias("e"))
+    r = (F.col("ta") - t * a / n) / F.sqrt((F.col("tt") - t * t / n) * (F.col("aa") - a * a / n))
+    return sums.select(n.cast("long").alias("n"), r.alias("r"), (F.col("e") / n).alias("mse"))
+
+
 def unpacked(data: np.ndarray, books: Codebooks) -> np.ndarray:
     return unpack(data, books.m, books.k)

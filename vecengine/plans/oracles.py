@@ -43,7 +43,8 @@ def table_of(name: str, where: str, metric: str, cb: str = f"c{ITERS}") -> str:
     return f"{name} AS MATERIALIZED (SELECT q.id AS query_id, c.m, c.i, sum({term}) AS y FROM elem q JOIN {cb} c ON q.d = c.d WHERE {where} GROUP BY q.id, c.m, c.i)"
 
 
-SAMPLE = "q.id % 5 = 1 AND q.id IN (SELECT id FROM (SELECT DISTINCT id FROM t WHERE id % 5 = 1) ORDER BY id LIMIT 1000)"
+#: About 1,000 training vectors by md5 of the id, all of fewer.
+SAMPLE = "q.id % 5 <> 0 AND CAST('0x' || substr(md5(CAST(q.id AS VARCHAR)), 1, 8) AS BIGINT) * (SELECT count(DISTINCT id) FROM t) < 1000 * 4294967296"
 
 
 def quantizer(metric: str) -> list[str]:
@@ -192,3 +193,46 @@ _ERR = "sqrt(list_sum(list_transform(list_zip(x.v, b.y), lambda p: (p[1] - p[2])
 _FROM = "FROM vecs q, vecs x JOIN back b ON b.id = x.id WHERE q.id % 5 = 0 AND x.id % 5 <> 0"
 ORACLES["lemma_cauchy"] = sql(_BOUNDS, _GAPS.format(f"SELECT abs(list_inner_product(q.v, x.v) - list_inner_product(q.v, b.y)) AS gap, sqrt(list_inner_product(q.v, q.v)) * {_ERR} AS bound {_FROM}"))
 ORACLES["lemma_triangle"] = sql(_BOUNDS, _GAPS.format(f"SELECT abs(sqrt(list_sum(list_transform(list_zip(q.v, x.v), lambda p: (p[1] - p[2]) * (p[1] - p[2])))) - sqrt(list_sum(list_transform(list_zip(q.v, b.y), lambda p: (p[1] - p[2]) * (p[1] - p[2]))))) AS gap, {_ERR} AS bound {_FROM}"))
+
+# ------------------------------------------------- queries of the same answer by another way, and what is fitted
+
+ORACLES["gemm_topk"] = sql(EXACT, R6.format(ranked("exact", 10)))
+ORACLES["product_cell_scan"] = sql(
+    [
+        *model(2, 8),
+        table_of("qy", "q.id % 5 = 0", "sql2"),
+        *EXACT,
+        "cells AS (SELECT a.query_id, a.i AS i0, b.i AS i1, round(a.y + b.y, 9) AS y FROM qy a JOIN qy b ON a.query_id = b.query_id WHERE a.m = 0 AND b.m = 1)",
+        "near AS (SELECT query_id, i0, i1 FROM cells QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY y, 8 * i0 + i1) <= 32)",
+        "inside AS (SELECT e.query_id, e.vec_id, e.score FROM exact e JOIN codes c ON c.id = e.vec_id AND c.m = 0 JOIN codes d ON d.id = e.vec_id AND d.m = 1 JOIN near n ON n.query_id = e.query_id AND n.i0 = c.i AND n.i1 = d.i)",
+    ],
+    R6.format(ranked("inside", 10)),
+)
+ORACLES["constant_loss"] = sql(EXACT, "SELECT CAST(count(*) AS BIGINT) AS n, round(var_pop(sqrt(score)), 6) AS value FROM exact")
+ORACLES["codebook_entropy"] = sql(model(16, 16), "SELECT CAST(m AS INTEGER) AS m, round(-sum(p * log2(p)), 6) AS bits FROM (SELECT m, count(*) / sum(count(*)) OVER (PARTITION BY m) AS p FROM codes GROUP BY m, i) GROUP BY m")
+ORACLES["streaming_topk"] = sql(btq(16), "SELECT query_id, rnk, vec_id, CAST(score AS BIGINT) AS score, round(greatest(0.0, score / a + b), 6) AS dist FROM (" + ranked("scan", 10) + "), bias")
+_WIDE = "[" + ", ".join(["coalesce(sum(x) FILTER (d = {}), 0.0)".format(d) for d in range(16)]) + "]"
+ORACLES["densify_signhash"] = (
+    "WITH q AS (SELECT l_partkey AS id, (year(l_shipdate) - 1995) * 12 + month(l_shipdate) - 1 AS month, sum(l_quantity) AS x FROM lineitem GROUP BY 1, 2), "
+    "h AS (SELECT id, CAST('0x' || substr(md5(CAST(month AS VARCHAR)), 1, 8) AS BIGINT) % 16 AS d, x * (1 - 2 * (CAST('0x' || substr(md5(CAST(month AS VARCHAR)), 9, 1) AS INTEGER) & 1)) AS x FROM q WHERE month BETWEEN 0 AND 83), "
+    f"w AS (SELECT id, {_WIDE} AS vec FROM h GROUP BY id) SELECT id, CAST(unnest(range(16)) AS INTEGER) AS d, round(unnest(vec), 6) AS v FROM w"
+)
+
+
+def _variant(pool: str, weight: str, half: bool) -> str:
+    back = f"(greatest(0, least(255, floor(round(scale * (y - lo), 9)))) + {0.5 if half else 0}) / scale + lo"
+    loss = f"avg(power({back} - y, 2))" if weight == "uniform" else f"sum(power({back} - y, 2) * n) / sum(n)"
+    joined = f"fy JOIN {pool}cut USING (m)" + ("" if weight == "uniform" else " JOIN (SELECT m, i, count(*) AS n FROM codes WHERE id % 5 <> 0 GROUP BY m, i) u USING (m, i)")
+    return f"SELECT '{pool}' AS pool, '{weight}' AS weight, {str(half).lower()} AS midpoint, alpha::DOUBLE AS alpha, round(max(scale), 6) AS scale, round({loss}, 8) AS loss FROM {joined} GROUP BY alpha"
+
+
+ORACLES["alpha_variants"] = sql(
+    [
+        *model(16, 16),
+        *quantizer("sql2"),
+        "shiftedcut AS (SELECT * FROM cut)",
+        f"ends AS (SELECT unnest(range(8)) AS g, unnest(quantile_cont(y, {ALPHAS})) AS l, unnest(quantile_cont(y, list_transform({ALPHAS}, lambda a: 1 - a))) AS h FROM fy)",
+        "rawcut AS (SELECT low.g, alpha, m, lo, CASE WHEN h > l THEN 255 / (h - l) ELSE 1.0 END AS scale FROM low JOIN ends USING (g))",
+    ],
+    " UNION ALL ".join(_variant(pool, weight, half) for pool in ("shifted", "raw") for weight in ("uniform", "usage") for half in (False, True)),
+)

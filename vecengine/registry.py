@@ -18,6 +18,7 @@ from vecengine.index import cells
 from vecengine.model.codebooks import Codebooks, TableQuantizer
 from vecengine.operators import codes as code_ops
 from vecengine.operators import matmul, relational, search, surround
+from vecengine.plans.kept import kept
 from vecengine.plans.oracles import ORACLES  # noqa: F401
 from vecengine.sources import densify, vectors, views
 from vecengine.streaming import features
@@ -26,20 +27,10 @@ from vecengine.subspaces import explode_sub, split
 from vecengine.train import lloyd, rotation, table_quantizer
 
 FLAGSHIP = "btq_scan_topk"
-FIT_QUERIES = 1_000  # bound of the queries that a table quantizer is fitted on
+FIT_QUERIES = 1_000  # about so many training vectors stand in as queries when a table quantizer is fitted, all of fewer
 SQL2, L2, DOT = metrics.get("sql2"), metrics.get("l2"), metrics.get("dot")
 DIMS = 64
 
-_models: dict = {}
-
-
-def _kept(spark: SparkSession, key: tuple, make: Callable):
-    key = (spark.sparkContext.applicationId, *key)
-    if key not in _models:
-        _models[key] = make()
-    return _models[key]
-
-
 def parts(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
     """(queries, database) of the embeddings."""
     return vectors.split_by_id(views.embed(spark, sf_dir))
@@ -51,18 +42,19 @@ def training(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def books(spark: SparkSession, sf_dir: str, m: int = 16, k: int = 16, iters: int = 3) -> Codebooks:
-    return _kept(spark, ("books", sf_dir, m, k, iters), lambda: lloyd.fit(training(spark, sf_dir), DIMS, m, k, iters))
+    return kept(spark, ("books", sf_dir, m, k, iters), lambda: lloyd.fit(training(spark, sf_dir), DIMS, m, k, iters))
 
 
 def fit_tables(spark: SparkSession, sf_dir: str, b: Codebooks, metric: metrics.Metric) -> DataFrame:
-    """Table entries of the training vectors that stand in as queries, the same ones as in the SQL."""
-    few = training(spark, sf_dir).where("id % 5 = 1").orderBy("id").limit(FIT_QUERIES)
-    return search.tables(few, b, metric)
+    """Table entries of the training vectors that stand in as queries: a sample by md5 of the id, as in the SQL."""
+    train = training(spark, sf_dir)
+    place = F.conv(F.substring(F.md5(F.col("id").cast("string").cast("binary")), 1, 8), 16, 10).cast("long")
+    return search.tables(train.where(place * F.lit(train.count()) < F.lit(FIT_QUERIES << 32)), b, metric)
 
 
 def quantizer(spark: SparkSession, sf_dir: str, m: int = 16, metric: metrics.Metric = SQL2) -> TableQuantizer:
     b = books(spark, sf_dir, m)
-    return _kept(spark, ("tq", sf_dir, m, metric.name), lambda: table_quantizer.fit(fit_tables(spark, sf_dir, b, metric)))
+    return kept(spark, ("tq", sf_dir, m, metric.name), lambda: table_quantizer.fit(fit_tables(spark, sf_dir, b, metric)))
 
 
 def asked(spark: SparkSession, sf_dir: str) -> search.Queries:
@@ -161,16 +153,17 @@ def alpha_best(spark, sf_dir):
 
 
 def alpha_variants(spark, sf_dir):
-    """Loss by alpha for either pooling and either weighting of entries, with and without the half step, over all training vectors."""
+    """Loss by alpha for either pooling and either weighting of entries, with and without the half step."""
     b = books(spark, sf_dir)
-    t = search.tables(training(spark, sf_dir), b, SQL2)
+    t = fit_tables(spark, sf_dir, b, SQL2).persist()
     usage = code_ops.usage(codes_of(spark, sf_dir, b), b)
     out = None
     for pool in ("shifted", "raw"):
-        cut = table_quantizer.cutoffs(t, pool=pool, approximate=True).persist()
+        cut = table_quantizer.cutoffs(t, pool=pool).persist()
         for weight, u in (("uniform", None), ("usage", usage)):
             for half in (False, True):
-                part = table_quantizer.grid_loss(t, cut, u, half).select(F.lit(pool).alias("pool"), F.lit(weight).alias("weight"), F.lit(half).alias("midpoint"), "alpha", "scale", "loss")
+                loss = table_quantizer.grid_loss(t, cut, u, half)
+                part = loss.select(F.lit(pool).alias("pool"), F.lit(weight).alias("weight"), F.lit(half).alias("midpoint"), "alpha", F.round("scale", 6).alias("scale"), F.round("loss", 8).alias("loss"))
                 out = part if out is None else out.union(part)
     return out
 
@@ -248,20 +241,18 @@ def hamming_codes(spark, sf_dir):
 
 
 def hamming_topk(spark, sf_dir):
-    q, v = parts(spark, sf_dir)
-    signs = hamming.signs(64, DIMS)
-    return hamming.topk(hamming.encode(v, signs), hamming.encode(q, signs), 10, 1)
+    q, signs = asked(spark, sf_dir), hamming.signs(64, DIMS)
+    return hamming.scan_topk(hamming.encode(parts(spark, sf_dir)[1], signs), q.ids, hamming.words(q.vectors, signs), 10)
 
 
 def gemm_norm_identity(spark, sf_dir):
+    """Squared distances by norms and products against those by differences, over all pairs."""
     q, v = asked(spark, sf_dir), parts(spark, sf_dir)[1]
-    n = len(q.ids)
     direct = search.exact_pairs(v, q, SQL2)
     product = search.exact_pairs(v, q, DOT).withColumnRenamed("true_d", "dot")
     norm = lambda c: F.aggregate(c, F.lit(0.0), lambda a, x: a + x * x)
-    qn = F.broadcast(parts(spark, sf_dir)[0].select(F.col("id").alias("query_id"), norm("vec").alias("qn")))  # the query set
+    qn = parts(spark, sf_dir)[0].select(F.col("id").alias("query_id"), norm("vec").alias("qn"))
     vn = v.select(F.col("id").alias("vec_id"), norm("vec").alias("vn"))
-    del n
     both = direct.join(product, ["query_id", "vec_id"]).join(qn, "query_id").join(vn, "vec_id")
     gap = F.abs(F.greatest(F.lit(0.0), F.col("qn") + F.col("vn") - 2 * F.col("dot")) - F.col("true_d"))
     return both.agg(F.count(F.lit(1)).alias("n"), F.sum((gap > 1e-9).cast("long")).alias("violations"), F.round(F.max(gap), 6).alias("max_gap"))
@@ -348,7 +339,7 @@ def codebook_usage(spark, sf_dir):
 
 def codebook_entropy(spark, sf_dir):
     b = books(spark, sf_dir)
-    return diagnose.entropy(code_ops.usage(codes_of(spark, sf_dir, b, True), b))
+    return diagnose.entropy(code_ops.usage(codes_of(spark, sf_dir, b, True), b)).withColumn("bits", F.round("bits", 6))
 
 
 def overlap_at_k(spark, sf_dir):
@@ -417,7 +408,7 @@ def usage_query(kind: str):
 
 
 def opq_model(spark, sf_dir) -> Codebooks:
-    return _kept(spark, ("opq", sf_dir), lambda: rotation.fit(training(spark, sf_dir), DIMS, 8, 64, 3))
+    return kept(spark, ("opq", sf_dir), lambda: rotation.fit(training(spark, sf_dir), DIMS, 8, 64, 3))
 
 
 def opq_rotation(spark, sf_dir):
@@ -438,7 +429,7 @@ def opq_recall(spark, sf_dir):
 
 def kmeans_pp(spark, sf_dir):
     """Codebooks from spread seeds, with empty centroids moved beside the largest."""
-    b = _kept(spark, ("pp", sf_dir), lambda: lloyd.fit(training(spark, sf_dir), DIMS, 16, 16, 5, "kmeans++", 3, empty="split", tolerance=1e-4))
+    b = kept(spark, ("pp", sf_dir), lambda: lloyd.fit(training(spark, sf_dir), DIMS, 16, 16, 5, "kmeans++", 3, empty="split", tolerance=1e-4))
     from vecengine.model.codebooks import to_frame
 
     return to_frame(b, spark)
@@ -450,7 +441,7 @@ def densify_pca(spark, sf_dir):
 
 def densify_signhash(spark, sf_dir):
     t = views.part(spark, sf_dir).select("id", F.map_from_entries(F.filter(F.transform("vec", lambda x, i: F.struct(i.cast("string").alias("key"), x.alias("value"))), lambda s: s["value"] != 0)).alias("entries"))
-    return densify.signhash(t, 16)
+    return densify.signhash(t, 16).select("id", F.posexplode("vec").alias("d", "v")).withColumn("v", F.round("v", 6))
 
 
 def constant_loss(spark, sf_dir):
@@ -459,7 +450,7 @@ def constant_loss(spark, sf_dir):
 
     q, v = asked(spark, sf_dir), parts(spark, sf_dir)[1]
     c = constant(v, q, L2)
-    return accuracy.mse(search.exact_pairs(v, q, L2).withColumn("approx_d", F.lit(c)))
+    return accuracy.mse(search.exact_pairs(v, q, L2).withColumn("approx_d", F.lit(c))).withColumn("value", F.round("value", 6))
 
 
 def streaming_encode(spark, sf_dir):
@@ -501,7 +492,7 @@ def streaming_topk(spark, sf_dir):
 
     sdf = streams.source(spark, f"{folder}/in", "id long, vec array<double>", 1)
     sdf.writeStream.foreachBatch(each).option("checkpointLocation", f"{folder}/cp").trigger(availableNow=True).start().awaitTermination()
-    return spark.read.parquet(f"{folder}/out").select("query_id", "rnk", "vec_id", "score", "dist")
+    return spark.read.parquet(f"{folder}/out").select("query_id", "rnk", "vec_id", "score", F.round("dist", 6).alias("dist"))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
