@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 from vecengine.llm import common as C
 
 PIECE = 32
+LEAST = -(1 << 63)
 #: CJK radicals to unified ideographs, Hangul syllables, compatibility ideographs.
 SINGLE = r"⺀-鿿가-힯豈-﫿"
 SPACE = " \t\n\x0b\f\r"
@@ -57,16 +58,16 @@ def anchors(text: Column, k: int = 4, s: int = 2) -> Column:
         return runs
 
     def chosen(g: Column) -> Column:
-        def at(i: Column, j: int) -> Column:
-            return F.element_at(g, (i + j).cast("int"))
+        """Of the runs of `width` neighbouring hashes, those whose least stands at an edge."""
+        names = [f"g{j}" for j in range(width)]
+        rows = F.arrays_zip(*[F.slice(g, F.lit(j + 1), F.size(g) - (width - 1)).alias(n) for j, n in enumerate(names)])
 
-        def pick(i: Column) -> Column:
-            edge = F.least(at(i, 0), at(i, width - 1))
-            middle = [at(i, j) for j in range(1, width - 1)]
-            closed = edge <= (F.least(*middle) if len(middle) > 1 else middle[0])
-            return F.when(closed, F.struct(F.xxhash64(*[at(i, j) for j in sorted({*range(0, width, s), width - 1})]).alias("h"), i.cast("int").alias("at")))
+        def pick(x: Column, i: Column) -> Column:
+            middle = [x[n] for n in names[1:-1]]
+            closed = F.least(x[names[0]], x[names[-1]]) <= (F.least(*middle) if len(middle) > 1 else middle[0])
+            return F.when(closed, F.struct(F.xxhash64(*[x[names[j]] for j in sorted({*range(0, width, s), width - 1})]).alias("h"), (i + 1).alias("at")))
 
-        return F.filter(F.transform(F.sequence(F.lit(1), F.size(g) - (width - 1)), pick), lambda x: x.isNotNull())
+        return F.filter(F.transform(rows, pick), lambda x: x.isNotNull())
 
     def all_of(h: Column) -> Column:
         whole = F.array(F.struct(F.aggregate(h, F.lit(0).cast("long"), lambda a, x: F.xxhash64(a, x)).alias("h"), F.lit(1).alias("at")))
@@ -84,14 +85,12 @@ def sketch(text: Column, keep: int = 64, k: int = 4, s: int = 2) -> Column:
 def least(found: Column, keep: int = 64) -> Column:
     """sketch() of a text whose anchors are at hand."""
 
-    def below(h: Column) -> Column:
-        """Anchors whose hash is among the `keep` least; whole lists are sorted as plain numbers only."""
-        return let(F.element_at(h, F.least(F.lit(keep), F.size(h))), lambda most: F.filter(found, lambda x: x["h"] <= most))
-
     def first(a: Column) -> Column:
         return F.filter(F.transform(F.sequence(F.lit(1), F.size(a)), lambda i: F.when((i == 1) | (F.element_at(a, i)["h"] != F.element_at(a, F.greatest(i - 1, F.lit(1)))["h"]), F.element_at(a, i))), lambda x: x.isNotNull())
 
-    few = F.when(F.size(found) <= keep, found).otherwise(let(F.sort_array(F.array_distinct(F.transform(found, lambda x: x["h"]))), below))
+    bound = (F.lit(float(LEAST)) + F.lit(2.0**64 * 3 * keep) / F.size(found)).cast("long")  # about 3 * keep hashes are below
+    some = let(F.filter(found, lambda x: x["h"] <= bound), lambda c: F.when(F.size(F.array_distinct(F.transform(c, lambda x: x["h"]))) >= keep, c).otherwise(found))
+    few = F.when(F.size(found) <= 4 * keep, found).otherwise(some)
     ordered = let(F.sort_array(few), lambda a: F.when(F.size(a) == 0, a).otherwise(first(a)))
     return F.slice(ordered, 1, keep)
 
@@ -101,17 +100,18 @@ def render(fp: Column) -> Column:
     return F.array_join(F.transform(fp, lambda x: F.concat(F.lpad(F.lower(F.hex(x["h"])), 16, "0"), F.lit("@"), x["at"].cast("string"))), " ")
 
 
-def likeness(a: Column, b: Column) -> Column:
-    """Share of common hashes among those of either, 0 to 1: the overlap of the anchor sets as they are.
+def hash_set(found: Column) -> Column:
+    return F.array_distinct(F.transform(found, lambda x: x["h"]))
 
-    Two empty sets are alike (1); an empty and another are not (0).
-    """
-    hashes = lambda fp: F.array_distinct(F.transform(fp, lambda x: x["h"]))
 
-    def ratio(x: Column, y: Column) -> Column:
-        return let(F.size(F.array_intersect(x, y)), lambda n: F.when(F.size(x) + F.size(y) == 0, F.lit(1.0)).otherwise(n / (F.size(x) + F.size(y) - n)))
+def overlap(x: Column, y: Column) -> Column:
+    """Share of common hashes among those of either set, 0 to 1. Two empty sets are alike (1); an empty and another are not (0)."""
+    return let(F.size(F.array_intersect(x, y)), lambda n: F.when(F.size(x) + F.size(y) == 0, F.lit(1.0)).otherwise(n / (F.size(x) + F.size(y) - n)))
 
-    return let(F.struct(hashes(a).alias("x"), hashes(b).alias("y")), lambda p: ratio(p["x"], p["y"]))
+
+def likeness(a: Column, b: Column) -> Column:
+    """overlap() of the anchor sets of two texts as they are."""
+    return let(F.struct(hash_set(a).alias("x"), hash_set(b).alias("y")), lambda p: overlap(p["x"], p["y"]))
 
 
 def matches(a: Column, b: Column) -> Column:
@@ -134,9 +134,6 @@ def matches(a: Column, b: Column) -> Column:
     return let(F.sort_array(F.concat(side(a, 0), side(b, 1))), lambda s: F.when(F.size(s) == 0, none).otherwise(runs(s)))
 
 
-LEAST = -(1 << 63)
-
-
 def followers(keys: DataFrame) -> DataFrame:
     """keys: distinct (kid, h, n). Adds nk, nh: the next key in order, after the last the first.
 
@@ -172,16 +169,16 @@ def compare_with_next(docs: DataFrame, keep: int = 64) -> DataFrame:
     given = base.join(give, ["kid", "h"]).select("to_kid", "to_h", F.col("text").alias("after"), "need")
     given = given.withColumnsRenamed({"to_kid": "kid", "to_h": "h"}).dropDuplicates(["kid", "h"])
     both = base.join(given, ["kid", "h"])
-    both = both.select("kid", F.length("text").alias("n"), anchors(F.col("text")).alias("own"), anchors(F.col("after")).alias("next"), F.expr("concat(substring(text, 1, length(text) - need), substring(after, 1, need))").alias("edited"))
-    both = both.select("kid", "n", "own", "next", F.sha2(F.encode("edited", "UTF-8"), 256).alias("edited_sha256"), anchors(F.col("edited")).alias("changed"))
+    both = both.select("kid", F.length("text").alias("n"), anchors(F.col("text")).alias("own"), hash_set(anchors(F.col("after"))).alias("next"), F.expr("concat(substring(text, 1, length(text) - need), substring(after, 1, need))").alias("edited"))
+    both = both.select("kid", "n", "own", "next", hash_set(F.col("own")).alias("have"), F.sha2(F.encode("edited", "UTF-8"), 256).alias("edited_sha256"), anchors(F.col("edited")).alias("changed"))
     return both.select(
         F.nullif("kid", F.lit(LEAST)).alias("doc_id"),
         F.col("n").cast("long").alias("n_chars"),
         "edited_sha256",
         render(least(F.col("own"), keep)).alias("fingerprint"),
         render(least(F.col("changed"), keep)).alias("edited_fingerprint"),
-        likeness(F.col("own"), F.col("changed")).alias("near_edited"),
-        likeness(F.col("own"), F.col("next")).alias("near_next"),
+        overlap(F.col("have"), hash_set(F.col("changed"))).alias("near_edited"),
+        overlap(F.col("have"), F.col("next")).alias("near_next"),
         F.col("own").alias("anchors"),
         F.col("changed").alias("edited_anchors"),
     )
