@@ -349,3 +349,116 @@ def test_tolerance_and_timing(spark):
     assert accuracy.compression(128, 8) == 64 and accuracy.op_counts(128, 16, 16)["encode_madds"] * 16 == accuracy.op_counts(128, 8, 256)["encode_madds"]
     s = spark.createDataFrame([("w", "a", 2.0), ("w", "b", 1.0)], "workload string, method string, seconds double")
     assert {r.method: r.ratio for r in timing.speedup(s, "a").collect()} == {"a": 1.0, "b": 2.0}
+
+
+@pytest.mark.parametrize("parts", ["1", "7", "40"])
+def test_carried_is_a_window(spark, parts):
+    from pyspark.sql import Window
+
+    from vecengine.operators.ordered import carried
+
+    rng = np.random.default_rng(4)
+    rows = [([None, "a", "b", "hot"][min(3, int(g))], int(t), None if rng.random() < 0.6 else f"v{t}", n) for n, (g, t) in enumerate(zip(rng.integers(0, 9, 3_000), rng.integers(0, 500, 3_000), strict=True))]
+    df = spark.createDataFrame(rows, "g string, t int, v string, n int")
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", parts)
+    try:
+        got = sorted(map(str, carried(df, ["g"], ["t", "n"], F.col("v")).select("n", "last", "place").collect()))
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+    w = Window.partitionBy("g").orderBy("t", "n")
+    want = df.select("n", F.last("v", ignorenulls=True).over(w.rowsBetween(Window.unboundedPreceding, -1)).alias("last"), F.row_number().over(w).cast("long").alias("place"))
+    assert got == sorted(map(str, want.collect()))
+    assert carried(df.limit(0), ["g"], ["t"], F.col("v")).collect() == []
+
+
+def test_code_table_goes_on_after_a_restart(spark, tmp_path):
+    rows = [[("upsert", i, 1, [float(i % 2)] * 4) for i in range(10)], [("upsert", 3, 2, [0.0] * 4), ("delete", 5, 2, None)], [("upsert", 7, 3, [0.0, 0.0, 1.0, 1.0]), ("upsert", 11, 1, [1.0] * 4)]]
+    schema = "op string, vec_id long, version long, embedding array<float>"
+    batches = [spark.createDataFrame(r, schema) for r in rows]
+    whole = streams.apply_ops(spark.createDataFrame([], streams.TABLE), spark.createDataFrame(sum(rows, []), schema), TINY)
+    clean = lambda t: sorted((r.id, None if r.code is None else bytes(r.code), r.version, r.live) for r in t.collect())
+    first = streams.CodeTable(spark, str(tmp_path), TINY, 3)
+    first.merge(batches[0], 0)
+    first.merge(batches[1], 1)
+    again = streams.CodeTable(spark, str(tmp_path), TINY, 99)  # a new process: buckets and state are those of the manifest
+    assert again.buckets == 3 and again.version == 1 and clean(again.read()) == clean(first.read())
+    again.merge(batches[1], 1)  # runs again: nothing
+    again.merge(batches[2], 2)
+    assert clean(again.read()) == clean(whole)
+    with pytest.raises(RuntimeError, match="another writer"):
+        first.merge(batches[2], 2)
+
+
+def test_keyed_state_keeps_the_newest(spark, tmp_path):
+    rows = [("upsert", 1, 1, [0.0] * 4), ("upsert", 2, 1, [1.0] * 4), ("upsert", 1, 3, [1.0, 1.0, 0.0, 0.0]), ("delete", 2, 2, None), ("upsert", 2, 0, [0.0] * 4)]
+    for r in rows:
+        spark.createDataFrame([r], "op string, vec_id long, version long, embedding array<float>").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    changes = streams.latest_codes(streams.source(spark, str(tmp_path / "in"), streams.OPS, 1), TINY)
+    q = changes.writeStream.format("memory").queryName("newest").outputMode("update").option("checkpointLocation", str(tmp_path / "cp")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    last = spark.table("newest").groupBy("id").agg(F.max_by(F.struct("code", "version", "live"), F.struct("version", ~F.col("live"))).alias("x")).collect()
+    assert {r.id: (None if r.x.code is None else bytes(r.x.code), r.x.version, r.x.live) for r in last} == {1: (bytes([1]), 3, True), 2: (None, 2, False)}
+
+
+def test_packed_files(spark, tmp_path):
+    from vecengine.sources import packed
+
+    x = np.random.default_rng(5).standard_normal((1_000, 6)).astype(np.float32)
+    assert packed.write(frame(spark, x, 50), f"file://{tmp_path}/v", 4) == 1_000
+    got = sorted((r.id, r.vec) for r in packed.read(spark, f"file://{tmp_path}/v", 700).collect())
+    assert [i for i, _ in got] == list(range(1_000)) and np.array_equal(np.array([v for _, v in got], np.float32), x)
+    (tmp_path / "e").mkdir()
+    assert packed.read(spark, f"{tmp_path}/e").collect() == []
+    (tmp_path / "e" / "a.fvecs").write_bytes(b"\x02\0\0\0\0\0\0\0")
+    with pytest.raises(Exception, match="no whole number"):
+        packed.read(spark, f"{tmp_path}/e").collect()
+
+
+def test_products_by_raster_and_merged_answers(spark, data):
+    from vecengine.functions.sql import merge_best
+    from vecengine.operators import matmul
+
+    x, df = data
+    v = {(r.i, r.j): r.v for r in matmul._blocks(df.limit(60), df, 16, 3).collect()}
+    assert len(v) == 60 * 400 and v[7, 301] == pytest.approx(float(x[7] @ x[301]))
+    t = spark.createDataFrame([(1, 5, 2.0), (1, 4, 2.0), (1, 9, 1.0), (2, 1, 0.0)], "q int, vec_id long, score double")
+    assert {r.q: r.b for r in t.groupBy("q").agg(merge_best(2)("vec_id", "score").alias("b")).collect()} == {1: [9, 4], 2: [1]}
+
+
+def test_rotation_and_spread_seeds(spark, data):
+    """OPQ: orthogonal, error never above that of the plain quantizer it starts from; spread seeds do no worse than first ones."""
+    x, df = data
+    opq = rotation.fit(df, 12, 4, 16, 6)
+    assert np.allclose(opq.rotation @ opq.rotation.T, np.eye(12), atol=1e-8)
+    error = lambda b: ((x - b.decode(b.encode(x, True))) ** 2).sum()
+    plain = lloyd.fit(df, 12, 4, 16, 6, "hash")
+    assert error(opq) < error(plain)
+    spread = lloyd.fit(df, 12, 4, 16, 6, "kmeans++", 3, empty="split")
+    assert error(spread) < 1.1 * error(lloyd.fit(df, 12, 4, 16, 6))
+    turned = search.exact_topk(df, search.Queries(np.arange(5), x[:5]), 1, SQL2).collect()
+    assert all(r.query_id == r.vec_id and r.score == pytest.approx(0) for r in turned)
+
+
+def test_lsh_and_principal_components(spark, data):
+    from vecengine.index import cells
+    from vecengine.sources import densify
+
+    x, df = data
+    found = {(r.query_id, r.vec_id) for r in cells.lsh_candidates(df, df.limit(30), 1.5, tables=8, width=4.0).collect()}
+    d = np.linalg.norm(x[:30, None] - x[None], axis=2)
+    near = set(zip(*np.nonzero(d < 1.5), strict=True))
+    assert found <= {(int(a), int(b)) for a, b in near} and len(found) > 0.9 * len(near)
+    y = np.array([r.vec for r in densify.pca(df, 3).orderBy("id").collect()])
+    c = x - x.mean(axis=0)
+    want = c @ np.linalg.svd(c)[2][:3].T
+    assert np.allclose(np.abs(y), np.abs(want), atol=1e-6)
+
+
+def test_no_queries_and_no_vectors(spark, data):
+    x, df = data
+    books = lloyd.fit(df, 12, 6, 16, 1)
+    codes, none = code_ops.encode(df, books, exact=True), search.Queries(np.zeros(0, np.int64), np.zeros((0, 12)))
+    some = search.Queries(np.arange(2), x[:2])
+    for out in (search.scan_topk(codes, none, books, 3, SQL2), search.scan_pairs(codes, none, books, SQL2), search.exact_topk(df, none, 3, SQL2), search.pairs(df, codes, none, books, SQL2), search.scan_topk(codes.limit(0), some, books, 3, SQL2), search.exact_topk(df.limit(0), some, 3, SQL2), search.exact_pairs(df, none, SQL2)):
+        assert out.collect() == []

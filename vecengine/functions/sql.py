@@ -60,3 +60,17 @@ def register(spark: SparkSession, books: Codebooks, tq: TableQuantizer | None =
     spark.udf.register(f"{prefix}_decode", decode)
     spark.udf.register(f"{prefix}_distance", distance)
     spark.udtf.register(f"{prefix}_entries", Entries)
+
+
+def merge_best(k: int):
+    """A grouped-aggregate function: the ids of the k least scores of a group, ties by least id.
+
+    For groups of bounded size, such as the partial answers of a query: k a part.
+    """
+
+    @F.pandas_udf("array<long>")
+    def best(vec_id: pd.Series, score: pd.Series) -> list:
+        order = np.lexsort((vec_id.to_numpy(), score.to_numpy()))[:k]
+        return vec_id.to_numpy()[order].tolist()
+
+    return best

@@ -93,6 +93,11 @@ class Codebooks:
         parts = self.layout.cut(self.turned(q))
         if metric.larger_is_closer:
             return np.matmul(parts, self.centroids.transpose(0, 2, 1)).transpose(1, 0, 2)
+        if metric.name in ("l2", "sql2"):  # by norms and products
+            y = np.matmul(parts, -2.0 * self.centroids.transpose(0, 2, 1))
+            y += (parts * parts).sum(axis=2)[:, :, None]
+            y += (self.centroids * self.centroids).sum(axis=2)[:, None, :]
+            return np.maximum(y, 0.0, out=y).transpose(1, 0, 2)
         out = np.empty((len(q), self.m, self.k))
         for m in range(self.m):
             step = max(1, (4 << 20) // self.centroids[m].size)
@@ -138,8 +143,11 @@ class TableQuantizer:
         return float(self.offsets.sum()) + (0.5 * len(self.offsets) / self.scale if self.midpoint else 0.0)
 
     def quantize(self, y: np.ndarray) -> np.ndarray:
-        """uint8 of y (.. x M x K). The product is rounded to 9 digits so that a cutoff falls on its side."""
-        return np.clip(np.floor(np.round(self.scale * (y - self.offsets[:, None]), 9)), 0, 255).astype(np.uint8)
+        """uint8 of y (.. x M x K). Half a unit of the ninth digit is added, as rounding to it would, so that a cutoff falls on its side."""
+        z = y - self.offsets[:, None]
+        z *= self.scale
+        z += 5e-10
+        return np.clip(z, 0, 255, out=z).astype(np.uint8)
 
     def dequantize(self, b: np.ndarray) -> np.ndarray:
         return (b + (0.5 if self.midpoint else 0.0)) / self.scale + self.offsets[:, None]

@@ -30,8 +30,9 @@ def approx(rows: DataFrame, columns: DataFrame, books: Codebooks, tq: TableQuant
 
 
 def exact(rows: DataFrame, columns: DataFrame, engine: str = "arrow") -> DataFrame:
-    """(i, j, v). 'arrow': columns are sent out, each task multiplies its rows; 'coord': equi-join on the
-    shared dimension and a sum, partial sums first; 'block': both sides in blocks, a join on the block."""
+    """(i, j, v). 'arrow': columns are sent out in chunks, each task multiplies its rows; 'block': both sides in
+    blocks, a join on the cells of a raster, for two large sides; 'coord': the relational restatement, an equi-join on
+    the shared dimension and a sum, whose join has an entry for each pair and dimension: for checks only."""
     if engine == "coord":
         a = rows.select(F.col("id").alias("i"), F.posexplode("vec").alias("d", "x"))
         b = columns.select(F.col("id").alias("j"), F.posexplode("vec").alias("d", "y"))
@@ -48,8 +49,12 @@ def as_rows(product: DataFrame) -> DataFrame:
     return product.groupBy("i").agg(F.transform(F.array_sort(F.collect_list(F.struct("j", "v"))), lambda s: s["v"]).alias("vec"))
 
 
-def _blocks(rows: DataFrame, columns: DataFrame, size: int = 1024) -> DataFrame:
-    """Blocks of rows meet blocks of columns: neither side has to fit one task."""
+def _blocks(rows: DataFrame, columns: DataFrame, size: int = 1024, grid: int = 8) -> DataFrame:
+    """Blocks of rows meet blocks of columns in the cells of a grid x grid raster: neither side has to fit one task.
+
+    Each block goes to one line of the raster by a hash of its first id and is sent to the line's `grid` cells, so what is
+    shuffled is grid times either side, and a cell holds 1 / grid of each.
+    """
 
     def gathered(df: DataFrame, name: str) -> DataFrame:
         def run(batches):
@@ -66,7 +71,11 @@ def _blocks(rows: DataFrame, columns: DataFrame, size: int = 1024) -> DataFrame:
                 v = np.frombuffer(a).reshape(len(ai), -1) @ np.frombuffer(b).reshape(len(bi), -1).T
                 yield pa.RecordBatch.from_arrays([pa.array(np.repeat(np.array(ai), len(bi))), pa.array(np.tile(np.array(bi), len(ai))), pa.array(v.reshape(-1))], names=["i", "j", "v"])
 
-    both = gathered(rows, "a").crossJoin(gathered(columns, "b"))  # of blocks: the product has an entry for each pair anyway
+    line = lambda name: F.pmod(F.xxhash64(F.get(f"{name}_ids", F.lit(0))), F.lit(grid))
+    every = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(grid - 1).cast("long")))
+    left = gathered(rows, "a").select("a_ids", "a_data", line("a").alias("r"), every.alias("c"))
+    right = gathered(columns, "b").select("b_ids", "b_data", line("b").alias("c"), every.alias("r"))
+    both = left.join(right.hint("shuffle_hash"), ["r", "c"]).select("a_ids", "a_data", "b_ids", "b_data")
     return both.mapInArrow(multiply, "i long, j long, v double")
 
 

@@ -2,20 +2,22 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from vecengine.operators.ordered import carried
+
 
 def asof(left: DataFrame, right: DataFrame, keys: list[str], left_at: str, right_at: str, take: list[str]) -> DataFrame:
     """left with `take` of the latest row of right whose right_at is at most left_at, within equal keys.
 
-    One union and one running last value: no pairs are made. Rows of left without such a row keep nulls.
+    One union in order of keys and time, ranges of which are gone over by themselves: no pairs are made, and a key of very
+    many rows is no single task. Rows of left without such a row keep nulls.
     """
     a = left.select(*keys, F.col(left_at).alias("__at"), F.lit(1).alias("__side"), F.struct(*[F.col(c) for c in left.columns]).alias("__row"), F.lit(None).cast(right.select(F.struct(*take)).schema[0].dataType).alias("__take"))
     b = right.select(*keys, F.col(right_at).alias("__at"), F.lit(0).alias("__side"), F.lit(None).cast(a.schema["__row"].dataType).alias("__row"), F.struct(*take).alias("__take"))
-    order = Window.partitionBy(*keys).orderBy("__at", "__side").rowsBetween(Window.unboundedPreceding, 0)
-    out = a.union(b).withColumn("__last", F.last("__take", ignorenulls=True).over(order)).where("__side = 1")
-    return out.select("__row.*", *[F.col("__last")[c].alias(c) for c in take])
+    out = carried(a.union(b), keys, ["__at", "__side"], F.col("__take")).where("__side = 1")  # of one time, right's rows come first
+    return out.select("__row.*", *[F.col("last")[c].alias(c) for c in take])
 
 
 def self_join(df: DataFrame, most: float, metric, block: int = 500_000) -> DataFrame:

@@ -238,6 +238,8 @@ def scan_topk(codes: DataFrame, q: Queries, books: Codebooks, k: int, metric: me
             yield best.ranked(s.ids, kind)
 
         parts.append(codes.select(*(("ids", "codes", "n") if blocks else ("id", "code"))).mapInArrow(run, schema))
+    if not parts:  # no queries
+        return codes.sparkSession.createDataFrame([], schema.replace("vec_id", "rnk int, vec_id"))
     return _reduced(parts, k, not metric.larger_is_closer)
 
 
@@ -289,10 +291,7 @@ def scan_pairs(codes: DataFrame, q: Queries, books: Codebooks, metric: metrics.M
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(int(keep.sum()), qid)), pa.array(ids[keep]), pa.array(d[keep].astype(np.float64))], names=["query_id", "vec_id", "approx_d"])
 
         parts.append(codes.select("id", "code").mapInArrow(run, "query_id long, vec_id long, approx_d double"))
-    df = parts[0]
-    for x in parts[1:]:
-        df = df.union(x)
-    return df
+    return reduce(DataFrame.union, parts) if parts else codes.sparkSession.createDataFrame([], "query_id long, vec_id long, approx_d double")
 
 
 def exact_topk(vdf: DataFrame, q: Queries, k: int, metric: metrics.Metric, products: bool = False, batch_queries: int = 1024) -> DataFrame:
@@ -376,7 +375,7 @@ def _both(vdf: DataFrame, codes: DataFrame, q: Queries, books: Codebooks, metric
 
         part = both.mapInArrow(run, schema)
         out = part if out is None else out.union(part)
-    return out
+    return out if out is not None else codes.sparkSession.createDataFrame([], schema)
 
 
 def pairs(vdf: DataFrame, codes: DataFrame, q: Queries, books: Codebooks, metric: metrics.Metric, tq: TableQuantizer | None = None) -> DataFrame:

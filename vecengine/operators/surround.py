@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -91,7 +93,7 @@ def grouped_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
 def string_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(page_id, host, n_tags, title_md5) by string functions."""
     html = F.col("html")
-    return table(spark, sf_dir, "pages").select("page_id", F.regexp_extract("url", r"^https?://([^/]+)", 1).alias("host"), F.regexp_count(html, F.lit("<[a-z]")).cast("long").alias("n_tags"), F.md5(F.regexp_extract(html, "<title>([^<]*)", 1).cast("binary")).alias("title_md5"))
+    return table(spark, sf_dir, "pages").select("page_id", F.regexp_extract("url", r"^https?://([^/]+)", 1).alias("host"), (F.size(F.split(html, "<[a-z]")) - 1).cast("long").alias("n_tags"), F.md5(F.regexp_extract(html, "<title>([^<]*)", 1).cast("binary")).alias("title_md5"))
 
 
 def percentiles(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -108,14 +110,32 @@ def approximate_percentiles(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def lateral_latest(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(custkey, rnk, orderkey): the two dearest orders of each customer, as a correlated subquery would give."""
-    orders = table(spark, sf_dir, "orders")
-    best = Window.partitionBy("o_custkey").orderBy(F.col("o_totalprice").desc(), "o_orderkey")
-    top = orders.withColumn("rnk", F.row_number().over(best)).where("rnk <= 2")
-    return table(spark, sf_dir, "customer").select("c_custkey").join(top, F.col("c_custkey") == F.col("o_custkey")).select(F.col("c_custkey").alias("custkey"), F.col("rnk").cast("int").alias("rnk"), F.col("o_orderkey").alias("orderkey"))
+    """(custkey, rnk, orderkey): the two dearest orders of each customer, by a lateral join with a limited subquery."""
+    orders = table(spark, sf_dir, "orders").select("o_custkey", "o_orderkey", "o_totalprice")
+    dear = orders.where(F.col("o_custkey") == F.col("c_custkey").outer()).orderBy(F.col("o_totalprice").desc(), "o_orderkey").limit(2)
+    top = table(spark, sf_dir, "customer").select("c_custkey").lateralJoin(dear)
+    best = Window.partitionBy("c_custkey").orderBy(F.col("o_totalprice").desc(), "o_orderkey")
+    return top.select(F.col("c_custkey").alias("custkey"), F.row_number().over(best).cast("int").alias("rnk"), F.col("o_orderkey").alias("orderkey"))
 
 
-QUERIES = {f.__name__: f for f in (labelled_vectors, unlabelled, both_ways, order_features, pivot_months, unpivot_months, rank_windows, hour_frame, json_numbers, grouped_sets, string_stats, percentiles, approximate_percentiles, lateral_latest)}
+def id_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(part, n): set operations on the customers with orders of either of two kinds, with and without repeats."""
+    orders = table(spark, sf_dir, "orders")
+    urgent = orders.where("o_orderpriority = '1-URGENT'").select(F.col("o_custkey").alias("k"))
+    done = orders.where("o_orderstatus = 'F'").select(F.col("o_custkey").alias("k"))
+    sets = {
+        "either": urgent.union(done).distinct(),
+        "all": urgent.unionByName(done),
+        "both": urgent.intersect(done),
+        "both_all": urgent.intersectAll(done),
+        "first_only": urgent.subtract(done),
+        "first_only_all": urgent.exceptAll(done),
+    }
+    out = [df.agg(F.count(F.lit(1)).alias("n")).select(F.lit(name).alias("part"), "n") for name, df in sets.items()]
+    return reduce(DataFrame.unionAll, out)
+
+
+QUERIES = {f.__name__: f for f in (labelled_vectors, unlabelled, both_ways, order_features, pivot_months, unpivot_months, rank_windows, hour_frame, json_numbers, grouped_sets, string_stats, percentiles, approximate_percentiles, lateral_latest, id_sets)}
 
 _WIDE = "SELECT CAST(year(l_shipdate) AS INTEGER) AS year, " + ", ".join(f"coalesce(round(sum(l_quantity) FILTER (month(l_shipdate) = {m}), 4), 0.0) AS m{m:02d}" for m in range(1, 13)) + " FROM lineitem GROUP BY 1"
 ORACLES = {
@@ -131,5 +151,7 @@ ORACLES = {
     "grouped_sets": "SELECT lang, source, CAST(count(*) AS BIGINT) AS n FROM documents GROUP BY GROUPING SETS ((lang), (source), ())",
     "string_stats": "SELECT page_id, regexp_extract(url, '^https?://([^/]+)', 1) AS host, CAST(len(regexp_extract_all(html, '<[a-z]')) AS BIGINT) AS n_tags, md5(regexp_extract(html, '<title>([^<]*)', 1)) AS title_md5 FROM pages",
     "percentiles": "SELECT event_type, round(quantile_cont(value, 0.05), 6) AS p05, round(quantile_cont(value, 0.5), 6) AS p50, round(quantile_cont(value, 0.95), 6) AS p95, round(stddev(value), 6) AS sd FROM events GROUP BY 1",
+    "id_sets": "WITH a AS (SELECT o_custkey AS k FROM orders WHERE o_orderpriority = '1-URGENT'), b AS (SELECT o_custkey AS k FROM orders WHERE o_orderstatus = 'F') "
+    + " UNION ALL ".join(f"SELECT '{part}' AS part, CAST(count(*) AS BIGINT) AS n FROM (SELECT k FROM a {op} SELECT k FROM b)" for part, op in (("either", "UNION"), ("all", "UNION ALL"), ("both", "INTERSECT"), ("both_all", "INTERSECT ALL"), ("first_only", "EXCEPT"), ("first_only_all", "EXCEPT ALL"))),
     "lateral_latest": "SELECT c_custkey AS custkey, CAST(o.rnk AS INTEGER) AS rnk, o.o_orderkey AS orderkey FROM customer, LATERAL (SELECT o_orderkey, row_number() OVER (ORDER BY o_totalprice DESC, o_orderkey) AS rnk FROM orders WHERE o_custkey = c_custkey) o WHERE o.rnk <= 2",
 }

@@ -196,6 +196,7 @@ ORACLES["lemma_triangle"] = sql(_BOUNDS, _GAPS.format(f"SELECT abs(sqrt(list_sum
 
 # ------------------------------------------------- queries of the same answer by another way, and what is fitted
 
+ORACLES["fast_codes_near"] = "SELECT CAST(16 * count(*) AS BIGINT) AS n, CAST(16 * count(*) AS BIGINT) AS near FROM embeddings"
 ORACLES["gemm_topk"] = sql(EXACT, R6.format(ranked("exact", 10)))
 ORACLES["product_cell_scan"] = sql(
     [
@@ -236,3 +237,15 @@ ORACLES["alpha_variants"] = sql(
     ],
     " UNION ALL ".join(_variant(pool, weight, half) for pool in ("shifted", "raw") for weight in ("uniform", "usage") for half in (False, True)),
 )
+
+ORACLES["topk_merge"] = sql(btq(16), "SELECT query_id, rnk, vec_id FROM (" + ranked("scan", 10) + ")")
+ORACLES["packed_round_trip"] = "WITH r AS (SELECT row_number() OVER (ORDER BY vec_id) - 1 AS id, embedding FROM embeddings) SELECT id, CAST(unnest(range(64)) AS INTEGER) AS d, round(CAST(unnest(embedding) AS DOUBLE), 6) AS v FROM r"
+_SPREADS = [
+    *_BOUNDS,
+    "rn AS MATERIALIZED (SELECT id, d // 4 AS m, sum((x - y) * (x - y)) AS r FROM recon JOIN elem USING (id, d) GROUP BY id, d // 4)",
+    "rl AS MATERIALIZED (SELECT id, list(r ORDER BY m) AS r FROM rn WHERE id % 5 <> 0 GROUP BY id)",
+    "ql AS MATERIALIZED (SELECT id, list(s ORDER BY m) AS s FROM (SELECT id, d // 4 AS m, sum(x * x) AS s FROM elem WHERE id % 5 = 0 GROUP BY id, d // 4) GROUP BY id)",
+    "gaps AS MATERIALIZED (SELECT abs(list_inner_product(q.v, x.v) - list_inner_product(q.v, b.y)) AS dot, abs(list_sum(list_transform(list_zip(q.v, x.v), lambda p: (p[1] - p[2]) * (p[1] - p[2]))) - list_sum(list_transform(list_zip(q.v, b.y), lambda p: (p[1] - p[2]) * (p[1] - p[2])))) AS sq, list_inner_product(ql.s, rl.r) AS dot_spread, list_inner_product(rl.r, rl.r) AS sq_spread FROM vecs q JOIN ql ON ql.id = q.id, vecs x JOIN back b ON b.id = x.id JOIN rl ON rl.id = x.id WHERE q.id % 5 = 0 AND x.id % 5 <> 0)",
+]
+_TAIL = "SELECT '{0}' AS kind, eps::DOUBLE AS eps, CAST(count(*) AS BIGINT) AS n, round(avg(CASE WHEN {1} > eps THEN 1.0 ELSE 0.0 END), 6) AS rate, round(avg(CASE WHEN {2} > 0 THEN least(1.0, 2 * exp(-(eps * eps) / (2 * {2}))) ELSE 0.0 END), 6) AS bound FROM gaps, (SELECT unnest([0.1, 0.3, 1.0, 2.0]) AS eps) GROUP BY eps"
+ORACLES["tail_bounds"] = sql(_SPREADS, _TAIL.format("dot", "dot", "dot_spread") + " UNION ALL " + _TAIL.format("sql2", "sq", "sq_spread"))

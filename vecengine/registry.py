@@ -101,6 +101,18 @@ def code_query(m: int, k: int):
     return run
 
 
+def fast_codes_near(spark, sf_dir):
+    """(n, near): subvectors, and those whose code by the fast kernel is as near as the nearest centroid, to six digits."""
+    b = books(spark, sf_dir)
+    df = views.embed(spark, sf_dir)
+    fast, slow = code_ops.reconstruct(code_ops.encode(df, b), b), code_ops.reconstruct(code_ops.encode(df, b, exact=True), b)
+    rows = df.join(fast.withColumnRenamed("vec", "fast"), "id").join(slow.withColumnRenamed("vec", "slow"), "id")
+    w = b.layout.width
+    square = lambda other: F.transform(F.sequence(F.lit(0), F.lit(b.m - 1)), lambda m: F.aggregate(F.zip_with(F.slice("vec", m * w + 1, F.lit(w)), F.slice(other, m * w + 1, F.lit(w)), lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x))
+    gaps = rows.select(F.explode(F.zip_with(square("fast"), square("slow"), lambda x, y: x - y)).alias("gap"))
+    return gaps.agg(F.count(F.lit(1)).alias("n"), F.sum((F.col("gap") < 1e-6).cast("long")).alias("near"))
+
+
 def pack4(spark, sf_dir):
     out = code_ops.pack4(code_query(16, 16)(spark, sf_dir).withColumnRenamed("vec_id", "id"))
     return out.withColumnRenamed("id", "vec_id")
@@ -495,6 +507,60 @@ def streaming_topk(spark, sf_dir):
     return spark.read.parquet(f"{folder}/out").select("query_id", "rnk", "vec_id", "score", F.round("dist", 6).alias("dist"))
 
 
+def streaming_state(spark, sf_dir):
+    """The operation log as a stream whose state is the newest version of each id; the last change of each is its code."""
+    from vecengine.plans.folders import scratch
+
+    b = books(spark, sf_dir)
+    folder = scratch(spark, "state")
+    op_log(spark, sf_dir).repartition(5, "version").write.parquet(f"{folder}/in")
+
+    def each(batch, batch_id):
+        batch.write.mode("overwrite").parquet(f"{folder}/out/batch={batch_id}")
+
+    changes = streams.latest_codes(streams.source(spark, f"{folder}/in", streams.OPS, 1), b)
+    changes.writeStream.outputMode("update").foreachBatch(each).option("checkpointLocation", f"{folder}/cp").trigger(availableNow=True).start().awaitTermination()
+    out = spark.read.schema(f"{streams.TABLE}, batch long").parquet(f"{folder}/out").groupBy("id").agg(F.max_by(F.struct("code", "live"), F.struct("version", ~F.col("live"))).alias("last"))
+    return code_ops.exploded(out.where("last.live").select("id", "last.code"), b).select(F.col("id").alias("vec_id"), "m", "code")
+
+
+def topk_merge(spark, sf_dir):
+    """Ten nearest vectors by byte tables from three parts of the codes, whose answers a grouped aggregate merges."""
+    from functools import reduce
+
+    from vecengine.functions.sql import merge_best
+
+    b, codes = books(spark, sf_dir), codes_of(spark, sf_dir, books(spark, sf_dir))
+    parts_ = [search.scan_topk(codes.where(F.col("id") % 3 == r), asked(spark, sf_dir), b, 10, SQL2, quantizer(spark, sf_dir)) for r in range(3)]
+    best = reduce(DataFrame.union, parts_).groupBy("query_id").agg(merge_best(10)("vec_id", "score").alias("ids"))
+    return best.select("query_id", F.posexplode("ids").alias("at", "vec_id")).select("query_id", (F.col("at") + 1).alias("rnk"), "vec_id")
+
+
+def packed_round_trip(spark, sf_dir):
+    """Vectors written as packed files and read back by the data source; ids are places in order of vec_id."""
+    from vecengine.plans.folders import scratch
+    from vecengine.sources import packed
+
+    folder = scratch(spark, "packed")
+    packed.write(views.embed(spark, sf_dir), folder, 3)
+    out = packed.read(spark, folder, 1 << 14)
+    return out.select("id", F.posexplode("vec").alias("d", "v")).withColumn("v", F.round(F.col("v").cast("double"), 6))
+
+
+def tail_bounds(spark, sf_dir):
+    """How often errors of products and squared distances pass a level, beside their tail bounds."""
+    b, v = books(spark, sf_dir), parts(spark, sf_dir)[1]
+    out = bounds.tails(v, code_ops.encode(v, b, exact=True), asked(spark, sf_dir), b, (0.1, 0.3, 1.0, 2.0))
+    return out.withColumns({"rate": F.round("rate", 6), "bound": F.round("bound", 6)})
+
+
+def subspace_balance(spark, sf_dir):
+    """(m, level, across): each subspace's determinant ** (1 / M), and the mean correlation across subspaces."""
+    df = views.embed(spark, sf_dir)
+    levels, across = diagnose.balance(df, split(DIMS, 16), df.count())
+    return spark.createDataFrame([(m, float(x), across) for m, x in enumerate(levels)], "m int, level double, across double")
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "metric_l1": metric_query("l1"),
     "metric_l2": metric_query("l2"),
@@ -510,6 +576,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "btq_codes_16": code_query(32, 16),
     "btq_codes_32": code_query(64, 16),
     "pq_codes": code_query(8, 256),
+    "fast_codes_near": fast_codes_near,
     "pack4": pack4,
     "unpack4": unpack4,
     "query_tables_l2": table_query(SQL2),
@@ -579,6 +646,11 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "streaming_encode": streaming_encode,
     "streaming_ops": streaming_ops,
     "streaming_topk": streaming_topk,
+    "streaming_state": streaming_state,
+    "topk_merge": topk_merge,
+    "packed_round_trip": packed_round_trip,
+    "tail_bounds": tail_bounds,
+    "subspace_balance": subspace_balance,
 }
 
 
@@ -610,5 +682,5 @@ QUERIES |= {
     "w13_order": workload("quality", "w13_order"),
     "w14_codecs": workload("writes", "w14_codecs"),
 }
-ORACLES = ORACLES | surround.ORACLES | {"blocked_scan": ORACLES["btq_scan_topk"], "matmul_block": ORACLES["matmul_coord"], "matmul_arrow": ORACLES["matmul_coord"], "streaming_encode": ORACLES["btq_codes_8"], "streaming_ops": ORACLES["ops_merge_final"]}
+ORACLES = ORACLES | surround.ORACLES | {"blocked_scan": ORACLES["btq_scan_topk"], "matmul_block": ORACLES["matmul_coord"], "matmul_arrow": ORACLES["matmul_coord"], "streaming_encode": ORACLES["btq_codes_8"], "streaming_ops": ORACLES["ops_merge_final"], "streaming_state": ORACLES["ops_merge_final"]}
 

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from vecengine.operators.arrays import lists
+from vecengine.operators.ordered import carried
 
 
 def embed(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -16,19 +17,22 @@ def embed(spark: SparkSession, sf_dir: str) -> DataFrame:
     return t.select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("vec"))
 
 
-def walk(spark: SparkSession, sf_dir: str, dims: int = 128, stride: int = 1, multiplier: int | None = None) -> DataFrame:
+def walk(spark: SparkSession, sf_dir: str, dims: int = 128, stride: int = 1, multiplier: int | None = None, chunk: int = 4096) -> DataFrame:
     """Sliding windows over a random walk for each event type: strongly correlated neighbours.
 
-    One shuffle by event type for the running sum; windows are frames of the same partitioning. At
-    scale the walk would be keyed by (type, day) too. stride keeps each stride-th window; multiplier
-    permutes the dimensions by d * multiplier mod dims.
+    Events are numbered within their type by ranges of time, and each `chunk` of numbers is a group of its own, which
+    also gets the dims - 1 events before it: no type is one task. stride keeps each stride-th window; multiplier permutes
+    the dimensions by d * multiplier mod dims.
     """
     events = spark.read.parquet(f"{sf_dir}/events.parquet").select("event_id", "event_type", "ts", "value")
-    order = Window.partitionBy("event_type").orderBy("ts", "event_id")
-    sums = events.withColumn("s", F.sum(F.col("value") - 50).over(order.rowsBetween(Window.unboundedPreceding, 0))).withColumn("nth", F.row_number().over(order))
-    rows = sums.withColumn("list", F.collect_list("s").over(order.rowsBetween(1 - dims, 0))).where(F.col("nth") >= dims)
+    numbered = carried(events, ["event_type"], ["ts", "event_id"], F.lit(None).cast("long")).select("event_id", "event_type", "value", (F.col("place") - 1).alias("at"))
+    before = F.col("at") % chunk >= chunk - (dims - 1)
+    both = numbered.select("*", F.explode(F.when(before, F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(0)))).alias("late")).withColumn("group", F.floor(F.col("at") / chunk) + F.col("late"))
+    order = Window.partitionBy("event_type", "group").orderBy("at")
+    sums = both.withColumn("s", F.sum(F.col("value") - 50).over(order.rowsBetween(Window.unboundedPreceding, 0)))
+    rows = sums.withColumn("list", F.collect_list("s").over(order.rowsBetween(1 - dims, 0))).where((F.col("late") == 0) & (F.col("at") >= dims - 1))
     if stride > 1:
-        rows = rows.where((F.col("nth") - dims) % stride == 0)
+        rows = rows.where((F.col("at") + 1 - dims) % stride == 0)
     vec = F.transform("list", lambda x: (x - F.col("list")[0]) / 100)
     if multiplier is not None:
         places = F.array(*[F.lit(d * multiplier % dims) for d in range(dims)])
