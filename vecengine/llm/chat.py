@@ -206,7 +206,7 @@ def conversations(messages: DataFrame) -> DataFrame:
         moved = pending.join(above, ["conv_id", "up"]).select("conv_id", "turn", F.col("higher").alias("up"), (F.col("depth") + F.col("more")).alias("depth"), F.col("on").alias("open"))
         hop = C.cut(hop.where("not open").union(moved))
     hop = hop.drop("open")
-    threads = C.carried(hop.withColumnRenamed("up", "root"), ["conv_id"], ["root", "turn"], F.lit(None)).select("conv_id", "turn", "depth", F.col("place").alias("position"))
+    threads = C.carried(hop.withColumnRenamed("up", "root"), ["conv_id"], ["root", "turn"], F.lit(None).cast("long")).select("conv_id", "turn", "depth", F.col("place").alias("position"))
     out = rows.select("conv_id", "turn", "role", "text").join(placed, ["conv_id", "turn"]).join(threads, ["conv_id", "turn"])
     null = lambda c: F.nullif(c, F.lit(-(1 << 63)))
     return out.select(null("conv_id").alias("conv_id"), null("turn").alias("turn"), "role", "text", null("parent_turn").alias("parent_turn"), "linked_by", "depth", "position", F.col("n_quotes").cast("long").alias("n_quotes"), F.col("n_linked").cast("long").alias("n_linked"))
@@ -221,7 +221,7 @@ def as_mail(messages: DataFrame) -> DataFrame:
     null = lambda c: F.coalesce(F.col(c).cast("long"), F.lit(-(1 << 63)))
     told = messages.select(null("conv_id").alias("conv_id"), null("turn").alias("turn"), "role", F.col("text").alias("said"), F.xxhash64("role", "text").alias("h"))
     told = told.dropDuplicates(["conv_id", "turn", "h"])
-    placed = C.carried(told.select("conv_id", "turn", "h"), ["conv_id"], ["turn", "h"], F.lit(None)).drop("last")
+    placed = C.carried(told.select("conv_id", "turn", "h"), ["conv_id"], ["turn", "h"], F.lit(None).cast("long")).drop("last")
     told = C.cut(told.join(placed, ["conv_id", "turn", "h"]))
     ago = lambda n, name: told.where("said is not null").select("conv_id", (F.col("place") + n).alias("place"), F.col("said").alias(name))
     told = told.join(ago(1, "one"), ["conv_id", "place"], "left").join(ago(2, "two"), ["conv_id", "place"], "left")

@@ -6,14 +6,15 @@ UTF-8 text; that is the same as maximal runs of the matching code points.
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from vecengine.operators.ordered import carried  # noqa: F401
+from vecengine.plans.folders import cut
+from vecengine.plans.folders import scratch as work_dir  # noqa: F401
+
 MASK64 = (1 << 64) - 1
 
 
@@ -21,93 +22,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or a private one where it is unset (tests)."""
-    sc = spark.sparkContext
-    configured = spark.conf.get("spark.checkpoint.dir", None)
-    if configured:
-        if not sc._jsc.sc().getCheckpointDir().isDefined():
-            sc.setCheckpointDir(configured)
-        return configured
-    current = sc._jsc.sc().getCheckpointDir()
-    if current.isDefined():
-        return current.get()
-    sc.setCheckpointDir(tempfile.mkdtemp(prefix="vecengine-"))
-    return sc._jsc.sc().getCheckpointDir().get()
-
-
-def work_dir(spark: SparkSession, label: str) -> str:
-    """A fresh folder of our own below the shared one."""
-    return f"{shared_dir(spark).rstrip('/')}/{label}-{uuid.uuid4().hex}"
-
-
-def cut(df: DataFrame) -> DataFrame:
-    """Materialise reliably in the shared folder; survives lost executors and ends the lineage."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
-
-
-def carried(df: DataFrame, group: list[str], order: list[str], value: Column) -> DataFrame:
-    """df with `last`, the last value that is not null of the rows before this one in its group, and `place`, 1 for
-    the group's first row. group, order and value are longs without nulls, but for the value.
-
-    Rows are sorted by range, so one group may lie in many tasks; a task goes over its rows once, and what a group
-    brings from earlier tasks comes from a table of one row a task.
-    """
-    names = df.columns
-    width = len(group)
-    own = [*(F.col(c).alias(f"__g{i}") for i, c in enumerate(group)), *(F.col(c).alias(f"__o{i}") for i, c in enumerate(order)), value.cast("long").alias("__v")]
-    keys = [*(f"__g{i}" for i in range(width)), *(f"__o{i}" for i in range(len(order)))]
-    ranged = df.select(*own, *names).repartitionByRange(*keys).sortWithinPartitions(*keys)
-    fields = ranged.schema.fields
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in fields), "__part int, last long, place long, __first boolean"])
-
-    def run(batches):
-        from pyspark import TaskContext
-
-        part = TaskContext.get().partitionId()
-        key, count, held, still = None, 0, None, True  # still: in the first group of the task
-        for batch in batches:
-            n = batch.num_rows
-            if not n:
-                continue
-            g = np.stack([batch.column(i).to_numpy() for i in range(width)])
-            new = np.ones(n, bool)
-            new[1:] = (g[:, 1:] != g[:, :-1]).any(axis=0)
-            new[0] = key is None or tuple(g[:, 0]) != key
-            at = np.arange(n)
-            start = np.maximum.accumulate(np.where(new, at, -1))
-            v = batch.column(len(keys))
-            known = np.asarray(v.is_valid())
-            values = v.fill_null(0).to_numpy()
-            seen = np.maximum.accumulate(np.where(known, at, -1))
-            before = np.concatenate([[-1], seen[:-1]])
-            here = before >= np.maximum(start, 0)
-            last, valid = values[np.maximum(before, 0)], here
-            if held is not None:
-                old = (start < 0) & ~here
-                last, valid = np.where(old, held, last), valid | old
-            place = np.where(start < 0, count + at + 1, at - start + 1)
-            change = new.copy()
-            change[0] &= key is not None
-            is_first = still & (np.cumsum(change) == 0)
-            still = bool(is_first[-1])
-            key, count = tuple(g[:, -1]), int(place[-1])
-            held = int(values[seen[-1]]) if seen[-1] >= max(int(start[-1]), 0) else (held if start[-1] < 0 else None)
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(np.full(n, part, np.int32)), pa.array(last, pa.int64(), mask=~valid), pa.array(place, pa.int64()), pa.array(is_first)], names=[*batch.schema.names, "__part", "last", "place", "__first"])
-
-    rows = cut(ranged.mapInArrow(run, schema))
-    of = [F.col(f"__g{i}") for i in range(width)]
-    ends = rows.groupBy("__part").agg(F.min(F.struct(*of)).alias("head"), F.max(F.struct(*keys, "place", F.coalesce("__v", "last").alias("v"))).alias("end"))
-    ends = ends.select("__part", "head", F.struct(*[F.col(f"end.__g{i}").alias(f"__g{i}") for i in range(width)]).alias("tail"), F.col("end.place").alias("n"), F.col("end.v").alias("v"))
-    run_of = Window.partitionBy("tail").orderBy("__part").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    ends = ends.withColumn("so_far", F.struct("tail", F.sum("n").over(run_of).alias("n"), F.last("v", ignorenulls=True).over(run_of).alias("v")))
-    ends = ends.withColumn("up", F.lag("so_far").over(Window.orderBy("__part")))  # a row a task
-    carry = ends.where(F.col("up.tail") == F.col("head")).select("__part", F.col("up.n").alias("__more"), F.col("up.v").alias("__from"))
-    out = rows.join(F.broadcast(carry), "__part", "left")
-    return out.select(*names, F.when(F.col("__first"), F.coalesce("last", "__from")).otherwise(F.col("last")).alias("last"), (F.col("place") + F.when(F.col("__first"), F.coalesce("__more", F.lit(0))).otherwise(0)).alias("place"))
-
-
 # ---------------------------------------------------------------- numpy kernels
 
 

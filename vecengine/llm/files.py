@@ -1,10 +1,3 @@
 """Files that executors write and read below the shared folder, by its own URI."""
 
-from __future__ import annotations
-
-from pyarrow import fs
-
-
-def resolve(uri: str) -> tuple[fs.FileSystem, str]:
-    """File system and path of a folder's URI: file, hdfs, s3 and gs, or a plain path."""
-    return fs.FileSystem.from_uri(uri if "://" in uri else "file://" + uri.removeprefix("file:"))
+from vecengine.plans.folders import resolve  # noqa: F401
