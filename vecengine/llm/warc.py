@@ -366,10 +366,13 @@ def with_revisits(pages: DataFrame, least: int = 0) -> DataFrame:
     largest page_id holds the payload and the others refer to it."""
     body = pages.select(F.col("page_id").cast("long"), "url", F.encode(F.coalesce("html", F.lit("")), "UTF-8").alias("payload"))
     body = body.withColumn("payload_bytes", F.octet_length("payload").cast("long")).withColumn("payload_digest", F.sha1("payload"))
-    held = body.where(F.col("payload_bytes") >= least).groupBy("payload_digest", "payload_bytes").agg(F.max("page_id").alias("holder"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
-    out = body.join(held, ["payload_digest", "payload_bytes"], "left")
-    refers = F.when(~F.col("holder").eqNullSafe(F.col("page_id")), F.col("holder"))
-    return out.withColumn("refers_to", refers).withColumn("payload", F.when(refers.isNull(), F.col("payload")))
+    body = body.withColumn("key", F.coalesce("page_id", F.lit(-(1 << 63))))
+    same = ["payload_digest", "payload_bytes"]
+    ids = body.where(F.col("payload_bytes") >= least).select("key", "page_id", *same).distinct()  # a digest's rows are narrow here
+    held = ids.groupBy(*same).agg(F.max("page_id").alias("holder"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
+    refers = ids.join(held, same).where(~F.col("holder").eqNullSafe(F.col("page_id"))).select("key", *same, F.col("holder").alias("refers_to"))
+    out = body.join(refers, ["key", *same], "left").drop("key")  # payloads meet them by page, however many share a digest
+    return out.withColumn("payload", F.when(F.col("refers_to").isNull(), F.col("payload")))
 
 
 def round_trip(pages: DataFrame, least: int = 0) -> DataFrame:
