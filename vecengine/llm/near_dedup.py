@@ -158,7 +158,7 @@ def most_flips(p: NearDup) -> int:
 
 def full_sets(docs: DataFrame, wanted: DataFrame, p: NearDup) -> DataFrame:
     """(id, items) of the wanted ids: sorted 64-bit hashes of the whole set, made again from the text."""
-    texts = docs.select(F.col("doc_id").alias("id"), "text").join(wanted, "id", "left_semi").dropDuplicates(["id"])
+    texts = docs.select(F.col("doc_id").alias("id"), "text", F.xxhash64("text").alias("h"), F.length("text").alias("n")).join(wanted, "id", "left_semi").dropDuplicates(["id", "h", "n"]).select("id", "text")
 
     def sets(batches):
         for batch in batches:
@@ -209,7 +209,7 @@ def links(docs: DataFrame, p: NearDup) -> tuple[DataFrame, DataFrame]:
     signed = C.cut(sign(docs, p))
     classes = signed.where("n > 0 and id is not null").groupBy("n", "d1", "d2").agg(F.min("id").alias("rep"))
     members = signed.select("id", "n", "d1", "d2").join(classes, ["n", "d1", "d2"], "left").select(F.col("id").alias("doc_id"), "n", F.coalesce("rep", "id").alias("rep"))
-    reps = signed.where("n > 0").join(classes.select(F.col("rep").alias("id")), "id", "left_semi").dropDuplicates(["id"]).select("id", "n", "bands", "sketch")
+    reps = signed.where("n > 0").join(classes.select(F.col("rep").alias("id")), "id", "left_semi").dropDuplicates(["id", "d1", "d2"]).select("id", "n", "bands", "sketch")
     spread = reps.select("id", F.explode("bands").alias("bucket"))  # a band's number is part of its hash
     crowded = spread.groupBy("bucket").agg(F.count(F.lit(1)).alias("size"), F.min("id").alias("pivot")).where("size > 1").drop("size")
     bucket = C.cut(spread.join(crowded, "bucket").select("bucket", "id", "pivot"))
@@ -303,8 +303,9 @@ def groups(docs: DataFrame, p: NearDup) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for each row of docs.
 
     Null and wordless texts have an empty set and link with nothing. A text shorter than a shingle
-    is one shingle. Rows that repeat a doc_id keep their own row and share its component. Other
-    columns of docs are ignored, whatever their names. An empty table gives an empty result.
+    is one shingle. Rows that repeat a doc_id keep their own row and share its component: an id of
+    several texts links where any of them does. Other columns of docs are ignored, whatever their
+    names. An empty table gives an empty result.
     """
     docs = docs.select("doc_id", "text")
     members, component = links(docs, p)
