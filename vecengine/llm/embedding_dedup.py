@@ -1,10 +1,12 @@
 """Near-duplicate embeddings: navigable small-world graphs per shard, audited, verified and united.
 
-Vectors of one label are dealt to shards of bounded size by a hash of their id; equal vectors of a
-label collapse to one first. Each shard's task builds a layered graph and answers its own vectors;
-each further pair of shards is answered by a task that holds the graph of the first and the
-vectors of the second. Searches run in lockstep for blocks of queries: all beams take a step at a
-time in array operations.
+Equal vectors of a label collapse to one. A label of many vectors is dealt to regions around some of
+them, and a region to shards of bounded size by a hash of the id. Each shard's task builds a layered
+graph and answers its own vectors. A vector also goes to the shards before its own that can hold a
+link of it: with centres c, own one a, angle t(q, c) and d the angle of the least cosine, a vector of
+region b within d of q has t(q, b) <= t(q, a) + 2 d, so all other regions are left out. Those queries
+meet a shard's graph in tasks of bounded size. Searches run in lockstep for blocks of queries: all
+beams take a step at a time in array operations.
 
 A beam is widened until a sample of its queries, compared with all of the shard, has lost nothing;
 a query whose beam is full of links is answered against the whole shard in blocks. All reported
@@ -34,6 +36,7 @@ class Hnsw:
     evidence: int = 1_000  # links between different vectors on which the beam has to show its recall
     recall: float = 0.999
     shard_rows: int = 20_000
+    regions: int = 4096  # about so many centres at most, of all labels
     seed: int = 7
 
 
@@ -296,6 +299,54 @@ def _batch(ids, links, to):
     return pa.table({"id": pa.array(ids, pa.int64()), "links": pa.array(links, pa.int64()), "to": pa.array(to, pa.int64())})
 
 
+SUBS = 1 << 32  # numbers of a region's shards
+
+
+def _placed(held: DataFrame, p: Hnsw) -> DataFrame:
+    """held with region, near (earlier regions that can hold links), sub, subs (shard within the region, and how many),
+    shard, and more: other shards may ask this one.
+
+    Centres are vectors picked by a hash of the id, one for about shard_rows vectors, p.regions of all labels at most; labels
+    of fewer vectors, and ones whose pick is empty, are one region.
+    """
+    sizes = held.groupBy("label", "dims").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > p.shard_rows)
+    wanted = (sizes.agg(F.sum("n")).first()[0] or 0) / p.shard_rows
+    centres: dict[tuple, np.ndarray] = {}
+    if wanted:
+        share = min(1.0, p.regions / wanted) / p.shard_rows
+        picked = held.join(sizes, ["label", "dims"], "left_semi").where(F.pmod(F.xxhash64(F.lit(p.seed), "id"), F.lit(1 << 40)) < F.lit(int((1 << 40) * share)))
+        rows = sorted(picked.select("label", "dims", "id", "v").collect())
+        for key in sorted({(r.label, r.dims) for r in rows}):
+            centres[key] = _unit([r.v for r in rows if (r.label, r.dims) == key])
+    shared = held.sparkSession.sparkContext.broadcast(centres)  # some p.regions vectors
+    reach = 2 * np.arccos(p.least) + 1e-6
+
+    def run(batches):
+        for batch in batches:
+            label, dims, v = batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(4)
+            region, near = np.zeros(batch.num_rows, np.int32), [[]] * batch.num_rows
+            rows: dict[tuple, list[int]] = {}
+            for n, key in enumerate(zip(label, dims, strict=True)):
+                if key in shared.value:
+                    rows.setdefault(key, []).append(n)
+            for key, own in rows.items():
+                c = shared.value[key]
+                for lo in range(0, len(own), 256):
+                    some = own[lo : lo + 256]
+                    angle = np.arccos(np.clip(_unit(v.take(pa.array(some)).to_pylist()) @ c.T, -1, 1))
+                    at = angle.argmin(axis=1)
+                    within = angle <= angle[np.arange(len(some)), at][:, None] + reach
+                    for n, a, w in zip(some, at, within, strict=True):
+                        region[n], near[n] = a, np.flatnonzero(w[:a]).tolist()
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(region), pa.array(near, pa.list_(pa.int32()))], names=["label", "dims", "id", "weight", "v", "region", "near"])
+
+    placed = C.cut(held.select("label", "dims", "id", "weight", "v").mapInArrow(run, "label string, dims int, id long, weight long, v array<double>, region int, near array<int>"))
+    subs = placed.groupBy("label", "dims", "region").agg(F.ceil(F.count(F.lit(1)) / F.lit(p.shard_rows)).alias("subs"))
+    several = subs.groupBy("label", "dims").agg((F.sum("subs") > 1).alias("more"))
+    out = placed.join(subs.join(several, ["label", "dims"]), ["label", "dims", "region"]).withColumn("sub", F.pmod(F.xxhash64("id"), F.col("subs")))
+    return out.withColumn("shard", F.col("region").cast("long") * F.lit(SUBS) + F.col("sub"))
+
+
 def groups(vectors: DataFrame, p: Hnsw = Hnsw()) -> DataFrame:
     """(vec_id, n_links, component_id, kept) for each row of vectors (vec_id, embedding, label).
 
@@ -310,12 +361,11 @@ def groups(vectors: DataFrame, p: Hnsw = Hnsw()) -> DataFrame:
     rows = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), doubles.alias("v"), F.col("label").alias("label"), bad.alias("bad"))
     fit = F.col("label").isNotNull() & F.col("v").isNotNull() & ~F.coalesce("bad", F.lit(True)) & F.exists("v", lambda x: x != 0)
     plain = F.transform("v", lambda x: F.when(x == 0, F.lit(0.0)).otherwise(x))  # -0 is 0
-    rows = C.cut(rows.select("vec_id", F.when(fit, F.col("label")).alias("label"), F.when(fit, F.size("v")).alias("dims"), F.when(fit, F.md5(F.array_join(plain, " ").cast("binary"))).alias("key"), F.when(fit, F.col("v")).alias("v")))
+    rows = C.cut(rows.select("vec_id", F.when(fit, F.col("label").cast("string")).alias("label"), F.when(fit, F.size("v")).alias("dims"), F.when(fit, F.md5(F.array_join(plain, " ").cast("binary"))).alias("key"), F.when(fit, F.col("v")).alias("v")))
     usable = rows.where("key is not null and vec_id is not null")
     classes = usable.groupBy("label", "dims", "key").agg(F.min("vec_id").alias("id"), F.count(F.lit(1)).alias("weight"))
-    sizes = classes.groupBy("label", "dims").agg(F.ceil(F.count(F.lit(1)) / F.lit(p.shard_rows)).alias("shards"))
-    held = usable.join(classes, ["label", "dims", "key"]).where("vec_id = id").dropDuplicates(["id", "label", "dims", "key"]).join(sizes, ["label", "dims"])
-    held = C.cut(held.select("label", "dims", "shards", F.pmod(F.xxhash64("id"), F.col("shards")).alias("shard"), "id", "weight", "v"))
+    held = usable.join(classes, ["label", "dims", "key"]).where("vec_id = id").dropDuplicates(["id", "label", "dims", "key"]).select("label", "dims", "id", "weight", "v")
+    held = C.cut(_placed(held, p))
     parts = max(1, held.select("label", "dims", "shard").distinct().count())
     spread = held.repartition(parts, "label", "dims", "shard")
 
@@ -324,22 +374,25 @@ def groups(vectors: DataFrame, p: Hnsw = Hnsw()) -> DataFrame:
         ids, w, e = t["id"].to_numpy(), t["weight"].to_numpy(), _unit(t["v"].to_pylist())
         g = Graph(e.astype(np.float32), p)
         out = _batch(*_answer(g, ids, w, e, ids, w, e, True, p))
-        more = t["shards"][0].as_py() > 1
-        blob = pickle.dumps((g.layers, g.entry, ids, w, e)) if more else None
         n = out.num_rows
-        return pa.table({"id": pa.concat_arrays([*out["id"].chunks, pa.array([None], pa.int64())]), "links": pa.concat_arrays([*out["links"].chunks, pa.array([None], pa.int64())]), "to": pa.concat_arrays([*out["to"].chunks, pa.array([None], pa.int64())]), "label": pa.array([key[0].as_py()] * (n + 1), label_type), "dims": pa.array([key[1].as_py()] * (n + 1), pa.int32()), "shard": pa.array([key[2].as_py()] * (n + 1), pa.int64()), "shards": pa.array([t["shards"][0].as_py()] * (n + 1), pa.int64()), "graph": pa.array([None] * n + [blob], pa.binary())})
-
-    kind = dict(held.dtypes)["label"]
-    label_type = {"int": pa.int32(), "bigint": pa.int64(), "string": pa.string()}.get(kind, pa.string())
-    if kind not in ("int", "bigint", "string"):
-        spread = spread.withColumn("label", F.col("label").cast("string"))
-        kind = "string"
-    built = C.cut(spread.groupBy("label", "dims", "shard").applyInArrow(build, f"{OUT}, label {kind}, dims int, shard long, shards long, graph binary"))
+        blob = pickle.dumps((g.layers, g.entry, ids, w, e)) if t["more"][0].as_py() else None
+        none = pa.array([None], pa.int64())
+        fill = lambda i, kind: pa.array([key[i].as_py()] * (n + 1), kind)
+        return pa.table({"id": pa.concat_arrays([*out["id"].chunks, none]), "links": pa.concat_arrays([*out["links"].chunks, none]), "to": pa.concat_arrays([*out["to"].chunks, none]), "label": fill(0, pa.string()), "dims": fill(1, pa.int32()), "shard": fill(2, pa.int64()), "graph": pa.array([None] * n + [blob], pa.binary())})
+
+    built = C.cut(spread.groupBy("label", "dims", "shard").applyInArrow(build, f"{OUT}, label string, dims int, shard long, graph binary"))
     found = built.where("id is not null").select("id", "links", "to")
-    graphs = built.where("graph is not null").select("label", "dims", "shard", "shards", "graph")
+    graphs = built.where("graph is not null").select("label", "dims", "shard", "graph")
     if not graphs.isEmpty():
-        left = graphs.select("label", "dims", F.col("shard").alias("a"), F.explode(F.sequence(F.col("shard") + 1, F.col("shards") - 1)).alias("b"), "graph").where("a < b")
-        right = held.where("shards > 1 and shard > 0").select("label", "dims", F.explode(F.sequence(F.lit(0).cast("long"), F.col("shard") - 1)).alias("a"), F.col("shard").alias("b"), "id", "weight", "v")
+        subs = held.select("label", "dims", F.col("region").alias("at"), F.col("subs").alias("n")).distinct()
+        row = ["label", "dims", "id", "weight", "v"]
+        number = lambda region, sub: (region.cast("long") * F.lit(SUBS) + sub).alias("shard")
+        same = held.where("sub > 0").select(*row, F.col("region").alias("at"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("sub") - 1)).alias("t"))
+        other = held.select(*row, F.explode("near").alias("at")).join(subs, ["label", "dims", "at"]).select(*row, "at", F.explode(F.sequence(F.lit(0).cast("long"), F.col("n") - 1)).alias("t"))
+        asks = same.union(other).select(*row, number(F.col("at"), F.col("t")))
+        load = C.cut(asks.groupBy("label", "dims", "shard").agg(F.ceil(F.count(F.lit(1)) / F.lit(p.shard_rows)).alias("chunks")))
+        left = graphs.join(load, ["label", "dims", "shard"]).withColumn("chunk", F.explode(F.sequence(F.lit(0).cast("long"), F.col("chunks") - 1)))
+        right = asks.join(load, ["label", "dims", "shard"]).withColumn("chunk", F.pmod(F.xxhash64("id"), F.col("chunks")))
 
         def cross(key: tuple, x: pa.Table, y: pa.Table) -> pa.Table:
             if not x.num_rows or not y.num_rows:
@@ -350,7 +403,8 @@ def groups(vectors: DataFrame, p: Hnsw = Hnsw()) -> DataFrame:
             y = y.sort_by("id")
             return _batch(*_answer(g, ids, w, e, y["id"].to_numpy(), y["weight"].to_numpy(), _unit(y["v"].to_pylist()), False, p))
 
-        found = C.cut(found.union(left.groupBy("label", "dims", "a", "b").cogroup(right.groupBy("label", "dims", "a", "b")).applyInArrow(cross, OUT)))
+        keys = ["label", "dims", "shard", "chunk"]
+        found = C.cut(found.union(left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInArrow(cross, OUT)))
     component = C.components(found.where("id <> to").select(F.col("id").alias("a"), F.col("to").alias("b")))
     links = found.groupBy("id").agg(F.sum("links").alias("links"))
     named = classes.join(links, "id", "left").join(component, "id", "left").select("label", "dims", "key", (F.coalesce("links", F.lit(0)) + F.col("weight") - 1).alias("n_links"), F.coalesce("component_id", "id").alias("component_id"))
