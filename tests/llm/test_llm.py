@@ -373,6 +373,39 @@ def test_shards_of_odd_tables(spark):
         sharding.shard_documents(rows.withColumn("Shard", F.lit(1)))
 
 
+def test_shards_sql(spark, sf):
+    import duckdb
+
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{sf}/documents.parquet'")
+    out = QUERIES["op4_sharding"](spark, sf)
+    rows = con.sql(ORACLES["op4_sharding"])
+    key = lambda r: tuple(map(str, r))
+    assert sorted(map(tuple, out.select(*rows.columns).collect()), key=key) == sorted(rows.fetchall(), key=key)
+    assert all(callable(q) for q in QUERIES.values()) and all(isinstance(q, str) for q in ORACLES.values())
+
+
+def test_vacuum_by_age(spark, tmp_path):
+    import os
+    import time
+
+    store = sharding.ShardStore(spark, f"file://{tmp_path}/s", small=2000, target=20_000, fan=3)
+    df = spark.range(0, 3000, 1, 8).selectExpr("id as doc_id", "sha2(cast(id as string), 256) as text")
+    store.append(df)
+    first, files = store.shards()[0], lambda: {f for f in os.listdir(tmp_path / "s" / "data") if f.endswith(".parquet")}
+    store.compact(final=True)
+    assert store.vacuum() == 0 and store.read(first).count() == 3000  # young versions and their files stay
+    (tmp_path / "s" / "data" / "shard-orphan.parquet").write_bytes(b"x")  # of a writer that died long ago
+    old = time.time() - 30 * 86_400
+    for name in ("shard-orphan.parquet", *(s.name for s in store.shards(first)[1])):
+        os.utime(tmp_path / "s" / "data" / name, (old, old))
+    assert store.vacuum() == 1 and "shard-orphan.parquet" not in files()  # an old version's manifest is young still
+    os.utime(tmp_path / "s" / "manifest" / f"v{first:09d}.json", (old, old))
+    gone = len(store.shards(first)[1])
+    assert store.vacuum() == gone and files() >= {s.name for s in store.shards()[1]} and store.read().count() == 3000
+    assert first not in store.versions()
+
+
 # ------------------------------------------------------------------------- 5
 
 
@@ -436,6 +469,10 @@ def test_near_dedup_odd_tables(spark):
     got = sorted((r.doc_id or 0, r.component_id) for r in near_dedup.groups(rows, near_dedup.NearDup(words=2)).collect())
     assert got == [(0, 1), (1, 1), (3, 1), (3, 1)]
     assert near_dedup.groups(rows.limit(0), near_dedup.NearDup()).collect() == []
+    one, two = " ".join(f"a{i}" for i in range(60)), " ".join(f"b{i}" for i in range(60))
+    rows = docs_of(spark, [doc(1, one), doc(1, two), doc(2, one + " x"), doc(3, two + " y"), doc(4, "z " * 3_000_000)])  # an id of two texts
+    got = sorted((r.doc_id, r.n_shingles, r.component_id) for r in near_dedup.groups(rows, near_dedup.NearDup(words=2)).collect())
+    assert got == [(1, 59, 1), (1, 59, 1), (2, 60, 1), (3, 60, 1), (4, 1, 4)]
 
 
 def test_sketches_tell_near_from_far():
@@ -520,6 +557,72 @@ def test_quotes(spark):
     assert chat.conversations(df.limit(0)).collect() == []
 
 
+def brute_links(messages):
+    """(n_quotes, n_linked, parent, how) of each (conversation, turn), by loops over all messages."""
+    parsed = {k: chat.parse(t) for k, t in messages.items()}
+    own = {k: set(p[1]) for k, p in parsed.items()}
+    bits = {k: set(chat.pieces(p[0])) for k, p in parsed.items()}
+    turns = lambda conv: sorted(t for c, t in messages if c == conv)
+    out = {}
+    for conv, turn in messages:
+        before = [t for t in turns(conv) if t < turn]
+        others = sorted(k for k in messages if k[0] != conv)
+        total = linked = 0
+        answers = []
+        for level, key, pieces in parsed[conv, turn][2]:
+            total += 1
+            author = max(((conv, t) for t in before if key in own[conv, t]), default=None)
+            if author is None:
+                votes = [max((t for t in before if x in bits[conv, t]), default=None) for x in set(pieces)]
+                votes = [v for v in votes if v is not None]
+                author = (conv, max(set(votes), key=lambda t: (votes.count(t), t))) if votes else None
+            if author is None:
+                author = min((k for k in others if key in own[k]), default=None)
+            if author is None:
+                votes = [min((k for k in others if x in bits[k]), default=None) for x in set(pieces)]
+                votes = [v for v in votes if v is not None]
+                author = min(set(votes), key=lambda k: (-votes.count(k), k)) if votes else None
+            linked += author is not None
+            if author is not None and author[0] == conv and level == 1:
+                answers.append(author[1])
+        parent = max(answers, default=before[-1] if before else None)
+        out[conv, turn] = (total, linked, parent, "quote" if answers else "order" if before else "root")
+    return out
+
+
+@pytest.mark.parametrize("seed", range(3))
+def test_quote_links_are_brute_force(spark, seed):
+    rng = np.random.default_rng(seed)
+    word = lambda: f"w{rng.integers(40)}"
+    sentence = lambda: " ".join(word() for _ in range(rng.integers(2, 5))) + "."
+    common = [sentence() for _ in range(4)]
+    said, messages = [], {}
+    for conv in range(4):
+        for turn in range(int(rng.integers(1, 30 if conv else 60))):
+            lines = []
+            for _ in range(rng.integers(0, 3)):
+                if said:
+                    body = said[rng.integers(len(said))]
+                    how = rng.integers(4)
+                    body = body if how == 0 else body.split("\n\n")[0] if how == 1 else "[...] " + body.split(". ")[0].strip() + " ..." if how == 2 else f"{sentence()} {body.split('. ')[-1]}"
+                    lines += [(">" * int(rng.integers(1, 3))) + " " + x for x in body.split("\n")] + [""] * int(rng.integers(0, 2))
+            mine = ["\n\n", " "][rng.integers(2)].join(common[rng.integers(4)] if rng.random() < 0.3 else sentence() for _ in range(rng.integers(1, 4)))
+            messages[conv, turn] = "\n".join([*lines, mine])
+            said.append(mine)
+    df = spark.createDataFrame([(c, t, "u", x) for (c, t), x in messages.items()], "conv_id long, turn long, role string, text string")
+    got = {(r.conv_id, r.turn): (r.n_quotes, r.n_linked, r.parent_turn, r.linked_by) for r in chat.conversations(df).collect()}
+    assert got == brute_links(messages)
+
+
+def test_quotes_of_hot_and_long_messages(spark):
+    """One conversation of nearly all rows, the same line in each, and a very long text."""
+    rows = [(7, t, "u", f"ok\n> ok\nword{t}" if t else "ok") for t in range(1_500)] + [(8, 0, "u", "> ok\n" + "long line " * 300_000)]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    got = {(r.conv_id, r.turn): r for r in chat.conversations(df).collect()}
+    assert len(got) == 1_501 and all(got[7, t].parent_turn == t - 1 and got[7, t].depth == t and got[7, t].position == t + 1 for t in range(1, 1_500))
+    assert got[8, 0].n_linked == 1 and got[8, 0].linked_by == "root"
+
+
 def test_long_threads(spark):
     df = spark.createDataFrame([(1, i, "u", f"message {i}") for i in range(200)], "conv_id long, turn long, role string, text string")
     got = {r.turn: (r.depth, r.position, r.parent_turn, r.text) for r in chat.conversations(chat.as_mail(df)).collect()}
@@ -615,6 +718,26 @@ def test_embedding_groups_are_brute_force(spark, shard_rows):
     assert embedding_dedup.groups(df.limit(0)).collect() == []
 
 
+@pytest.mark.parametrize("regions", [4096, 3])
+def test_embedding_regions_lose_no_link(spark, regions):
+    rng = np.random.default_rng(6)
+    centres = rng.standard_normal((12, 24))
+    x = np.concatenate([centres[rng.integers(12, size=600)] + 0.35 * rng.standard_normal((600, 24)), centres[:1] + 0.02 * rng.standard_normal((80, 24))])
+    x[600:640] *= 3.0
+    df = spark.createDataFrame([(i, [float(v) for v in row], "l") for i, row in enumerate(x)], "vec_id long, embedding array<double>, label string")
+    p = embedding_dedup.Hnsw(shard_rows=40, regions=regions)
+    e = x / np.linalg.norm(x, axis=1, keepdims=True)
+    near = e @ e.T >= 0.98
+    np.fill_diagonal(near, False)
+    roots = union_find(range(680), list(zip(*map(list, np.nonzero(near)), strict=True)))
+    got = {r.vec_id: (r.n_links, r.component_id) for r in embedding_dedup.groups(df, p).collect()}
+    assert got == {i: (int(near[i].sum()), roots[i]) for i in range(680)} and near.any()
+    rows = embedding_dedup._placed(df.selectExpr("label", "24 as dims", "vec_id as id", "1L as weight", "embedding as v"), p).collect()
+    assert len({r.region for r in rows}) > 1 and len({r.shard for r in rows}) > 10
+    if regions > 100:  # most regions cannot hold links of a vector
+        assert np.mean([len(r.near) for r in rows]) < 0.8 * np.mean([r.region for r in rows])
+
+
 # ------------------------------------------------------------------- pipeline
 
 
