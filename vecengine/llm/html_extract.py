@@ -228,11 +228,11 @@ class Weights:
         return out
 
 
-def fit(labelled: Iterable[tuple[str, tuple[int, int]]], ridge: float = 0.1, rounds: int = 25) -> Weights:
+def fit(labelled: Iterable[tuple[str, tuple[int, int]]], ridge: float = 0.1, rounds: int = 25, least: int = 4) -> Weights:
     """labelled: pages and the token range [i, j) of their content.
 
     Words and tags weigh by the log-odds of standing in the content, each page counting as one; only what is outside
-    of labelled parts counts, as parts score nothing.
+    of labelled parts counts, as parts score nothing. Names of fewer than `least` elements are left out.
     """
     inside: Counter = Counter()
     outside: Counter = Counter()
@@ -264,8 +264,15 @@ def fit(labelled: Iterable[tuple[str, tuple[int, int]]], ridge: float = 0.1, rou
     tokens.setdefault("word:linked", tokens.get("word:plain", 1.0) / 2)
     tokens |= {f"{x}{tag}": -0.1 for tag in INLINE for x in ("", "/")}  # they say nothing that their words do not
     tags = [v for k, v in tokens.items() if not k.startswith("word:") and k.lstrip("/") not in INLINE]
-    columns = sorted({x for _, found in seen for x in found})
+    often: Counter = Counter()
+    for (_, found), count in seen.items():
+        often.update(dict.fromkeys(found, count))
+    columns = sorted(x for x, count in often.items() if count >= least)
     place = {x: k for k, x in enumerate(columns)}
+    kept: Counter = Counter()
+    for (part, found), count in seen.items():
+        kept[part, frozenset(x for x in found if x in place)] += count
+    seen = kept
     x = np.zeros((len(seen), len(columns) + 1))
     x[:, -1] = 1
     y, n = np.zeros(len(seen)), np.zeros(len(seen))
@@ -278,7 +285,7 @@ def fit(labelled: Iterable[tuple[str, tuple[int, int]]], ridge: float = 0.1, rou
         p = 1 / (1 + np.exp(-x @ w))
         step = np.linalg.solve((x * (n * p * (1 - p))[:, None]).T @ x + np.diag(held), x.T @ (n * (p - y)) + held * w)
         w -= step * min(1.0, 3 / (np.abs(step).max() + 1e-9))
-        if np.abs(step).max() < 1e-6:
+        if np.abs(step).max() < 1e-4:
             break
     return Weights(tokens, sum(tags) / len(tags) if tags else -1.0, dict(zip(columns, w[:-1].tolist(), strict=True)), float(w[-1]))
 
