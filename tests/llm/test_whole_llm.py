@@ -27,6 +27,11 @@ def test_fingerprints_keep_every_anchor(spark):
     assert sorted((m.at_a, m.at_b) for m in found) == want and {m.shift for m in found} >= {5_000, 5_050}
 
 
+@pytest.fixture(scope="module")
+def w():
+    return html_extract.default_weights()
+
+
 STORY = "<h1>Rivers in winter</h1><p>Ice forms first where the current is slow, then spreads from both banks.</p><p>By spring it breaks up with a great noise.</p>"
 TOLD = "Rivers in winter Ice forms first where the current is slow, then spreads from both banks. By spring it breaks up with a great noise."
 
@@ -47,14 +52,12 @@ TOLD = "Rivers in winter Ice forms first where the current is slow, then spreads
         f'{STORY}<p hidden>Not seen by any reader</p><div style="visibility: hidden"><p>Nor is this one</p></div><p aria-hidden="true">Nor this</p>',
     ],
 )
-def test_html_wrappers_do_not_drop_the_content(body):
-    w = html_extract.default_weights()
+def test_html_wrappers_do_not_drop_the_content(body, w):
     nav = "<nav><ul><li><a href=x>Home</a></li></ul></nav>"
     assert html_extract.extract(f"<html><body>{nav}{body}<footer>All rights reserved</footer></body></html>", w) == TOLD
 
 
-def test_html_link_to_hidden_words():
-    w = html_extract.default_weights()
+def test_html_link_to_hidden_words(w):
     assert "the lake" in html_extract.extract('<body><p>We walked all day to <a href="/hidden-lake">the lake</a> and back again.</p></body>', w)
 
 
