@@ -239,6 +239,21 @@ def test_pair_moments_are_those_of_pairs(spark, data):
         assert tuple(search.pair_moments(df, codes, q, books, metric, tq).first()) == pytest.approx(tuple(want))
 
 
+def test_byte_tables_are_quantized_tables():
+    rng = np.random.default_rng(8)
+    for m in (3, 5):
+        layout = split(12, m)
+        c = rng.standard_normal((m, 16, layout.width))
+        for a, w in enumerate(layout.widths):
+            c[a, :, w:] = 0
+        books, tq = cb.Codebooks(layout, c), cb.TableQuantizer(0.0, 7.3, rng.standard_normal(m))
+        q = rng.standard_normal((500, 12))
+        slow = np.stack([[((layout.cut(x[None])[a, 0] - c[a]) ** 2).sum(axis=1) for a in range(m)] for x in q])
+        for metric in (SQL2, L2):
+            assert np.allclose(books.tables(q, metric), slow) and np.array_equal(books.byte_tables(q, metric, tq), tq.quantize(slow))
+        assert np.array_equal(books.byte_tables(q, DOT, tq), tq.quantize(books.tables(q, DOT)))
+
+
 @pytest.mark.parametrize("m", [1, 4, 5, 12])
 def test_fast_encoding_finds_a_nearest_centroid(m):
     rng = np.random.default_rng(3)

@@ -105,6 +105,16 @@ class Codebooks:
                 out[lo : lo + step, m] = metric.delta(parts[m, lo : lo + step, None, :], self.centroids[m][None]).sum(axis=2)
         return out
 
+    def byte_tables(self, q: np.ndarray, metric: metrics.Metric, tq: TableQuantizer) -> np.ndarray:
+        """tq.quantize(self.tables(q, metric)): for squared distances with the scale and offsets taken into the products."""
+        if metric.name not in ("l2", "sql2"):
+            return tq.quantize(self.tables(q, metric))
+        parts = self.layout.cut(self.turned(q))
+        z = np.matmul(parts, (-2.0 * tq.scale) * self.centroids.transpose(0, 2, 1))
+        z += tq.scale * (parts * parts).sum(axis=2)[:, :, None]
+        z += (tq.scale * ((self.centroids * self.centroids).sum(axis=2) - tq.offsets[:, None]) + 5e-10)[:, None, :]
+        return np.clip(z, 0, 255, out=z).astype(np.uint8).transpose(1, 0, 2)
+
     def decode(self, codes: np.ndarray) -> np.ndarray:
         """Vectors (rows x J) that codes stand for."""
         parts = self.centroids[np.arange(self.m)[:, None], codes.T]

@@ -187,8 +187,8 @@ def scorers(q: Queries, books: Codebooks, metric: metrics.Metric, tq: TableQuant
     step = max(1, CHUNK_BYTES // (books.m * books.k * (1 if tq is not None else np.dtype(real).itemsize)))
     for lo in range(0, len(q.ids), step):
         few = 4096  # real tables of so many queries at a time
-        made = [books.tables(q.vectors[at : min(at + few, lo + step)], metric) for at in range(lo, min(lo + step, len(q.ids)), few)]
-        y = np.concatenate([x.astype(real, copy=False) if tq is None else tq.quantize(x) for x in made])
+        chunks = (q.vectors[at : min(at + few, lo + step)] for at in range(lo, min(lo + step, len(q.ids)), few))
+        y = np.concatenate([books.tables(x, metric).astype(real, copy=False) if tq is None else books.byte_tables(x, metric, tq) for x in chunks])
         yield Scorer(q.ids[lo : lo + step], y, books.m, books.k, not metric.larger_is_closer)
 
 

@@ -89,8 +89,7 @@ def w02_tables(spark: SparkSession, sf_dir: str, n: int = 10_000, dims=(64, 128,
                 def make(q, b=b, tq=tq):
                     size = 0
                     for lo in range(0, len(q), 256):
-                        y = b.tables(q[lo : lo + 256], SQL2)
-                        size += (y if tq is None else tq.quantize(y)).nbytes
+                        size += (b.tables(q[lo : lo + 256], SQL2) if tq is None else b.byte_tables(q[lo : lo + 256], SQL2, tq)).nbytes
                     return size
 
                 def job(make=make, df=df):
